@@ -1,0 +1,11 @@
+"""Registered queries of the ranked-join engine and their DuckDB oracles."""
+
+from __future__ import annotations
+
+
+def queries() -> dict:
+    return {}
+
+
+def oracle_sql() -> dict:
+    return {}
