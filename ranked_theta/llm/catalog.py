@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import mixing, tokenids, warc
+from . import decontaminate, mixing, quality, secrets, tokenids, warc
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -24,14 +24,29 @@ def op4_warc_archives(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.archive_report(_table(spark, sf_dir, "pages"), min_bytes=0)
 
 
+def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Secrets in all texts, with structurally confirmed keys and tokens."""
+    return secrets.scan(_table(spark, sf_dir, "documents"))
+
+
+def op8_benchmark_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Benchmark items of which a document holds three quarters of the five-word shingles."""
+    return decontaminate.leaks(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"), threshold=0.75)
+
+
+def op9_quality_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Quality scores of all texts, learnt from at most 20,000 labelled rows."""
+    return quality.score_report(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"), train_rows=20_000)
+
+
 def op10_token_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Ids of all texts in the lower-case word tokenizer, written as segments and read back."""
     return tokenids.token_report(_table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"), end_id=1)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mix_sources, op4_warc_archives, op10_token_ids)}
+    return {f.__name__: f for f in (op1_mix_sources, op4_warc_archives, op5_secret_scan, op8_benchmark_leaks, op9_quality_scores, op10_token_ids)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_mix_sources": mixing.ORACLE, "op4_warc_archives": warc.ORACLE}
+    return {"op1_mix_sources": mixing.ORACLE, "op4_warc_archives": warc.ORACLE, "op8_benchmark_leaks": decontaminate.ORACLE}

@@ -89,9 +89,15 @@ def _blocks(data: np.ndarray, offsets: np.ndarray) -> Iterator[tuple[int, int]]:
         at = end
 
 
-def words(data: np.ndarray, offsets: np.ndarray, fold: np.ndarray = _FOLD) -> tuple[np.ndarray, np.ndarray]:
+def words(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Hash of every word of every text, and the number of words before each text."""
-    hashes, starts = [], []
+    (found,), bounds = words_by(data, offsets, _FOLD)
+    return found, bounds
+
+
+def words_by(data: np.ndarray, offsets: np.ndarray, *folds: np.ndarray) -> tuple[list[np.ndarray], np.ndarray]:
+    """As ``words``, with a hash for each map of bytes in ``folds``."""
+    hashes, starts = [[] for _ in folds], []
     for a, b in _blocks(data, offsets):
         part = data[a:b]
         solid = ~_SPACE[part]
@@ -102,12 +108,14 @@ def words(data: np.ndarray, offsets: np.ndarray, fold: np.ndarray = _FOLD) -> tu
         first[edges] = solid[edges]
         last[edges - 1] = solid[edges - 1]
         s, e = np.flatnonzero(first), np.flatnonzero(last) + 1
-        acc = prefix_hash(_TABLE[fold[part]])
-        hashes.append(mix((acc[e] - acc[s]) * powers(len(part) + 1)[1][s]))
+        back = powers(len(part) + 1)[1][s]
+        for out, fold in zip(hashes, folds, strict=True):
+            acc = prefix_hash(_TABLE[fold][part])
+            out.append(mix((acc[e] - acc[s]) * back))
         starts.append(s + a)
-    if not hashes:
-        return np.zeros(0, np.uint64), np.zeros(len(offsets), np.int64)
-    return np.concatenate(hashes), np.searchsorted(np.concatenate(starts), offsets)
+    if not starts:
+        return [np.zeros(0, np.uint64) for _ in folds], np.zeros(len(offsets), np.int64)
+    return [np.concatenate(out) for out in hashes], np.searchsorted(np.concatenate(starts), offsets)
 
 
 _STEP = [pow(_BASE, k + 3, 1 << 64) | 1 for k in range(SHINGLE)]
