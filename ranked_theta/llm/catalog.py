@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontaminate, mixing, quality, secrets, tokenids, warc
+from . import decontaminate, embeddings, mixing, quality, repeats, secrets, shinglejoin, tokenids, warc
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -19,6 +19,11 @@ def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_report(_table(spark, sf_dir, "documents"), weights=(3, 1, 2), share=1.5, max_epochs=2.0)
 
 
+def op3_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents whose sets of five-word shingles have a Jaccard similarity of 0.75 or more."""
+    return shinglejoin.join_report(_table(spark, sf_dir, "documents"), percent=75)
+
+
 def op4_warc_archives(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All pages written as Zstandard archives and read back."""
     return warc.archive_report(_table(spark, sf_dir, "pages"), min_bytes=0)
@@ -29,6 +34,16 @@ def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.scan(_table(spark, sf_dir, "documents"))
 
 
+def op6_embedding_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Near-duplicate vectors under equal labels at cosine 0.98."""
+    return embeddings.near_duplicates(_table(spark, sf_dir, "embeddings"), threshold=0.98)
+
+
+def op7_repeated_strings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All texts without the bytes of any 400-byte string that occurs twice."""
+    return repeats.remove(_table(spark, sf_dir, "documents"), length=400)
+
+
 def op8_benchmark_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Benchmark items of which a document holds three quarters of the five-word shingles."""
     return decontaminate.leaks(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"), threshold=0.75)
@@ -45,8 +60,8 @@ def op10_token_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mix_sources, op4_warc_archives, op5_secret_scan, op8_benchmark_leaks, op9_quality_scores, op10_token_ids)}
+    return {f.__name__: f for f in (op1_mix_sources, op3_jaccard_join, op4_warc_archives, op5_secret_scan, op6_embedding_duplicates, op7_repeated_strings, op8_benchmark_leaks, op9_quality_scores, op10_token_ids)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_mix_sources": mixing.ORACLE, "op4_warc_archives": warc.ORACLE, "op8_benchmark_leaks": decontaminate.ORACLE}
+    return {"op1_mix_sources": mixing.ORACLE, "op3_jaccard_join": shinglejoin.ORACLE, "op4_warc_archives": warc.ORACLE, "op6_embedding_duplicates": embeddings.ORACLE, "op8_benchmark_leaks": decontaminate.ORACLE}

@@ -23,6 +23,7 @@ table: no segment, empty result.
 from __future__ import annotations
 
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -38,7 +39,8 @@ MAGIC = b"RANKVB01"
 #: Ids of a segment; a longer document makes a longer one.
 SEGMENT_IDS = 1 << 20
 #: Distinct chunks kept per worker in each of two generations.
-CACHE = 400_000
+CACHE = 60_000
+_SIGNS = tuple(".,:;!?*|#%&$()-")
 _encoders: dict[str, Encoder] = {}
 
 
@@ -73,58 +75,62 @@ class Encoder:
                 self.byte_chars = {b: chr(b) for b in seen} | {b: chr(256 + i) for i, b in enumerate(x for x in range(256) if x not in seen)}
                 self.marks = [t["content"] for t in spec["added_tokens"]]
 
+    def _piece(self, piece: str) -> bytes:
+        ids = self.pieces.get(piece)
+        if ids is None:
+            mapped = piece if piece.isascii() else piece.encode().decode("latin-1").translate(self.byte_chars)
+            ids = self.pieces[piece] = array("I", [t.id for t in self.tok.model.tokenize(mapped)]).tobytes()
+        return ids
+
     def _direct(self, chunk: str) -> bytes | None:
-        if self.pattern is None or not self.plain.fullmatch(chunk) or any(m in chunk for m in self.marks):
+        if self.pattern is None or not self.plain.fullmatch(chunk) or "<" in chunk and any(m in chunk for m in self.marks):
             return None
-        out = []
-        for piece in self.pattern.findall(chunk.lower()):
-            ids = self.pieces.get(piece)
+        chunk = chunk.lower()
+        if chunk.isascii():  # letters, or letters and one sign, are what the pattern would find
+            if chunk.isalpha():
+                return self._piece(chunk)
+            if chunk[-1:] in _SIGNS and chunk[:-1].isalpha():
+                return self._piece(chunk[:-1]) + self._piece(chunk[-1])
+        return b"".join(map(self._piece, self.pattern.findall(chunk)))
+
+    def _found(self, needed: set[str]) -> dict[str, bytes]:
+        """Ids of distinct chunks; what has no direct way is joined, encoded in one call and dealt out by character offset."""
+        young, old, out, rest = self.young, self.old, {}, []
+        for chunk in needed:
+            ids = young.get(chunk)
             if ids is None:
-                mapped = piece.encode().decode("latin-1").translate(self.byte_chars)
-                ids = self.pieces[piece] = np.array([t.id for t in self.tok.model.tokenize(mapped)], "<u4").tobytes()
-            out.append(ids)
-        return b"".join(out)
-
-    def learn(self, missing: list[str]) -> None:
-        """Adds chunks; what has no direct way is joined, encoded in one call and dealt out by character offset."""
-        if len(self.young) + len(missing) > CACHE:
-            self.old, self.young = self.young, {}
+                ids = old.get(chunk)
+                if ids is None:
+                    ids = self._direct(chunk)
+                    if ids is None:
+                        rest.append(chunk)
+                        continue
+                young[chunk] = ids
+            out[chunk] = ids
+        if rest:
+            made = self.tok.encode(" ".join(rest), add_special_tokens=False)
+            starts = np.concatenate([[0], np.cumsum([len(x) + 1 for x in rest])])
+            cuts = np.searchsorted(np.array([o[0] for o in made.offsets], np.int64), starts)
+            raw = array("I", made.ids).tobytes()
+            for i, chunk in enumerate(rest):
+                young[chunk] = out[chunk] = raw[4 * int(cuts[i]) : 4 * int(cuts[i + 1])]
+        if len(young) > CACHE:
+            self.old, self.young = young, {}
         if len(self.pieces) > CACHE:
             self.pieces.clear()
-        rest = []
-        for chunk in missing:
-            ids = self.old.get(chunk)
-            if ids is None:
-                ids = self._direct(chunk)
-            if ids is None:
-                rest.append(chunk)
-            else:
-                self.young[chunk] = ids
-        for a in range(0, len(rest), 50_000):
-            part = rest[a : a + 50_000]
-            made = self.tok.encode(" ".join(part), add_special_tokens=False)
-            starts = np.concatenate([[0], np.cumsum([len(x) + 1 for x in part])])
-            at = np.array([o[0] for o in made.offsets], np.int64)
-            cuts = np.searchsorted(at, starts)
-            raw = np.array(made.ids, "<u4").tobytes()
-            for i, chunk in enumerate(part):
-                self.young[chunk] = raw[4 * int(cuts[i]) : 4 * int(cuts[i + 1])]
+        return out
 
     def encode(self, column: pa.Array, end_id: int | None = 1, chunked: bool = True) -> Iterator[np.ndarray]:
         """The uint32 ids of each text, with the end id."""
         end = b"" if end_id is None else np.uint32(end_id).tobytes()
-        for part in textkit.slices(column):
+        for part in textkit.slices(column, 1 << 21):
             texts = [t or "" for t in part.to_pylist()]
             if not chunked:
                 for made in self.tok.encode_batch(texts, add_special_tokens=False):
-                    yield np.frombuffer(np.array(made.ids, np.uint32).tobytes() + end, np.uint32)
+                    yield np.frombuffer(array("I", made.ids).tobytes() + end, np.uint32)
                 continue
             split = [t.replace("\n", " ").split(" ") for t in texts]
-            needed = set().union(*split)
-            self.learn([x for x in needed if x not in self.young])
-            if any(x not in self.young for x in needed):  # a generation began with this slice
-                self.learn([x for x in needed if x not in self.young])
-            find = self.young.__getitem__
+            find = self._found(set().union(*split)).__getitem__
             for chunks in split:
                 yield np.frombuffer(b"".join(map(find, chunks)) + end, np.uint32)
 
