@@ -39,8 +39,8 @@ MAGIC = b"RANKVB01"
 #: Ids of a segment; a longer document makes a longer one.
 SEGMENT_IDS = 1 << 20
 #: Distinct chunks kept per worker in each of two generations.
-CACHE = 60_000
-_SIGNS = tuple(".,:;!?*|#%&$()-")
+CACHE = 200_000
+_SIGNS = frozenset(".,:;!?*|#%&$()-")
 _encoders: dict[str, Encoder] = {}
 
 
@@ -83,14 +83,14 @@ class Encoder:
         return ids
 
     def _direct(self, chunk: str) -> bytes | None:
-        if self.pattern is None or not self.plain.fullmatch(chunk) or "<" in chunk and any(m in chunk for m in self.marks):
+        if self.pattern is None or not (chunk.isascii() or self.plain.fullmatch(chunk)) or "<" in chunk and any(m in chunk for m in self.marks):
             return None
-        chunk = chunk.lower()
-        if chunk.isascii():  # letters, or letters and one sign, are what the pattern would find
-            if chunk.isalpha():
-                return self._piece(chunk)
-            if chunk[-1:] in _SIGNS and chunk[:-1].isalpha():
-                return self._piece(chunk[:-1]) + self._piece(chunk[-1])
+        chunk, pieces = chunk.lower(), self.pieces
+        if chunk.isalpha():  # letters, or letters and one sign, are what the pattern would find
+            return pieces.get(chunk) or self._piece(chunk)
+        head, sign = chunk[:-1], chunk[-1:]
+        if sign in _SIGNS and head.isalpha():
+            return (pieces.get(head) or self._piece(head)) + (pieces.get(sign) or self._piece(sign))
         return b"".join(map(self._piece, self.pattern.findall(chunk)))
 
     def _found(self, needed: set[str]) -> dict[str, bytes]:
@@ -116,7 +116,7 @@ class Encoder:
                 young[chunk] = out[chunk] = raw[4 * int(cuts[i]) : 4 * int(cuts[i + 1])]
         if len(young) > CACHE:
             self.old, self.young = young, {}
-        if len(self.pieces) > CACHE:
+        if len(self.pieces) > 3 * CACHE:
             self.pieces.clear()
         return out
 
