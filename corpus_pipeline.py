@@ -1,8 +1,59 @@
-"""The corpus pipeline; filled in below."""
+"""The corpus pipeline: five stages, each of them one operator on all that the stage before kept.
 
-STAGES = []
+A stage takes (spark, docs, sf_dir), where docs has the columns of ``documents``. All but
+the last return those columns, so that each stage's decisions are the next one's input.
+"""
+
+from __future__ import annotations
+
+import public_tokenizers
+from pyspark.sql import DataFrame, SparkSession
+
+from ranked_theta.llm import decontaminate, mixing, quality, shinglejoin, tokenids
+from ranked_theta.llm.workspace import Workspace
+
+
+def keep_good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the quality classifier accepts."""
+    return quality.keep_good(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near copies, the one with the smallest id."""
+    return shinglejoin.one_of_each(docs, percent=75)
+
+
+def drop_benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold no benchmark item."""
+    return decontaminate.clean(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"), threshold=0.75)
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The mix: each document as often as it is taken."""
+    return mixing.mixed(docs, weights=(3, 1, 2), share=1.5, max_epochs=2.0)
+
+
+def write_token_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token ids written as segments, and their digest as read back: doc_id, start, n_tokens, ids_crc32."""
+    return tokenids.token_report(docs, public_tokenizers.path("word_bpe_49k.json"), end_id=1)
+
+
+STAGES = [
+    ("quality classifier", keep_good_quality),
+    ("n-gram Jaccard join", keep_one_of_each_group),
+    ("benchmark decontamination", drop_benchmark_leaks),
+    ("mixing to target weights", mix_sources),
+    ("token-ID output", write_token_ids),
+]
+
+#: A fitted network has no SQL form; tests hold the stages against brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages over ``documents``, each written as Parquet and read again."""
+    work = Workspace(spark, "pipeline")
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for k, (_, stage) in enumerate(STAGES):
+        docs = work.save(stage(spark, docs, sf_dir), f"stage{k}")
+    return docs

@@ -122,8 +122,8 @@ def _prober(shared, threshold: float):
 
 
 def clean(docs: DataFrame, items: DataFrame, threshold: float = 0.75) -> DataFrame:
-    """The rows of ``docs`` that contain no item; rows without doc_id are judged by their text alone."""
-    bad = leaks(docs, items, threshold).select("doc_id").distinct()
+    """The rows of ``docs`` that contain no item; rows without doc_id go together."""
+    bad = Workspace(docs.sparkSession, "leaks").save(leaks(docs, items, threshold).select("doc_id").distinct(), "bad")
     return docs.join(bad, docs["doc_id"].eqNullSafe(bad["doc_id"]), "left_anti")
 
 

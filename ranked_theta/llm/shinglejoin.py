@@ -282,11 +282,16 @@ def join_report(docs: DataFrame, percent: int = 75) -> DataFrame:
 def one_of_each(docs: DataFrame, percent: int = 75) -> DataFrame:
     """The row with the smallest doc_id of each component, columns unchanged; rows without words stay.
 
-    Of repeated rows with that doc_id one stays.
+    Of repeated rows (equal doc_id and text) one stays.
     """
-    found = join_report(docs, percent).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("kept_id")).distinct()
-    rows = docs.join(found, docs["doc_id"].eqNullSafe(found["kept_id"])).drop("kept_id")
-    return rows.dropDuplicates()
+    work = Workspace(docs.sparkSession, "one-of-each")
+    kept = join_report(docs, percent).where(F.col("doc_id").eqNullSafe(F.col("component_id")))
+    kept = work.save(kept.groupBy(F.col("doc_id").alias("kept_id")).agg(F.count(F.lit(1)).alias("kept_rows")), "kept")
+    rows = docs.join(kept, docs["doc_id"].eqNullSafe(kept["kept_id"]))
+    if kept.where("kept_rows > 1").isEmpty():
+        return rows.select(*[docs[c] for c in docs.columns])
+    once = rows.where("kept_rows = 1").select(*[docs[c] for c in docs.columns])
+    return once.unionByName(rows.where("kept_rows > 1").select(*[docs[c] for c in docs.columns]).dropDuplicates(["doc_id", "text"]))
 
 
 from .decontaminate import _SHINGLES, _WORDS  # noqa: E402
