@@ -2,10 +2,50 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 
-def queries() -> dict:
-    return {}
+from pyspark.sql import DataFrame, SparkSession
 
+from .functions import workloads as W
+from .operators import ranked
 
-def oracle_sql() -> dict:
-    return {}
+RANKED = {
+    "w1_l2_k1000": (W.chain_inequality(2), 1000),
+    "w1_l3_k1000": (W.chain_inequality(3), 1000),
+    "w1_l2_k1": (W.chain_inequality(2), 1),
+    "w2_l2_k1000": (W.chain_band(2), 1000),
+    "w2_l4_k1000": (W.chain_band(4), 1000),
+    "w3_l2_k1000": (W.sales_rise(2), 1000),
+    "w3_l3_k1000": (W.sales_rise(3, "line = 1"), 1000),
+    "w4_l2_k1000": (W.sales_any_date(2), 1000),
+    "w5_l2_k1000": (W.temporal_paths(2), 1000),
+    "w5_l3_k1000": (W.temporal_paths(3), 1000),
+    "w6_l3_k1000": (W.falling_paths(3), 1000),
+    "w7_k1000": (W.near_places(), 1000),
+    "w7_wide_k1000": (W.near_places(160_000), 1000),
+    "w7b_k1000": (W.near_points(), 1000),
+    "w8_l2_k1000": (W.likely_paths(2), 1000),
+}
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Lightest sales sequences of a supplier with rising quantity and ship date."""
+    work, k = RANKED["w3_l2_k1000"]
+    return work.readable(ranked.top_k(work.query(spark, sf_dir), k))
+
+
+def _ranked(name: str) -> Callable[[SparkSession, str], DataFrame]:
+    work, k = RANKED[name]
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return work.readable(ranked.top_k(work.query(spark, sf_dir), k))
+
+    return run
+
+
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    return {name: _ranked(name) for name in RANKED}
+
+
+def oracle_sql() -> dict[str, str]:
+    return {name: work.oracle(k) for name, (work, k) in RANKED.items()}
