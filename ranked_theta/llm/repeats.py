@@ -38,7 +38,7 @@ LENGTH, GRAM = 400, 64
 #: Bytes of a text that are parsed at once; pieces overlap by a string.
 PIECE = 1 << 22
 #: Strings that are ranked at once.
-STRINGS = 1 << 23
+STRINGS = 1 << 20
 _U = np.uint64
 _POSITION = _U((1 << 24) - 1)
 
@@ -135,7 +135,7 @@ def rank_strings(gram_of: np.ndarray, texts: list[bytes], left: np.ndarray, leng
     first, last = np.full(len(texts), -1, np.int64), np.full(len(texts), -1, np.int64)
     size = np.array([len(t) for t in texts])
     step = max(1, STRINGS // max(1, len(texts)))
-    rows = max(1, STRINGS // span)
+    rows = max(1, STRINGS // (2 * span))
     power, back = textkit.powers(span + 1)
     for d0 in range(0, offsets + 1, step):
         ds = np.arange(d0, min(d0 + step, offsets + 1))  # bytes of the string before the trigger
@@ -217,8 +217,7 @@ def removed_ranges(docs: DataFrame, work: Workspace, length: int, gram: int) ->
     ordered = around.repartition(partitions, "gram").sortWithinPartitions("gram", "cls", "pos")
 
     def rank(batches):
-        def ranges(tables):
-            table = pa.concat_tables(tables)
+        def ranges(table):
             g, cls, pos, low = (table.column(k).to_numpy() for k in ("gram", "cls", "pos", "low"))
             # an id that stands for a text twice brings its entries twice
             fresh = np.concatenate([[True], (g[1:] != g[:-1]) | (cls[1:] != cls[:-1]) | (pos[1:] != pos[:-1])])
@@ -227,15 +226,12 @@ def removed_ranges(docs: DataFrame, work: Workspace, length: int, gram: int) ->
             hit = (first >= 0) & table.column("single").to_numpy()
             return pa.RecordBatch.from_pydict({"cls": cls[hit], "a": (low + first)[hit], "b": (low + last + length)[hit]}, schema=pa.schema([("cls", pa.int64()), ("a", pa.int64()), ("b", pa.int64())]))
 
-        held, n = [], 0
-        for table, _ in groups.runs(batches, 1):
-            held.append(table)
-            n += table.num_rows
-            if n >= 8192:
-                yield ranges(held)
-                held, n = [], 0
-        if held:
-            yield ranges(held)
+        for table, bounds in groups.runs(batches, 1):
+            a = 0
+            while a < len(bounds) - 1:  # whole groups, about as many rows as are ranked at once
+                b = max(a + 1, int(np.searchsorted(bounds, bounds[a] + STRINGS // (reach + 1), "right")) - 1)
+                yield ranges(table.slice(int(bounds[a]), int(bounds[b] - bounds[a])))
+                a = b
 
     partly = ordered.mapInArrow(rank, "cls long, a long, b long")
     found = work.save(partly.unionByName(repeated).unionByName(whole), "ranges")
