@@ -10,15 +10,18 @@ from ..plans.jointree import PlanTree, plan_tree
 from ..plans.query import Atom, Query
 from ..sources.staging import Staging
 from . import connectors, fold
-from .ranked import Passes, edge_terms, prepare
+from .ranked import Passes, edge_terms, key_name, prepare
 
 
-def _pair(s: DataFrame, t: DataFrame, where: P.Condition, rid_s: str, rid_t: str) -> tuple[PlanTree, DataFrame, DataFrame, list]:
-    """A two-atom query over aliases s and t with its key columns."""
+def _pair(s: DataFrame, t: DataFrame, where: P.Condition, rid_s: str, rid_t: str, value: str | None = None) -> tuple[PlanTree, DataFrame, DataFrame, list]:
+    """A two-atom query over aliases s and t with its key columns, and ``value`` of t as ``val``."""
     query = Query([Atom("s", s, rid_s, "1"), Atom("t", t, rid_t, "1")], where)
     tree = plan_tree(query, "s")
     passes = Passes(query, tree, None)
-    left, right = (prepare(query, a, passes.sides(a)).drop("w") for a in ("s", "t"))
+    extra = [P.Side("t", value)] if value else []
+    left, right = prepare(query, "s", passes.sides("s")).drop("w"), prepare(query, "t", passes.sides("t") + extra).drop("w")
+    if value:
+        right = right.withColumn("val", F.col(key_name(extra[0])))
     return tree, left, right, edge_terms(tree, "s", "t")
 
 
@@ -40,11 +43,9 @@ def theta_join(s: DataFrame, t: DataFrame, where: P.Condition, method: str = "au
 
 def theta_agg(s: DataFrame, t: DataFrame, where: P.Condition, value: str, fn: str = "sum", out: str = "agg", rid_s: str = "rid", rid_t: str = "rid", ranges: int = 1) -> DataFrame:
     """For each row of s the min, max, sum or count over the joining rows of t, without the join; rows without partner drop out."""
-    _, left, right, terms = _pair(s, t, where, rid_s, rid_t)
     kind = {"min": "min", "max": "min", "sum": "sum", "count": "sum"}[fn]
     expr = {"min": value, "max": f"-({value})", "sum": value, "count": "CAST(1 AS BIGINT)"}[fn]
-    valued = t.select(F.expr(rid_t).alias("_r"), F.expr(expr).alias("val"))
-    right = right.join(valued, F.col("rid") == F.col("_r")).drop("_r")
+    _, left, right, terms = _pair(s, t, where, rid_s, rid_t, expr)
     found = fold.fold(left, right, terms, kind, "agg_", Staging(s.sparkSession, "agg"), "agg", ranges)
     return found.select("rid", (-F.col("agg_") if fn == "max" else F.col("agg_")).alias(out))
 

@@ -50,21 +50,19 @@ def codes(s: DataFrame, t: DataFrame, left: str, right: str, staging: Staging, n
     return swap(s, left), swap(t, right), max(1, (max(n, 1) - 1).bit_length())
 
 
-def median_positions(bits: int) -> list[int]:
-    """For tests of the median split: pivots of ``2**bits`` values are the bit grid itself."""
-    return [1 << k for k in range(bits - 1, -1, -1)]
-
-
 def balanced(rank: Column, count: int) -> Column:
     """Position of a rank in the median-pivot tree of ``count`` values, as a code whose bits are the turns taken.
 
     A set of d values splits at the 0-based index d // 2; the turns, padded on the right,
-    form the code. Written as nested arithmetic over a fixed number of turns.
+    form the code, by a fold over a fixed number of turns.
     """
-    low, size, code = F.lit(0).cast("long"), F.lit(count).cast("long"), F.lit(0).cast("long")
-    for _ in range(max(1, (count - 1).bit_length())):
-        half = F.floor(size / 2)
-        up = (size > 1) & (rank >= low + half)
-        code = code * 2 + F.when(up, 1).otherwise(0)
-        low, size = F.when(up, low + half).otherwise(low), F.when(size <= 1, size).when(up, size - half).otherwise(half)
-    return code.cast("long")
+    turns = F.sequence(F.lit(1), F.lit(max(1, (count - 1).bit_length())))
+    start = F.struct(F.lit(0).cast("long").alias("low"), F.lit(count).cast("long").alias("size"), F.lit(0).cast("long").alias("code"))
+
+    def turn(acc: Column, _: Column) -> Column:
+        half = F.shiftright(acc["size"], 1)
+        up = (acc["size"] > 1) & (rank >= acc["low"] + half)
+        size = F.when(acc["size"] <= 1, acc["size"]).when(up, acc["size"] - half).otherwise(half)
+        return F.struct(F.when(up, acc["low"] + half).otherwise(acc["low"]).alias("low"), size.alias("size"), (acc["code"] * 2 + F.when(up, 1).otherwise(0)).cast("long").alias("code"))
+
+    return F.aggregate(turns, start, turn)["code"]
