@@ -30,6 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from . import textkit
+from .workspace import importable
 
 # The base patterns and their least lengths.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
@@ -173,6 +174,7 @@ def suspects(column: pa.Array) -> np.ndarray:
 def scan(docs: DataFrame, matches: bool = False) -> DataFrame:
     """doc_id, counts of the base kinds, their digest, and all spans; with ``matches`` the matched strings too."""
     schema = [("doc_id", pa.int64()), ("n_assign", pa.int64()), ("n_access", pa.int64()), ("n_hex", pa.int64()), ("base_sha256", pa.string()), ("spans", pa.string())] + [("matches", pa.list_(pa.string()))] * matches
+    importable(docs.sparkSession)
     nothing = hashlib.sha256(b"").hexdigest()
 
     def find(batches):

@@ -11,9 +11,9 @@ consists of little else.
 
 Join. Shingle hashes are dealt into ``DIMENSIONS`` token groups, and a class is the point
 of its counts per group. The sum of coordinate minima bounds the intersection from above.
-First each routed class is tried with the smallest class of each group of its routing
-keys, which is linear; what links becomes a component. Then each routing key's classes
-that are still in different components go into an R-tree over their points: a node holds
+First each routed class is tried with one centre of each group of its routing keys (the
+class whose keys are shared most), which is linear; what links becomes a component. Then each routing key's classes that are still in different components go
+into an R-tree over their points: a node holds
 the largest counts and the range of set sizes below it, and a search leaves out nodes and
 points whose bound can't reach the overlap. Pairs that survive are verified on the exact
 sets. Classes already in one component are not compared again, so a dense group of near
@@ -40,9 +40,13 @@ from .components import components
 from .workspace import Workspace
 
 #: Buckets of the count sketch, token groups of a point, entries of an R-tree node.
-SKETCH, DIMENSIONS, FANOUT = 1 << 18, 32, 16
+SKETCH, DIMENSIONS, FANOUT = 1 << 18, 256, 16
+#: Largest count that a point holds; a point with such a count rules nothing out.
+MOST = 65_535
 #: Classes of one routing key that are joined at once.
 BLOCK = 4096
+#: Bits of the map of wanted texts; members of a group that is compared with others as a whole.
+MARKS, SMALL = 1 << 24, 64
 _U = np.uint64
 
 
@@ -61,7 +65,16 @@ def prefix_length(n: int, percent: int = 75) -> int:
 
 def point(hashes: np.ndarray) -> np.ndarray:
     """Counts per token group; the groups are taken from other bits than the sketch."""
-    return np.bincount((hashes & _U(DIMENSIONS - 1)).astype(np.int64), minlength=DIMENSIONS).astype(np.int32)
+    return np.minimum(np.bincount((hashes & _U(DIMENSIONS - 1)).astype(np.int64), minlength=DIMENSIONS), MOST).astype("<u2")
+
+
+def points_of(raw: list[bytes]) -> np.ndarray:
+    """A row for each point; one that holds ``MOST`` is made to rule nothing out."""
+    out = np.frombuffer(b"".join(raw), "<u2").reshape(-1, DIMENSIONS).astype(np.int32)
+    full = (out == MOST).any(1)
+    if full.any():
+        out[full] = 1 << 22
+    return out
 
 
 def class_name(hashes: np.ndarray) -> int:
@@ -114,7 +127,7 @@ def describe(docs: DataFrame, work: Workspace) -> tuple[DataFrame, np.ndarray]:
         total = np.zeros(SKETCH, np.int64)
         for batch in batches:
             at = 0
-            for part in textkit.slices(batch.column(1)):
+            for part in textkit.slices(batch.column(1), 1 << 21):
                 sets = list(textkit.shingle_sets(part))
                 total += np.bincount(bucket(np.concatenate(sets)), minlength=SKETCH) if sets else 0
                 out = {"doc_id": batch.column(0).slice(at, len(part)), "cls": [class_name(s) for s in sets], "n": [len(s) for s in sets], "point": [point(s).tobytes() for s in sets]}
@@ -137,7 +150,7 @@ def routing_keys(docs: DataFrame, sketch: np.ndarray, percent: int) -> DataFrame
     def route(batches):
         order, seen = shared.value, set()
         for batch in batches:
-            for part in textkit.slices(batch.column(0)):
+            for part in textkit.slices(batch.column(0), 1 << 21):
                 keys, owner = [], []
                 for s in textkit.shingle_sets(part):
                     name = class_name(s) if len(s) else None
@@ -155,35 +168,69 @@ def routing_keys(docs: DataFrame, sketch: np.ndarray, percent: int) -> DataFrame
     return docs.select("text").mapInArrow(route, "key long, cls long")
 
 
-def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, work: Workspace, name: str, percent: int) -> DataFrame:
-    """The pairs (a, b) of classes whose exact sets link."""
-    needed = pairs.select(F.explode(F.array("a", "b")).alias("cls")).distinct()
-    chosen = needed.join(classes.select("cls", "row"), "cls")
+def _only(docs: DataFrame, rows: DataFrame) -> DataFrame:
+    """Rows of ``docs`` whose ``row`` may be among ``rows``: a bitmap of fixed size, so that few other texts are shuffled."""
+    mark = lambda c: F.pmod(F.xxhash64(c), F.lit(MARKS))
+    word, bit = (lambda m: F.shiftright(m, 6)), (lambda m: F.call_function("shiftleft", F.lit(1).cast("long"), m.bitwiseAND(F.lit(63)).cast("int")))
+    marks = rows.select(mark("row").alias("m")).groupBy(word(F.col("m")).alias("word")).agg(F.bit_or(bit(F.col("m"))).alias("bits"))
+    marked = docs.withColumn("m", mark("row")).withColumn("word", word(F.col("m")))
+    return marked.join(F.broadcast(marks), "word").where(F.col("bits").bitwiseAND(bit(F.col("m"))) != 0).drop("m", "word", "bits")  # MARKS / 64 rows at most
+
+
+def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) of classes whose exact sets link.
+
+    The sets of all a of one b go to where the set of b is. A b with very many a is dealt
+    into parts, each with a copy of its set, and sets are read as a stream, so that a task
+    holds two of them.
+    """
+    partitions = max(1, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    salts = pairs.groupBy("b").agg(F.ceil(F.count(F.lit(1)) / 512).alias("salts"))
+    dealt = pairs.join(salts, "b").withColumn("salt", F.pmod(F.xxhash64("a"), F.col("salts")))
+    members = dealt.select(F.col("a").alias("cls"), F.struct(F.col("b").alias("centre"), "salt", F.lit(1).alias("role")).alias("job"))
+    centres = dealt.select(F.col("b").alias("cls"), F.struct(F.col("b").alias("centre"), "salt", F.lit(0).alias("role")).alias("job")).distinct()
+    jobs = members.unionByName(centres).groupBy("cls").agg(F.collect_list("job").alias("jobs")).join(classes.select("cls", "row"), "cls")
+    schema = pa.schema([("centre", pa.int64()), ("salt", pa.int64()), ("role", pa.int32()), ("cls", pa.int64()), ("hashes", pa.binary())])
 
     def sets(batches):
         for batch in batches:
             at = 0
-            for part in textkit.slices(batch.column(1)):
-                # an id may stand for several texts; only the class asked for counts
-                found = [(c, s.tobytes()) for c, s in zip(batch.column(0).slice(at, len(part)).to_pylist(), textkit.shingle_sets(part), strict=True) if class_name(s) == c]
-                yield pa.RecordBatch.from_pydict({"cls": [f[0] for f in found], "hashes": [f[1] for f in found]}, schema=pa.schema([("cls", pa.int64()), ("hashes", pa.binary())]))
+            for part in textkit.slices(batch.column(1), 1 << 21):
+                out, held = {n: [] for n in schema.names}, 0
+                for c, jobs_, hashes in zip(batch.column(0).slice(at, len(part)).to_pylist(), batch.column(2).slice(at, len(part)).to_pylist(), textkit.shingle_sets(part), strict=True):
+                    if class_name(hashes) != c:  # another text of this id
+                        continue
+                    raw = hashes.tobytes()
+                    for j in jobs_:
+                        for n, v in zip(schema.names, (j["centre"], j["salt"], j["role"], c, raw), strict=True):
+                            out[n].append(v)
+                        held += len(raw)
+                        if held > 1 << 23:
+                            yield pa.RecordBatch.from_pydict(out, schema=schema)
+                            out, held = {n: [] for n in schema.names}, 0
+                yield pa.RecordBatch.from_pydict(out, schema=schema)
                 at += len(part)
 
-    texts = docs.join(chosen, docs["row"] == chosen["row"]).select("cls", "text")
-    held = work.save(texts.mapInArrow(sets, "cls long, hashes binary"), f"{name}-sets")
+    texts = _only(docs, jobs).join(jobs, "row").select("cls", "text", "jobs")
+    shipped = texts.mapInArrow(sets, "centre long, salt long, role int, cls long, hashes binary").repartition(partitions, "centre", "salt").sortWithinPartitions("centre", "salt", "role")
 
     def test(batches):
+        held, own = None, None
         for batch in batches:
-            a, b = batch.column(2).to_pylist(), batch.column(3).to_pylist()
-            ok = []
-            for x, y in zip(a, b, strict=True):
-                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-                both = len(np.intersect1d(x, y, assume_unique=True))
-                ok.append(100 * both >= percent * (len(x) + len(y) - both))
-            yield pa.RecordBatch.from_arrays([batch.column(0).filter(pa.array(ok, pa.bool_())), batch.column(1).filter(pa.array(ok, pa.bool_()))], names=["a", "b"])
-
-    pairs = pairs.join(held.select(F.col("cls").alias("a"), F.col("hashes").alias("ha")), "a").join(held.select(F.col("cls").alias("b"), F.col("hashes").alias("hb")), "b")
-    return pairs.select("a", "b", "ha", "hb").mapInArrow(test, "a long, b long")
+            out = {"a": [], "b": []}
+            centre, role, cls = (batch.column(k).to_pylist() for k in (0, 2, 3))
+            for i in range(batch.num_rows):
+                mine = np.frombuffer(batch.column(4)[i].as_buffer(), np.uint64)
+                if role[i] == 0:
+                    held, own = centre[i], mine.copy()
+                elif held == centre[i]:
+                    both = len(np.intersect1d(own, mine, assume_unique=True))
+                    if 100 * both >= percent * (len(own) + len(mine) - both):
+                        out["a"].append(cls[i])
+                        out["b"].append(held)
+            yield pa.RecordBatch.from_pydict(out, schema=pa.schema([("a", pa.int64()), ("b", pa.int64())]))
+
+    return shipped.mapInArrow(test, "a long, b long")
 
 
 def bounded(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
@@ -194,8 +241,11 @@ def bounded(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
     def rule(batches):
         for batch in batches:
             na, nb = batch.column(2).to_numpy(), batch.column(3).to_numpy()
-            pa_, pb = (np.frombuffer(b"".join(batch.column(k).to_pylist()), np.int32).reshape(-1, DIMENSIONS) for k in (4, 5))
-            ok = pa.array(np.minimum(pa_, pb).sum(1) >= overlap_needed(na, nb, percent))
+            ok = np.zeros(batch.num_rows, bool)
+            for i in range(0, batch.num_rows, 1024):
+                pa_, pb = (points_of(batch.column(k).slice(i, 1024).to_pylist()) for k in (4, 5))
+                ok[i : i + 1024] = np.minimum(pa_, pb).sum(1) >= overlap_needed(na[i : i + 1024], nb[i : i + 1024], percent)
+            ok = pa.array(ok)
             yield pa.RecordBatch.from_arrays([batch.column(0).filter(ok), batch.column(1).filter(ok)], names=["a", "b"])
 
     near = (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb"))
@@ -220,7 +270,7 @@ def tree_pairs(routed: DataFrame, percent: int, partitions: int) -> DataFrame:
         done: set[bytes] = set()
         for table, bounds in groups.runs(batches, 2):
             cls, part, n, own, same = (table.column(k).to_numpy() for k in ("cls", "part", "n", "own", "same"))
-            points = np.frombuffer(b"".join(table.column("point").to_pylist()), np.int32).reshape(-1, DIMENSIONS)
+            raw = table.column("point")
             left, right = [], []
             for a, b in zip(bounds[:-1], bounds[1:], strict=True):
                 name = hashlib.blake2b(cls[a:b].tobytes() + own[a:b].tobytes(), digest_size=16).digest()
@@ -229,9 +279,10 @@ def tree_pairs(routed: DataFrame, percent: int, partitions: int) -> DataFrame:
                 done.add(name)
                 if len(done) > 200_000:
                     done.clear()
-                tree = CountTree(points[a:b], n[a:b])
+                points = points_of(raw.slice(int(a), int(b - a)).to_pylist())
+                tree = CountTree(points, n[a:b])
                 for i in range(b - a):
-                    found = tree.search(points[a + i], int(n[a + i]), percent)
+                    found = tree.search(points[i], int(n[a + i]), percent)
                     found = found[(cls[a + found] > cls[a + i]) & (part[a + found] != part[a + i])]
                     if not same[a]:
                         found = found[own[a + found] != own[a + i]]
@@ -252,21 +303,33 @@ def join(docs: DataFrame, percent: int = 75) -> tuple[DataFrame, DataFrame, Work
     # a class is read from the rows with its smallest doc_id
     classes = work.save(described.where("n > 0").groupBy("cls").agg(F.coalesce(F.min("doc_id"), F.lit(-(2**63))).alias("row"), F.first("n").alias("n"), F.first("point").alias("point")), "classes")
     by_key = Window.partitionBy("key")
-    keyed = routing_keys(docs, sketch, percent).withColumn("first", F.min("cls").over(by_key)).withColumn("last", F.max("cls").over(by_key))
-    keyed = work.save(keyed.where(F.col("first") != F.col("last")).select("key", "cls", "first").distinct(), "keyed")
-    stars = keyed.where(F.col("cls") != F.col("first")).select(F.col("cls").alias("a"), F.col("first").alias("b")).distinct()
-    stars = work.save(bounded(stars, classes, percent), "stars")
+    keyed = routing_keys(docs, sketch, percent).withColumn("low", F.min("cls").over(by_key)).withColumn("high", F.max("cls").over(by_key))
+    keyed = work.save(keyed.where("low <> high").select("key", "cls").distinct().withColumn("size", F.count(F.lit(1)).over(by_key)), "keyed")
     source = docs.select(F.coalesce("doc_id", F.lit(-(2**63))).alias("row"), "text")
-    linked = work.save(verified(stars, source, classes, work, "stars", percent), "linked")
-    work.drop("stars-sets")
+    # what others were copied from shares most of its keys with most classes: it is the centre of its groups
+    score = work.save(keyed.groupBy("cls").agg(F.avg("size").alias("score")), "score")
+    stars = keyed.select("key", "cls").join(score, "cls").withColumn("centre", F.max(F.struct("score", "cls")).over(by_key)["cls"])
+    stars = stars.where("cls <> centre").select(F.col("cls").alias("a"), F.col("centre").alias("b")).distinct()
+    stars = work.save(bounded(stars, classes, percent), "stars")
+    linked = work.save(verified(stars, source, classes, percent), "linked")
     parts = components(linked, work, "first")
-    open_keys = keyed.select("key", "cls").join(parts.withColumnRenamed("node", "cls"), "cls", "left").withColumn("part", F.coalesce("component", "cls"))
-    open_keys = open_keys.withColumn("low", F.min("part").over(by_key)).withColumn("high", F.max("part").over(by_key)).where("low <> high")
-    routed = open_keys.select("key", "cls", "part").join(classes.select("cls", "n", "point"), "cls")
-    more = work.save(tree_pairs(routed, percent, partitions).join(stars, ["a", "b"], "left_anti").join(stars.select(F.col("b").alias("a"), F.col("a").alias("b")), ["a", "b"], "left_anti"), "more")
-    more_linked = work.save(verified(more, source, classes, work, "more", percent), "more-linked")
-    work.drop("more-sets")
-    return described, components(linked.unionByName(more_linked), work, "second"), work
+    rows = keyed.select("key", "cls").join(parts.withColumnRenamed("node", "cls"), "cls", "left").withColumn("part", F.coalesce("component", "cls"))
+    rows = rows.withColumn("low", F.min("part").over(by_key)).withColumn("high", F.max("part").over(by_key)).where("low <> high").select("key", "cls", "part")
+    rows = work.save(distinct_groups(rows, by_key), "open")
+    routed = rows.join(classes.select("cls", "n", "point"), "cls")
+    more = tree_pairs(routed, percent, partitions)
+    tried = stars.select(F.greatest("a", "b").alias("x"), F.least("a", "b").alias("y"))
+    more = work.save(more.select(F.greatest("a", "b").alias("x"), F.least("a", "b").alias("y")).distinct().join(tried, ["x", "y"], "left_anti").select(F.col("x").alias("a"), F.col("y").alias("b")), "more")
+    more_linked = work.save(verified(more, source, classes, percent), "more-linked")
+    return described, components(linked.unionByName(more_linked), work, "last"), work
+
+
+def distinct_groups(rows: DataFrame, by_key) -> DataFrame:
+    """The same groups of classes with groups that have equal members (keys of one passage) once; only groups of ``SMALL`` or less are compared."""
+    sized = rows.withColumn("size", F.count(F.lit(1)).over(by_key))
+    small = sized.where(F.col("size") <= SMALL).groupBy("key").agg(F.sort_array(F.collect_list(F.struct("cls", "part"))).alias("members"))
+    small = small.groupBy("members").agg(F.min("key").alias("key")).select("key", F.explode("members").alias("m")).select("key", "m.cls", "m.part")
+    return small.unionByName(sized.where(F.col("size") > SMALL).select("key", "cls", "part"))
 
 
 def join_report(docs: DataFrame, percent: int = 75) -> DataFrame:

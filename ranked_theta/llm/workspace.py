@@ -5,6 +5,7 @@ from __future__ import annotations
 import atexit
 import os
 import uuid
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -18,6 +19,17 @@ def shared_root(spark: SparkSession) -> str:
     return root if ":" in root.split("/")[0] else "file://" + os.path.abspath(root)
 
 
+def importable(spark: SparkSession) -> None:
+    """Lets Python workers on this machine import the package from where the driver did.
+
+    On a cluster the package is shipped with the job, as any other.
+    """
+    home = str(Path(__file__).resolve().parents[2])
+    env = spark.sparkContext.environment
+    if home not in env.get("PYTHONPATH", "").split(os.pathsep):
+        env["PYTHONPATH"] = os.pathsep.join(x for x in (home, env.get("PYTHONPATH", "")) if x)
+
+
 class Workspace:
     """A private folder below the shared root.
 
@@ -27,6 +39,7 @@ class Workspace:
     """
 
     def __init__(self, spark: SparkSession, label: str):
+        importable(spark)
         self.spark = spark
         self.path = f"{shared_root(spark)}/{label}-{uuid.uuid4().hex[:12]}"
         atexit.register(self.drop)
