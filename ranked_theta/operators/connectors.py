@@ -119,18 +119,21 @@ def _segments(bits: int) -> list[tuple[int, int]]:
     return out
 
 
-def _keys(df: DataFrame, rid: str, columns: list[str]) -> DataFrame:
-    rows = df.select(F.col(rid).alias("rid"), *columns)
-    for c in columns:
-        rows = rows.where(F.col(c).isNotNull())
+def _keys(df: DataFrame, rid: str, columns: list[tuple[str, str]]) -> DataFrame:
+    """rid and the columns under new names, rows with nulls left out."""
+    rows = df.select(F.col(rid).alias("rid"), *[F.col(c).alias(name) for c, name in columns])
+    for _, name in columns:
+        rows = rows.where(F.col(name).isNotNull())
     return rows
 
 
 def _term(s: DataFrame, t: DataFrame, preds: list[tuple[Compare, str, str]], staging: Staging, tag: str, method: str) -> Connector:
     """The connector of one conjunction; ``preds`` come with the key columns of both sides."""
+    # a column may stand in several comparisons, and each is coded on its own
+    s, t = _keys(s, "rid", [(a, f"_s{k}") for k, (_, a, _) in enumerate(preds)]), _keys(t, "rid", [(b, f"_t{k}") for k, (_, _, b) in enumerate(preds)])
+    preds = [(p, f"_s{k}", f"_t{k}") for k, (p, _, _) in enumerate(preds)]
     equal = [(a, b) for p, a, b in preds if p.op == "="]
     rest = [(p, a, b) for p, a, b in preds if p.op != "="]
-    s, t = _keys(s, "rid", [a for _, a, _ in preds]), _keys(t, "rid", [b for _, _, b in preds])
     g_s, g_t = F.array(*[F.col(a).cast("string") for a, _ in equal]), F.array(*[F.col(b).cast("string") for _, b in equal])
     s, t = s.withColumn("_g", g_s), t.withColumn("_g", g_t)
     if len(rest) == 1 and method == "multiway" and rest[0][0].op != "band":
@@ -209,7 +212,7 @@ def chain(s: DataFrame, t: DataFrame, pred: tuple[Compare, str, str]) -> Connect
     used for its size and order, and windows take its place in the dynamic program.
     """
     p, a, b = pred
-    s, t = _keys(s, "rid", [a]), _keys(t, "rid", [b])
+    s, t = _keys(s, "rid", [(a, a)]), _keys(t, "rid", [(b, b)])
     up = p.op in ("<", "<=")
     values = t.select(F.col(b).alias("v")).distinct()
     order = Window.orderBy(F.col("v").asc() if up else F.col("v").desc())

@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from ..plans.predicates import Compare, Opaque, to_column
+from ..plans.predicates import Compare, Opaque
 from ..sources.staging import Staging
 from . import connectors, ranks
 
@@ -34,7 +34,7 @@ def _agg(fn: str, c: Column) -> Column:
 def _merge(fn: str, a: Column, b: Column) -> Column:
     if fn == "min":
         return F.when(a.isNull() | (b < a), b).otherwise(a)
-    return F.coalesce(a, F.lit(0)) + F.coalesce(b, F.lit(0))
+    return F.when(a.isNull(), b).when(b.isNull(), a).otherwise(a + b)
 
 
 def _bounds(t: DataFrame, key: str, ranges: int) -> list:
@@ -162,10 +162,4 @@ def fold(s: DataFrame, t: DataFrame, terms: list[list[tuple[Compare, str, str]]]
         return total.withColumnRenamed("_seen", out)
     rest = [c for c in columns if c != "rid"]
     total = total.groupBy("rid").agg(_agg(fn, F.col("_seen")).alias(out), *[F.first(c).alias(c) for c in rest])
-    if fn == "sum":
-        total = total.where(F.col(out) != 0)
     return total.select(*columns, out)
-
-
-def matches(p: Compare, a: Column, b: Column) -> Column:
-    return to_column(p, a, b)
