@@ -11,13 +11,17 @@ consists of little else.
 
 Join. Shingle hashes are dealt into ``DIMENSIONS`` token groups, and a class is the point
 of its counts per group. The sum of coordinate minima bounds the intersection from above.
-First each routed class is tried with one centre of each group of its routing keys (the
-class whose keys are shared most), which is linear; what links becomes a component. Then each routing key's classes that are still in different components go
-into an R-tree over their points: a node holds
-the largest counts and the range of set sizes below it, and a search leaves out nodes and
-points whose bound can't reach the overlap. Pairs that survive are verified on the exact
-sets. Classes already in one component are not compared again, so a dense group of near
-copies costs no quadratic number of pairs, and no link between components is lost.
+First each routed class is tried with a few centres of the groups of its routing keys,
+those that most of its keys have, which is linear; what links becomes a component. A second
+round does the same between components with centres in a random order. Then each routing
+key's classes that are still in different components go into an R-tree over their points:
+a node holds the largest counts and the range of set sizes below it, and a search leaves
+out nodes and points whose bound can't reach the overlap. A pair comes up under every key
+that it shares; each class carries its ``HEAD`` smallest keys, and a pair that shares some
+of these is reported under the smallest of them only. Pairs that survive are verified on
+the exact sets. Classes already in one component are not compared again, so a dense group
+of near copies costs no quadratic number of pairs, and no link between components is lost:
+the centres only save work, and whatever they leave open the search compares.
 
 Nulls: a null text or one without words has an empty set and links with nothing; one to
 four words are one shingle; a null doc_id takes part in links, and a component of null
@@ -42,7 +46,11 @@ from .workspace import Workspace
 #: Buckets of the count sketch, token groups of a point, entries of an R-tree node.
 SKETCH, DIMENSIONS, FANOUT = 1 << 18, 256, 16
 #: Largest count that a point holds; a point with such a count rules nothing out.
-MOST = 65_535
+MOST = 255
+#: Smallest routing keys that a class carries, and what stands for none.
+HEAD, NO_KEY = 8, -(2**63)
+#: Centres that a class is tried with in each round before the search; orders of centres in the second.
+CENTRES, ORDERS = (3, 8), 16
 #: Classes of one routing key that are joined at once.
 BLOCK = 4096
 #: Bits of the map of wanted texts; members of a group that is compared with others as a whole.
@@ -65,12 +73,12 @@ def prefix_length(n: int, percent: int = 75) -> int:
 
 def point(hashes: np.ndarray) -> np.ndarray:
     """Counts per token group; the groups are taken from other bits than the sketch."""
-    return np.minimum(np.bincount((hashes & _U(DIMENSIONS - 1)).astype(np.int64), minlength=DIMENSIONS), MOST).astype("<u2")
+    return np.minimum(np.bincount((hashes & _U(DIMENSIONS - 1)).astype(np.int64), minlength=DIMENSIONS), MOST).astype("u1")
 
 
 def points_of(raw: list[bytes]) -> np.ndarray:
     """A row for each point; one that holds ``MOST`` is made to rule nothing out."""
-    out = np.frombuffer(b"".join(raw), "<u2").reshape(-1, DIMENSIONS).astype(np.int32)
+    out = np.frombuffer(b"".join(raw), "u1").reshape(-1, DIMENSIONS).astype(np.int32)
     full = (out == MOST).any(1)
     if full.any():
         out[full] = 1 << 22
@@ -252,29 +260,50 @@ def bounded(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
     return pairs.join(a, "a").join(b, "b").where(near).select("a", "b", "na", "nb", "pa", "pb").mapInArrow(rule, "a long, b long")
 
 
-def tree_pairs(routed: DataFrame, percent: int, partitions: int) -> DataFrame:
+def star_pairs(rows: DataFrame, order, most: int) -> DataFrame:
+    """(a, b): each class with the ``most`` centres that the most of its keys have.
+
+    ``rows``: key, cls, part; a key's centre is its class that comes last in ``order``.
+    Pairs of one part are left out.
+    """
+    centres = rows.groupBy("key").agg(F.max(F.struct(order.alias("by"), "cls", "part")).alias("c"))
+    pairs = rows.join(centres, "key").where(F.col("part") != F.col("c.part")).groupBy(F.col("cls").alias("a"), F.col("c.cls").alias("b")).agg(F.count(F.lit(1)).alias("keys"))
+    place = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("keys"), "b"))
+    return pairs.withColumn("place", place).where(F.col("place") <= most).select("a", "b")
+
+
+def with_heads(rows: DataFrame, classes: DataFrame) -> DataFrame:
+    """(cls, n, point, head0, ...) of the classes in ``rows`` (key, cls), with their smallest keys there."""
+    heads = rows.groupBy("cls").agg(F.slice(F.sort_array(F.collect_list("key")), 1, HEAD).alias("head"))  # one set's keys
+    return classes.join(heads, "cls").select("cls", "n", "point", *[F.coalesce(F.get("head", F.lit(i)), F.lit(NO_KEY)).alias(f"head{i}") for i in range(HEAD)])
+
+
+def tree_pairs(rows: DataFrame, described: DataFrame, percent: int, partitions: int) -> DataFrame:
     """Pairs of one routing key and different components that an R-tree search finds.
 
-    ``routed``: key, cls, part, n, point. A key with more than ``BLOCK`` classes is dealt
-    into blocks, and each pair of blocks is joined on its own.
+    ``rows``: key, cls, part; ``described``: what ``with_heads`` has of each class. A key
+    with more than ``BLOCK`` classes is dealt into blocks, and each pair of blocks is
+    joined on its own.
     """
     blocks = F.ceil(F.count(F.lit(1)) / BLOCK).cast("long")
-    large = routed.groupBy("key").agg(blocks.alias("blocks")).where("blocks > 1")
-    rows = routed.join(large, "key", "left").withColumn("blocks", F.coalesce("blocks", F.lit(1).cast("long")))
+    large = rows.groupBy("key").agg(blocks.alias("blocks")).where("blocks > 1")
+    rows = rows.join(large, "key", "left").withColumn("blocks", F.coalesce("blocks", F.lit(1).cast("long")))
     rows = rows.withColumn("own", F.pmod(F.xxhash64("cls"), F.col("blocks")))
     rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
     rows = rows.withColumn("pair", F.least("own", "other") * F.col("blocks") + F.greatest("own", "other")).withColumn("same", F.col("own") == F.col("other"))
-    rows = rows.select("key", "pair", "cls", "part", "n", "point", "own", "same").repartition(partitions, "key", "pair").sortWithinPartitions("key", "pair", "cls")
+    heads = [f"head{i}" for i in range(HEAD)]
+    rows = rows.join(described, "cls").select("key", "pair", "cls", "part", "n", "point", "own", "same", *heads).repartition(partitions, "key", "pair").sortWithinPartitions("key", "pair", "cls")
 
     def search(batches):
         done: set[bytes] = set()
         for table, bounds in groups.runs(batches, 2):
-            cls, part, n, own, same = (table.column(k).to_numpy() for k in ("cls", "part", "n", "own", "same"))
+            key, cls, part, n, own, same = (table.column(k).to_numpy() for k in ("key", "cls", "part", "n", "own", "same"))
+            head = np.stack([table.column(k).to_numpy() for k in heads], axis=1)
             raw = table.column("point")
             left, right = [], []
             for a, b in zip(bounds[:-1], bounds[1:], strict=True):
                 name = hashlib.blake2b(cls[a:b].tobytes() + own[a:b].tobytes(), digest_size=16).digest()
-                if b - a < 2 or name in done:  # keys of one passage have the same classes
+                if b - a < 2 or name in done:  # keys of one passage have the same classes; the smallest came first
                     continue
                 done.add(name)
                 if len(done) > 200_000:
@@ -286,12 +315,21 @@ def tree_pairs(routed: DataFrame, percent: int, partitions: int) -> DataFrame:
                     found = found[(cls[a + found] > cls[a + i]) & (part[a + found] != part[a + i])]
                     if not same[a]:
                         found = found[own[a + found] != own[a + i]]
+                    if len(found):
+                        found = found[reported_here(key[a], head[a + i], head[a + found])]
                     left.append(np.full(len(found), cls[a + i]))
                     right.append(cls[a + found])
             if left:
                 yield pa.RecordBatch.from_pydict({"a": np.concatenate(left), "b": np.concatenate(right)}, schema=pa.schema([("a", pa.int64()), ("b", pa.int64())]))
 
-    return rows.mapInArrow(search, "a long, b long").distinct()
+    return rows.mapInArrow(search, "a long, b long")
+
+
+def reported_here(key: int, head: np.ndarray, heads: np.ndarray) -> np.ndarray:
+    """Which of ``heads`` share no key with ``head``, or ``key`` as the smallest one."""
+    shared = np.isin(heads, head[head != NO_KEY])
+    first = np.where(shared, heads, np.iinfo(np.int64).max).min(1)
+    return (first == key) | ~shared.any(1)
 
 
 def join(docs: DataFrame, percent: int = 75) -> tuple[DataFrame, DataFrame, Workspace]:
@@ -308,22 +346,35 @@ def join(docs: DataFrame, percent: int = 75) -> tuple[DataFrame, DataFrame, Work
     source = docs.select(F.coalesce("doc_id", F.lit(-(2**63))).alias("row"), "text")
     # what others were copied from shares most of its keys with most classes: it is the centre of its groups
     score = work.save(keyed.groupBy("cls").agg(F.avg("size").alias("score")), "score")
-    stars = keyed.select("key", "cls").join(score, "cls").withColumn("centre", F.max(F.struct("score", "cls")).over(by_key)["cls"])
-    stars = stars.where("cls <> centre").select(F.col("cls").alias("a"), F.col("centre").alias("b")).distinct()
-    stars = work.save(bounded(stars, classes, percent), "stars")
-    linked = work.save(verified(stars, source, classes, percent), "linked")
-    parts = components(linked, work, "first")
-    rows = keyed.select("key", "cls").join(parts.withColumnRenamed("node", "cls"), "cls", "left").withColumn("part", F.coalesce("component", "cls"))
-    rows = rows.withColumn("low", F.min("part").over(by_key)).withColumn("high", F.max("part").over(by_key)).where("low <> high").select("key", "cls", "part")
-    rows = work.save(distinct_groups(rows, by_key), "open")
-    routed = rows.join(classes.select("cls", "n", "point"), "cls")
-    more = tree_pairs(routed, percent, partitions)
-    tried = stars.select(F.greatest("a", "b").alias("x"), F.least("a", "b").alias("y"))
-    more = work.save(more.select(F.greatest("a", "b").alias("x"), F.least("a", "b").alias("y")).distinct().join(tried, ["x", "y"], "left_anti").select(F.col("x").alias("a"), F.col("y").alias("b")), "more")
+    stars = star_pairs(keyed.select("key", "cls", F.col("cls").alias("part")).join(score, "cls"), F.col("score"), CENTRES[0])
+    tried = work.save(bounded(stars, classes, percent), "stars")
+    linked = work.save(verified(tried, source, classes, percent), "linked")
+    rows = still_apart(keyed, components(linked, work, "first"), work, "apart")
+    stars = star_pairs(rows, F.xxhash64("cls", F.pmod("key", F.lit(ORDERS))), CENTRES[1])
+    again = work.save(bounded(_ordered(stars, tried), classes, percent), "stars-again")
+    linked = work.save(linked.unionByName(verified(again, source, classes, percent)), "linked-again")
+    rows = still_apart(rows, components(linked, work, "second"), work, "apart-again")
+    rows = work.save(distinct_groups(rows, Window.partitionBy("key")), "open")
+    more = tree_pairs(rows, with_heads(rows, classes), percent, partitions)
+    more = work.save(_ordered(more, tried.unionByName(again)), "more")
     more_linked = work.save(verified(more, source, classes, percent), "more-linked")
     return described, components(linked.unionByName(more_linked), work, "last"), work
 
 
+def _ordered(pairs: DataFrame, tried: DataFrame) -> DataFrame:
+    """Each pair once, without those that were tried."""
+    once = lambda p: p.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
+    return once(pairs).distinct().join(once(tried), ["a", "b"], "left_anti")
+
+
+def still_apart(rows: DataFrame, parts: DataFrame, work: Workspace, name: str) -> DataFrame:
+    """(key, cls, part) of the keys with classes of more than one component."""
+    by_key = Window.partitionBy("key")
+    rows = rows.select("key", "cls").join(parts.withColumnRenamed("node", "cls"), "cls", "left").select("key", "cls", F.coalesce("component", "cls").alias("part"))
+    rows = rows.withColumn("low", F.min("part").over(by_key)).withColumn("high", F.max("part").over(by_key)).where("low <> high")
+    return work.save(rows.select("key", "cls", "part"), name)
+
+
 def distinct_groups(rows: DataFrame, by_key) -> DataFrame:
     """The same groups of classes with groups that have equal members (keys of one passage) once; only groups of ``SMALL`` or less are compared."""
     sized = rows.withColumn("size", F.count(F.lit(1)).over(by_key))
