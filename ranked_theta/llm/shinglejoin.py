@@ -185,9 +185,12 @@ def _only(docs: DataFrame, rows: DataFrame) -> DataFrame:
     return marked.join(F.broadcast(marks), "word").where(F.col("bits").bitwiseAND(bit(F.col("m"))) != 0).drop("m", "word", "bits")  # MARKS / 64 rows at most
 
 
-def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, percent: int, exact: bool = True) -> DataFrame:
     """The pairs (a, b) of classes whose exact sets link.
 
+    Without ``exact``: the pairs that counts in 65,536 token groups don't rule out. Two
+    bytes of each hash are shipped then, a quarter of the set.
+
     The sets of all a of one b go to where the set of b is. A b with very many a is dealt
     into parts, each with a copy of its set, and sets are read as a stream, so that a task
     holds two of them.
@@ -208,7 +211,7 @@ def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, percent: int
                 for c, jobs_, hashes in zip(batch.column(0).slice(at, len(part)).to_pylist(), batch.column(2).slice(at, len(part)).to_pylist(), textkit.shingle_sets(part), strict=True):
                     if class_name(hashes) != c:  # another text of this id
                         continue
-                    raw = hashes.tobytes()
+                    raw = (hashes if exact else hashes.astype("<u2")).tobytes()
                     for j in jobs_:
                         for n, v in zip(schema.names, (j["centre"], j["salt"], j["role"], c, raw), strict=True):
                             out[n].append(v)
@@ -223,16 +226,17 @@ def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, percent: int
     shipped = texts.mapInArrow(sets, "centre long, salt long, role int, cls long, hashes binary").repartition(partitions, "centre", "salt").sortWithinPartitions("centre", "salt", "role")
 
     def test(batches):
-        held, own = None, None
+        held, own, counts = None, None, None
         for batch in batches:
             out = {"a": [], "b": []}
             centre, role, cls = (batch.column(k).to_pylist() for k in (0, 2, 3))
             for i in range(batch.num_rows):
-                mine = np.frombuffer(batch.column(4)[i].as_buffer(), np.uint64)
+                mine = np.frombuffer(batch.column(4)[i].as_buffer(), np.uint64 if exact else "<u2")
                 if role[i] == 0:
                     held, own = centre[i], mine.copy()
+                    counts = None if exact else np.bincount(own, minlength=1 << 16)
                 elif held == centre[i]:
-                    both = len(np.intersect1d(own, mine, assume_unique=True))
+                    both = len(np.intersect1d(own, mine, assume_unique=True)) if exact else int(np.minimum(counts, np.bincount(mine, minlength=1 << 16)).sum())
                     if 100 * both >= percent * (len(own) + len(mine) - both):
                         out["a"].append(cls[i])
                         out["b"].append(held)
@@ -357,6 +361,7 @@ def join(docs: DataFrame, percent: int = 75) -> tuple[DataFrame, DataFrame, Work
     rows = work.save(distinct_groups(rows, Window.partitionBy("key")), "open")
     more = tree_pairs(rows, with_heads(rows, classes), percent, partitions)
     more = work.save(_ordered(more, tried.unionByName(again)), "more")
+    more = work.save(verified(more, source, classes, percent, exact=False), "more-fine")
     more_linked = work.save(verified(more, source, classes, percent), "more-linked")
     return described, components(linked.unionByName(more_linked), work, "last"), work
 
