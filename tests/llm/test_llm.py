@@ -292,3 +292,11 @@ def test_coding_and_encoder():
     tok = Tokenizer.from_file(PATH)
     for text, ids in zip(texts, tokenids.encoder(PATH).encode(pa.array(texts)), strict=True):
         assert ids.tolist() == [*tok.encode(text, add_special_tokens=False).ids, 1]
+
+
+def test_a_pair_is_reported_under_its_smallest_shared_key():
+    none = shinglejoin.NO_KEY
+    head = np.array([3, 5, 9, none])
+    others = np.array([[3, 9, 11, none], [5, 9, 12, 13], [4, 6, 7, none]])
+    assert shinglejoin.reported_here(3, head, others).tolist() == [True, False, True]
+    assert shinglejoin.reported_here(9, head, others).tolist() == [False, False, True]
