@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontaminate, embeddings, mixing, quality, repeats, secrets, shinglejoin, tokenids, warc
+from . import decontaminate, embeddings, lengths, mixing, quality, repeats, secrets, shinglejoin, tokenids, warc
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -19,6 +19,11 @@ def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_report(_table(spark, sf_dir, "documents"), weights=(3, 1, 2), share=1.5, max_epochs=2.0)
 
 
+def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Encoded lengths of all texts in the lower-case word tokenizer, with totals at every context limit."""
+    return lengths.count_report(_table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"), end_id=1)
+
+
 def op3_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents whose sets of five-word shingles have a Jaccard similarity of 0.75 or more."""
     return shinglejoin.join_report(_table(spark, sf_dir, "documents"), percent=75)
@@ -60,7 +65,7 @@ def op10_token_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mix_sources, op3_jaccard_join, op4_warc_archives, op5_secret_scan, op6_embedding_duplicates, op7_repeated_strings, op8_benchmark_leaks, op9_quality_scores, op10_token_ids)}
+    return {f.__name__: f for f in (op1_mix_sources, op2_token_counts, op3_jaccard_join, op4_warc_archives, op5_secret_scan, op6_embedding_duplicates, op7_repeated_strings, op8_benchmark_leaks, op9_quality_scores, op10_token_ids)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -13,7 +13,7 @@ import pyarrow as pa
 import pytest
 from tokenizers import Tokenizer
 
-from ranked_theta.llm import decontaminate, embeddings, mixing, quality, repeats, secrets, shinglejoin, textkit, tokenids, warc
+from ranked_theta.llm import decontaminate, embeddings, lengths, mixing, quality, repeats, secrets, shinglejoin, textkit, tokenids, warc
 
 PATH = public_tokenizers.path("word_bpe_49k.json")
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, mix string"
@@ -282,6 +282,22 @@ def test_token_ids(spark, docs):
     assert tokenids.token_report(docs.limit(0), PATH).count() == 0
 
 
+def test_token_counts_at_every_limit(spark, docs, monkeypatch):
+    tok = Tokenizer.from_file(PATH)
+    found = [len(tok.encode(t or "", add_special_tokens=False).ids) + 1 for _, t, *_ in corpus()]
+    expected = []
+    for limit in range(max(found) + 1):
+        cut, within = sum(min(n, limit) for n in found), sum(n <= limit for n in found)
+        expected.append((limit, found.count(limit), within, 100 * within // len(found), cut, sum(found) - cut, sum(n for n in found if n >= limit), len(found), sum(found)))
+    for bits in (10, 4):  # one range and several
+        monkeypatch.setattr(lengths, "RANGE_BITS", bits)
+        assert sorted(map(tuple, lengths.count_report(docs, PATH).collect())) == expected
+    assert lengths.count_report(docs.limit(0), PATH).count() == 0
+    from ranked_theta.llm import catalog
+
+    assert "op2_token_counts" in catalog.queries()
+
+
 def test_coding_and_encoder():
     for n in (0, 1, 5, 1000):
         v = np.random.default_rng(n).choice([0, 5, 255, 256, 65535, 65536, 2**24, 2**32 - 1], n).astype(np.uint32)
