@@ -12,13 +12,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def slices(spark: SparkSession, sf_dir: str, modulus: int = 40, domain: int = 10_000) -> DataFrame:
-    """rid, a, b, w, m from orders: two whole columns in [0, domain) and an exact weight."""
+def slices(spark: SparkSession, sf_dir: str, modulus: int = 1, domain: int = 10_000) -> DataFrame:
+    """rid, a, b, w, m from all orders: two whole columns in [0, domain), an exact weight, and a part number below ``modulus`` for size sweeps."""
     cents = _CENTS.format("o_totalprice")
     return table(spark, sf_dir, "orders").selectExpr("o_orderkey AS rid", f"(o_orderkey * 7919 + o_custkey * 104729) % 10000 % {domain} AS a", f"{cents} % 10000 % {domain} AS b", f"{cents} AS w", f"o_orderkey % {modulus} AS m")
 
 
-def slices_sql(modulus: int = 40, domain: int = 10_000) -> str:
+def slices_sql(modulus: int = 1, domain: int = 10_000) -> str:
     cents = _CENTS.format("o_totalprice")
     return f"SELECT o_orderkey AS rid, (o_orderkey * 7919 + o_custkey * 104729) % 10000 % {domain} AS a, {cents} % 10000 % {domain} AS b, {cents} AS w, o_orderkey % {modulus} AS m FROM orders"
 

@@ -75,14 +75,19 @@ class Workload:
         return found.withColumns({f"rid_{i + 1}": F.concat_ws("|", *[F.col(f"rid_{i + 1}.{f.name}").cast("string") for f in found.schema[f"rid_{i + 1}"].dataType.fields]) for i in range(self.length)})
 
 
-def chain_inequality(length: int, modulus: int = 40, domain: int = 10_000, rank: Rank | None = None) -> Workload:
+def _parts(length: int, modulus: int) -> tuple[str | None, ...]:
+    """Filters of the atoms: none, so that each is the whole table, or one part each at the smaller sizes of a sweep."""
+    return (None,) * length if modulus == 1 else tuple(f"m = {i}" for i in range(length))
+
+
+def chain_inequality(length: int, modulus: int = 1, domain: int = 10_000, rank: Rank | None = None) -> Workload:
     """Synthetic single inequality: left.b < right.a."""
-    return Workload(lambda s, d: views.slices(s, d, modulus, domain), views.slices_sql(modulus, domain), tuple(f"m = {i}" for i in range(length)), "w", rank or Rank.sum(), lambda a, b: lt(f"{a}.b", f"{b}.a"), "{l}.b < {r}.a")
+    return Workload(lambda s, d: views.slices(s, d, modulus, domain), views.slices_sql(modulus, domain), _parts(length, modulus), "w", rank or Rank.sum(), lambda a, b: lt(f"{a}.b", f"{b}.a"), "{l}.b < {r}.a")
 
 
-def chain_band(length: int, modulus: int = 40) -> Workload:
+def chain_band(length: int, modulus: int = 1) -> Workload:
     """Synthetic band and non-equality."""
-    return Workload(lambda s, d: views.slices(s, d, modulus), views.slices_sql(modulus), tuple(f"m = {i}" for i in range(length)), "w", Rank.sum(), lambda a, b: band(f"{a}.b", f"{b}.a", 50) & ne(f"{a}.a", f"{b}.a"), "abs({l}.b - {r}.a) < 50 AND {l}.a <> {r}.a")
+    return Workload(lambda s, d: views.slices(s, d, modulus), views.slices_sql(modulus), _parts(length, modulus), "w", Rank.sum(), lambda a, b: band(f"{a}.b", f"{b}.a", 50) & ne(f"{a}.a", f"{b}.a"), "abs({l}.b - {r}.a) < 50 AND {l}.a <> {r}.a")
 
 
 def sales_rise(length: int, where: str | None = None) -> Workload:
@@ -121,6 +126,6 @@ def likely_paths(length: int) -> Workload:
     return Workload(views.edges, views.edges_sql(), ("prob is not null",) * length, "prob", Rank.product(), lambda a, b: eq(f"{a}.dst", f"{b}.src") & lt(f"{a}.ts", f"{b}.ts"), "{l}.dst = {r}.src AND {l}.ts < {r}.ts")
 
 
-def triangle(modulus: int = 40) -> Workload:
+def triangle() -> Workload:
     """Cycle of three inequalities."""
-    return Workload(lambda s, d: views.slices(s, d, modulus), views.slices_sql(modulus), ("m = 0", "m = 1", "m = 2"), "w", Rank.sum(), lambda a, b: lt(f"{a}.b", f"{b}.a"), "{l}.b < {r}.a", close=(lambda a, b: lt(f"{a}.b", f"{b}.a"), "{l}.b < {r}.a"))
+    return Workload(lambda s, d: views.slices(s, d), views.slices_sql(), (None,) * 3, "w", Rank.sum(), lambda a, b: lt(f"{a}.b", f"{b}.a"), "{l}.b < {r}.a", close=(lambda a, b: lt(f"{a}.b", f"{b}.a"), "{l}.b < {r}.a"))
