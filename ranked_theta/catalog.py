@@ -250,6 +250,56 @@ def _sql_front(spark: SparkSession, sf_dir: str) -> DataFrame:
 _SQL = f"{_EDGES} SELECT row_number() OVER (ORDER BY weight, rid_1, rid_2) AS rank, * FROM (SELECT (e.s + f.s)::BIGINT AS weight, e.rid AS rid_1, f.rid AS rid_2 FROM v e, v f WHERE e.dst = f.src AND e.ts < f.ts AND (e.s < f.s OR e.r > f.r) AND e.dst < 50 ORDER BY 1, 2, 3 LIMIT 300)"
 
 
+def _named_sweep(made: list[tuple[str, int, int, W.Workload]], column: str, ks: Callable[[int], tuple[int, ...]]) -> Entry:
+    """Sizes and top k of several workloads under a growing parameter: (name, value, length, workload).
+
+    answers is the size of the join (as text: long chains pass 64 bits); found, first and
+    last are how many answers the top k has and the weights of its ends. Some lengths are
+    too much for a plain join in SQL, so that there is none.
+    """
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        out = None
+        for name, value, length, work in made:
+            size = ranked.count_answers(work.query(spark, sf_dir), exact=True)
+            for k in ks(length):
+                top = ranked.top_k(work.query(spark, sf_dir), k)
+                top = top.agg(F.count(F.lit(1)).alias("found"), F.min_by("weight", "rank").alias("first"), F.max_by("weight", "rank").alias("last"))
+                marks = [F.lit(name).alias("workload"), F.lit(value).cast("long").alias(column), F.lit(length).cast("long").alias("length"), F.lit(k).cast("long").alias("k")]
+                one = size.crossJoin(top).select(*marks[: 2 if column == "length" else 3], marks[3], F.col("answers").cast("string").alias("answers"), "found", "first", "last")
+                # every point is done before the next one is planned
+                held = spark.createDataFrame(one.collect(), one.schema)
+                out = held if out is None else out.unionByName(held)
+        return out
+
+    return run, None
+
+
+def _sizes_of(length: int, make: Callable[[int], W.Workload], name: str) -> list[tuple[str, int, int, W.Workload]]:
+    return [(name, m, length, make(m)) for m in SIZES]
+
+
+#: Points of the size sweep: one part in so many of the table per atom; 1 is the whole table for each.
+SIZES = (100, 40, 8, 1)
+
+
+def size_points() -> list[tuple[str, int, int, W.Workload]]:
+    """(workload, modulus, length, query) of the size sweep."""
+    made = []
+    for length in (2, 4):
+        made += _sizes_of(length, lambda m, n=length: W.chain_inequality(n, m), "w1") + _sizes_of(length, lambda m, n=length: W.chain_band(n, m), "w2")
+    return made + _sizes_of(3, lambda m: W.sales_rise(3, modulus=m), "w3") + _sizes_of(3, lambda m: W.sales_any_date(3, modulus=m), "w4")
+
+
+def length_points() -> list[tuple[str, int, int, W.Workload]]:
+    """(workload, length, length, query) of the length sweep."""
+    return [(name, n, n, make(n)) for name, make in (("w5", W.temporal_paths), ("w6", W.falling_paths)) for n in range(2, 11)]
+
+
+def _depths(length: int) -> tuple[int, ...]:
+    return (1, 1000, 1_000_000) if length <= 3 else (1000,)
+
+
 def _sweep(made: dict[int, W.Workload], column: str) -> Entry:
     """Sizes of one workload under a growing parameter."""
 
@@ -334,8 +384,8 @@ def _entries() -> dict[str, Entry]:
     work = W.chain_band(4)
     out["enumerate_all_w2_l4"] = (out["enumerate_all_w2_l4"][0], f"SELECT weight, rid_1, rid_2, rid_3, rid_4 FROM ({work.oracle(10_000_000)})")
     out |= {"op_asof": (_asof, _ASOF), "op_interval_overlap": (_intervals, _INTERVALS), "sql_front": (_sql_front, _SQL), "explain_w5": (_explain, None)}
-    out["w11_size_sweep"] = _sweep({m: W.chain_inequality(2, m) for m in (100, 40, 8, 1)}, "modulus")
-    out["w12_length_sweep"] = _sweep({n: W.temporal_paths(n) for n in (2, 3)}, "length")
+    out["w11_size_sweep"] = _named_sweep(size_points(), "modulus", lambda length: (1000,))
+    out["w12_length_sweep"] = _named_sweep(length_points(), "length", _depths)
     out["w13_width_sweep"] = _sweep({10_000 * 2**j: W.near_places(10_000 * 2**j) for j in range(6)}, "eps")
     out["w14_domain_sweep"] = _sweep({2**j: W.chain_inequality(2, domain=2**j) for j in (4, 8, 12)}, "domain")
     out |= {"stream_windowed_top5": (_windowed, _WINDOWED), "stream_continuous_top100": (_continuous, _CONTINUOUS)}

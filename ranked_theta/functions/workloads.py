@@ -90,15 +90,20 @@ def chain_band(length: int, modulus: int = 1) -> Workload:
     return Workload(lambda s, d: views.slices(s, d, modulus), views.slices_sql(modulus), _parts(length, modulus), "w", Rank.sum(), lambda a, b: band(f"{a}.b", f"{b}.a", 50) & ne(f"{a}.a", f"{b}.a"), "abs({l}.b - {r}.a) < 50 AND {l}.a <> {r}.a")
 
 
-def sales_rise(length: int, where: str | None = None) -> Workload:
+def _sales_part(modulus: int) -> str | None:
+    """As ``_parts``: the suppliers of one part, since only sales of one supplier join."""
+    return None if modulus == 1 else f"supp % {modulus} = 0"
+
+
+def sales_rise(length: int, where: str | None = None, modulus: int = 1) -> Workload:
     """Sales of one supplier with rising quantity and ship date."""
-    return Workload(views.sales, views.sales_sql(), (where,) * length, "w", Rank.sum(), lambda a, b: all_of(eq(f"{a}.supp", f"{b}.supp"), lt(f"{a}.qty", f"{b}.qty"), lt(f"{a}.ship", f"{b}.ship")), "{l}.supp = {r}.supp AND {l}.qty < {r}.qty AND {l}.ship < {r}.ship", True)
+    return Workload(views.sales, views.sales_sql(), (where or _sales_part(modulus),) * length, "w", Rank.sum(), lambda a, b: all_of(eq(f"{a}.supp", f"{b}.supp"), lt(f"{a}.qty", f"{b}.qty"), lt(f"{a}.ship", f"{b}.ship")), "{l}.supp = {r}.supp AND {l}.qty < {r}.qty AND {l}.ship < {r}.ship", True)
 
 
-def sales_any_date(length: int, where: str | None = None) -> Workload:
+def sales_any_date(length: int, where: str | None = None, modulus: int = 1) -> Workload:
     """As ``sales_rise``, with any of three dates rising."""
     dates = ("ship", "commit_", "receipt")
-    return Workload(views.sales, views.sales_sql(), (where,) * length, "w", Rank.sum(), lambda a, b: all_of(eq(f"{a}.supp", f"{b}.supp"), lt(f"{a}.qty", f"{b}.qty"), any_of(*[lt(f"{a}.{d}", f"{b}.{d}") for d in dates])), "{l}.supp = {r}.supp AND {l}.qty < {r}.qty AND (" + " OR ".join(f"{{l}}.{d} < {{r}}.{d}" for d in dates) + ")", True)
+    return Workload(views.sales, views.sales_sql(), (where or _sales_part(modulus),) * length, "w", Rank.sum(), lambda a, b: all_of(eq(f"{a}.supp", f"{b}.supp"), lt(f"{a}.qty", f"{b}.qty"), any_of(*[lt(f"{a}.{d}", f"{b}.{d}") for d in dates])), "{l}.supp = {r}.supp AND {l}.qty < {r}.qty AND (" + " OR ".join(f"{{l}}.{d} < {{r}}.{d}" for d in dates) + ")", True)
 
 
 def temporal_paths(length: int) -> Workload:

@@ -218,8 +218,11 @@ def dp_values(query: Query, alias: str, root: str | None = None) -> DataFrame:
     return passes.up[alias].select("rid", query.rank.shown(F.col("pi.w")).alias("best"))
 
 
-def count_answers(query: Query, root: str | None = None, ranges: int = 1) -> DataFrame:
-    """(answers): the size of the join, by sums in place of minima; nothing is materialised."""
+def count_answers(query: Query, root: str | None = None, ranges: int = 1, exact: bool = False) -> DataFrame:
+    """(answers): the size of the join, by sums in place of minima; nothing is materialised.
+
+    A 64-bit number, or with ``exact`` a decimal of 38 digits.
+    """
     passes = _passes(query, root, ranges)
     tree, done = passes.tree, {}
     for alias in reversed(tree.preorder()):
@@ -229,7 +232,7 @@ def count_answers(query: Query, root: str | None = None, ranges: int = 1) -> Dat
             rows = folds.fold(rows, below, edge_terms(tree, alias, child), "sum", "m", passes.staging, f"count-{alias}-{child}", ranges)
             rows = rows.withColumn("n", (F.col("n") * F.col("m")).cast("decimal(38,0)")).drop("m")
         done[alias] = rows
-    return done[tree.root].agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("answers"))
+    return done[tree.root].agg(F.coalesce(F.sum("n"), F.lit(0)).cast("decimal(38,0)" if exact else "long").alias("answers"))
 
 
 def materialize(found: DataFrame, query: Query, columns: dict[str, list[str]]) -> DataFrame:
