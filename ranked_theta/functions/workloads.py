@@ -87,7 +87,7 @@ def chain_inequality(length: int, modulus: int = 1, domain: int = 10_000, rank:
 
 def chain_band(length: int, modulus: int = 1) -> Workload:
     """Synthetic band and non-equality."""
-    return Workload(lambda s, d: views.slices(s, d, modulus), views.slices_sql(modulus), _parts(length, modulus), "w", Rank.sum(), lambda a, b: band(f"{a}.b", f"{b}.a", 50) & ne(f"{a}.a", f"{b}.a"), "abs({l}.b - {r}.a) < 50 AND {l}.a <> {r}.a")
+    return Workload(lambda s, d: views.slices(s, d, modulus), views.slices_sql(modulus), _parts(length, modulus), "w", Rank.sum(), lambda a, b: band(f"{a}.b", f"{b}.a", 50) & ne(f"{a}.a", f"{b}.b"), "abs({l}.b - {r}.a) < 50 AND {l}.a <> {r}.b")
 
 
 def _sales_part(modulus: int) -> str | None:
