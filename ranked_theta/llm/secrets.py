@@ -9,9 +9,11 @@ second to a JSON object), ``der`` (base64 or hex run that decodes to a DER seque
 nested lengths fill it exactly), ``ssh`` (base64 run that decodes to a key name and
 length-prefixed fields that fill it exactly).
 
-A text is scanned by patterns only if it has a run of 20 or more token characters or a
-credential word; both are found on the bytes of a whole batch and neither is implied by
-less, so no span is missed. Offsets are code points, end exclusive.
+A text is scanned by patterns only if it has a run of 17 or more token characters, a
+credential word or the head of an armoured key; all are found on the bytes of a whole
+batch. The shortest ``jwt`` has 17 token characters in a row (12 for an object with "alg",
+3 for an empty one, two dots), a ``pem`` has its head, and the other kinds need longer
+runs or a credential word, so no span is missed. Offsets are code points, end exclusive.
 
 Nulls: a null text is empty; null ids stay null. Repeated rows give equal rows. Empty
 table: empty result.
@@ -39,7 +41,9 @@ HEX = re.compile(r"[0-9a-f]{24,}")
 ASSIGN_LEAST, ACCESS_LEAST, HEX_LEAST = 6, 20, 24
 KINDS = ("assign", "access", "hex", "pem", "jwt", "der", "ssh")
 
-WORDS = re.compile(rb"passw|secret|token|api_?key", re.IGNORECASE)
+WORDS = re.compile(rb"passw|secret|token|api_?key|-----BEGIN ", re.IGNORECASE)
+#: Token characters in a row that any kind needs, unless it has one of the words.
+RUN_LEAST = 17
 _PEM = re.compile(r"-----BEGIN ([A-Z0-9 ]+)-----([A-Za-z0-9+/=\s]+)-----END \1-----")
 _JWT = re.compile(r"(?<![A-Za-z0-9_-])([A-Za-z0-9_-]{8,})\.([A-Za-z0-9_-]{2,})\.([A-Za-z0-9_-]*)")
 _B64 = re.compile(r"(?<![A-Za-z0-9+/])[A-Za-z0-9+/]{32,}={0,2}")
@@ -128,10 +132,14 @@ def confirmed_spans(text: str) -> list[tuple[int, int, str]]:
         if raw and (der_key(raw) or ssh_key(raw)):
             out.append((m.start(), m.end(), "pem"))
             armoured.append(m.span())
-    for m in _JWT.finditer(text):
+    at = 0
+    while m := _JWT.search(text, at):
         head = _json_object(unbase64(m[1], True))
         if head is not None and "alg" in head and _json_object(unbase64(m[2], True)) is not None:
             out.append((m.start(), m.end(), "jwt"))
+            at = m.end()
+        else:  # a token can begin at the next part
+            at = m.start(2)
     for m in _B64.finditer(text):
         if any(a <= m.start() < b for a, b in armoured):
             continue
@@ -150,17 +158,17 @@ def joined(spans: list[tuple[int, int, str]]) -> str:
 
 
 def suspects(column: pa.Array) -> np.ndarray:
-    """Which texts have a run of 20 or more token characters, or a credential word."""
+    """Which texts have a run of ``RUN_LEAST`` or more token characters, or one of the words."""
     data, off = textkit.utf8(column)
     found = np.zeros(len(column), bool)
     n = len(data)
     for a in range(0, n, 1 << 20):
         b = min(n, a + (1 << 20) + HEX_LEAST)  # parts overlap by more than a run
         gaps = np.concatenate([[-1], np.flatnonzero(~_RUN[data[a:b]]), [b - a]])
-        ends = gaps[1:][np.diff(gaps) > ACCESS_LEAST]
+        ends = gaps[1:][np.diff(gaps) > RUN_LEAST]
         found[np.minimum(np.searchsorted(off, ends - 1 + a, "right") - 1, len(column) - 1)] = True
         # a run over the border of two texts marks both
-        starts = gaps[:-1][np.diff(gaps) > ACCESS_LEAST] + 1 + a
+        starts = gaps[:-1][np.diff(gaps) > RUN_LEAST] + 1 + a
         first = np.searchsorted(off, starts, "right") - 1
         last = np.searchsorted(off, ends - 1 + a, "right") - 1
         for i, j in zip(first[first < last], last[first < last], strict=True):

@@ -282,6 +282,18 @@ def test_token_ids(spark, docs):
     assert tokenids.token_report(docs.limit(0), PATH).count() == 0
 
 
+def test_short_and_dotted_secrets_are_not_missed(spark):
+    import base64
+
+    token = "eyJhbGciOjF9.e30."
+    key = base64.b64encode(bytes([0x30, 21, 2, 1, 0, 2, 16, *range(1, 17)])).decode()
+    pem = "-----BEGIN KEY-----\n" + "\n".join(key[i : i + 12] for i in range(0, len(key), 12)) + "\n-----END KEY-----"
+    texts = [f"a {token} b", f"x\n{pem}\ny", f"some-module.{token}", f"some-module.other-part.{token}x {token}", "some-module.other-part.third"]
+    expected = ["jwt:2:19", f"pem:2:{2 + len(pem)}", "jwt:12:29", "jwt:23:41,jwt:42:59", ""]
+    found = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert [r["spans"] for r in sorted(secrets.scan(found).collect(), key=lambda r: r["doc_id"])] == expected
+
+
 def test_token_counts_at_every_limit(spark, docs, monkeypatch):
     tok = Tokenizer.from_file(PATH)
     found = [len(tok.encode(t or "", add_special_tokens=False).ids) + 1 for _, t, *_ in corpus()]
