@@ -38,12 +38,32 @@ from .workspace import Workspace
 MAGIC = b"RANKVB01"
 #: Ids of a segment; a longer document makes a longer one.
 SEGMENT_IDS = 1 << 20
-#: Distinct chunks kept per worker in each of two generations.
+#: Distinct chunks, and distinct pieces of chunks, kept per worker in each of two generations.
 CACHE = 200_000
 _SIGNS = frozenset(".,:;!?*|#%&$()-")
 _encoders: dict[str, Encoder] = {}
 
 
+class Remembered(dict):
+    """Results of a function by argument; of two generations, the older one is forgotten by ``trim``."""
+
+    def __init__(self, make):
+        super().__init__()
+        self.make, self.old = make, {}
+
+    def __missing__(self, key: str) -> bytes:
+        found = self.old.get(key)
+        if found is None:
+            found = self.make(key)
+        self[key] = found
+        return found
+
+    def trim(self) -> None:
+        if len(self) > CACHE:
+            self.old = dict(self)
+            self.clear()
+
+
 class Encoder:
     """A tokenizer that encodes each distinct chunk of text once.
 
@@ -61,9 +81,7 @@ class Encoder:
         with open(path, encoding="utf-8") as src:
             spec = json.load(src)
         self.tok = Tokenizer.from_file(path)
-        self.young: dict[str, bytes] = {}
-        self.old: dict[str, bytes] = {}
-        self.pieces: dict[str, bytes] = {}
+        self.chunks, self.lower, self.pieces = Remembered(self._chunk), Remembered(self._lower), Remembered(self._piece)
         names = [x["type"] for x in (spec.get("normalizer") or {}).get("normalizers", [])], [x["type"] for x in (spec.get("pre_tokenizer") or {}).get("pretokenizers", [])]
         self.pattern = None
         if names == (["NFC", "Replace", "Lowercase"], ["Split", "ByteLevel"]) and spec["model"]["type"] == "BPE" and not spec.get("post_processor"):
@@ -76,49 +94,24 @@ class Encoder:
                 self.marks = [t["content"] for t in spec["added_tokens"]]
 
     def _piece(self, piece: str) -> bytes:
-        ids = self.pieces.get(piece)
-        if ids is None:
-            mapped = piece if piece.isascii() else piece.encode().decode("latin-1").translate(self.byte_chars)
-            ids = self.pieces[piece] = array("I", [t.id for t in self.tok.model.tokenize(mapped)]).tobytes()
-        return ids
-
-    def _direct(self, chunk: str) -> bytes | None:
-        if self.pattern is None or not (chunk.isascii() or self.plain.fullmatch(chunk)) or "<" in chunk and any(m in chunk for m in self.marks):
-            return None
-        chunk, pieces = chunk.lower(), self.pieces
-        if chunk.isalpha():  # letters, or letters and one sign, are what the pattern would find
-            return pieces.get(chunk) or self._piece(chunk)
+        mapped = piece if piece.isascii() else piece.encode().decode("latin-1").translate(self.byte_chars)
+        return array("I", [t.id for t in self.tok.model.tokenize(mapped)]).tobytes()
+
+    def _plain(self, text: str) -> bool:
+        """Whether pieces of this text can go straight to the model, in lower case."""
+        return self.pattern is not None and ("<" not in text or not any(m in text for m in self.marks)) and (text.isascii() or self.plain.fullmatch(text) is not None)
+
+    def _chunk(self, chunk: str) -> bytes:
+        return self._lower(chunk.lower()) if self._plain(chunk) else array("I", self.tok.encode(chunk, add_special_tokens=False).ids).tobytes()
+
+    def _lower(self, chunk: str) -> bytes:
+        """A plain chunk in lower case; letters, or letters and one sign, are what the pattern would find."""
+        if chunk.isalpha():
+            return self._piece(chunk)
         head, sign = chunk[:-1], chunk[-1:]
         if sign in _SIGNS and head.isalpha():
-            return (pieces.get(head) or self._piece(head)) + (pieces.get(sign) or self._piece(sign))
-        return b"".join(map(self._piece, self.pattern.findall(chunk)))
-
-    def _found(self, needed: set[str]) -> dict[str, bytes]:
-        """Ids of distinct chunks; what has no direct way is joined, encoded in one call and dealt out by character offset."""
-        young, old, out, rest = self.young, self.old, {}, []
-        for chunk in needed:
-            ids = young.get(chunk)
-            if ids is None:
-                ids = old.get(chunk)
-                if ids is None:
-                    ids = self._direct(chunk)
-                    if ids is None:
-                        rest.append(chunk)
-                        continue
-                young[chunk] = ids
-            out[chunk] = ids
-        if rest:
-            made = self.tok.encode(" ".join(rest), add_special_tokens=False)
-            starts = np.concatenate([[0], np.cumsum([len(x) + 1 for x in rest])])
-            cuts = np.searchsorted(np.array([o[0] for o in made.offsets], np.int64), starts)
-            raw = array("I", made.ids).tobytes()
-            for i, chunk in enumerate(rest):
-                young[chunk] = out[chunk] = raw[4 * int(cuts[i]) : 4 * int(cuts[i + 1])]
-        if len(young) > CACHE:
-            self.old, self.young = young, {}
-        if len(self.pieces) > 3 * CACHE:
-            self.pieces.clear()
-        return out
+            return self.lower[head] + self.pieces[sign]
+        return b"".join(map(self.pieces.__getitem__, self.pattern.findall(chunk)))
 
     def encode(self, column: pa.Array, end_id: int | None = 1, chunked: bool = True) -> Iterator[np.ndarray]:
         """The uint32 ids of each text, with the end id."""
@@ -129,10 +122,11 @@ class Encoder:
                 for made in self.tok.encode_batch(texts, add_special_tokens=False):
                     yield np.frombuffer(array("I", made.ids).tobytes() + end, np.uint32)
                 continue
-            split = [t.replace("\n", " ").split(" ") for t in texts]
-            find = self._found(set().union(*split)).__getitem__
-            for chunks in split:
-                yield np.frombuffer(b"".join(map(find, chunks)) + end, np.uint32)
+            for t in texts:
+                known, t = (self.lower, t.lower()) if "<" not in t and self._plain(t) else (self.chunks, t)
+                yield np.frombuffer(b"".join(map(known.__getitem__, t.replace("\n", " ").split(" "))) + end, np.uint32)
+            for known in (self.chunks, self.lower, self.pieces):
+                known.trim()
 
 
 def encoder(path: str) -> Encoder:
