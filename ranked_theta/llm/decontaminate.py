@@ -2,7 +2,8 @@
 
 An item is contained in a document if at least ``threshold`` of its distinct shingles of
 five words are among the document's. Items are dealt into classes by size (powers of
-two). Within a class each item is sketched by its smallest shingle hashes, as many as
+two), each with an index of its own that documents with too few shingles for any of its
+items pass by. Within a class each item is sketched by its smallest shingle hashes, as many as
 make it certain that a document with enough of the item has one of them: hi - ceil(t *
 hi) + 1 for a class up to hi shingles. This is the MinHash containment search in which
 the small side is sketched and the large side is probed as a whole, so that a short item
@@ -15,12 +16,14 @@ the documents for each, so that memory is bounded for a benchmark of any size.
 Nulls: a null text is empty; an item or document without words is linked with nothing;
 a null id is carried. An item or document of one to four words has its whole sequence as
 one shingle. Repeated rows: each row of documents is reported with each distinct item
-row. Empty tables: empty result.
+row. Columns beyond ids and texts are ignored by ``leaks`` and carried by ``clean``. Empty
+tables: no leaks, all rows clean.
 """
 
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -41,36 +44,60 @@ def needed(n: int, threshold: float) -> int:
     return -(-n * round(threshold * 100) // 100)
 
 
+def size_class(n: int) -> int:
+    """The power of two that an item of n shingles is counted under."""
+    return max(0, math.ceil(math.log2(max(1, n))))
+
+
 def sketch(hashes: np.ndarray, threshold: float) -> np.ndarray:
     """The smallest hashes of a sorted set: one of them is in each set that contains enough of it."""
-    hi = 1 << max(0, math.ceil(math.log2(max(1, len(hashes)))))
+    hi = 1 << size_class(len(hashes))
     return hashes[: max(1, min(len(hashes), hi - needed(hi, threshold) + 1))]
 
 
+class SizeClass:
+    """The sketches of the items of one size class, by hash."""
+
+    def __init__(self, members: list[int], items: list[tuple[int | None, np.ndarray]], threshold: float):
+        sketches = [sketch(items[i][1], threshold) for i in members]
+        keys = np.concatenate(sketches)
+        order = np.argsort(keys, kind="stable")
+        self.keys, self.owner = keys[order], np.repeat(np.array(members, np.int64), [len(s) for s in sketches])[order]
+        #: A set with fewer shingles holds no item of the class.
+        self.least = min(needed(len(items[i][1]), threshold) for i in members)
+
+    def candidates(self, sh: np.ndarray, at: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(text, item) for each of the shingles ``at`` that is in a sketch."""
+        large = np.diff(bounds) >= self.least
+        text = np.searchsorted(bounds, at, "right") - 1
+        at, text = at[large[text]], text[large[text]]
+        first, last = np.searchsorted(self.keys, sh[at], "left"), np.searchsorted(self.keys, sh[at], "right")
+        hit = last > first
+        first, text = first[hit], text[hit]
+        count = (last[hit] - first).astype(np.int64)
+        return np.repeat(text, count), self.owner[np.repeat(first, count) + np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)]
+
+
 class Index:
-    """The sketches of a block of items, probed with the shingles of many documents."""
+    """One index of sketches for each size class of a block of items, probed with the shingles of many documents."""
 
     def __init__(self, items: list[tuple[int | None, np.ndarray]], threshold: float):
         self.items, self.threshold = items, threshold
-        marks = [(h, i) for i, (_, s) in enumerate(items) for h in sketch(s, threshold)]
-        self.keys = np.array([m[0] for m in marks], np.uint64)
-        order = np.argsort(self.keys, kind="stable")
-        self.keys, self.owner = self.keys[order], np.array([m[1] for m in marks], np.int64)[order]
+        members: dict[int, list[int]] = {}
+        for i, (_, s) in enumerate(items):
+            members.setdefault(size_class(len(s)), []).append(i)
+        self.classes = [SizeClass(m, items, threshold) for _, m in sorted(members.items())]
         self.coarse = np.zeros(1 << 22, bool)
-        self.coarse[self.keys >> np.uint64(42)] = True
+        for c in self.classes:
+            self.coarse[c.keys >> np.uint64(42)] = True
 
     def probe(self, sh: np.ndarray, bounds: np.ndarray):
         """Yields (text, item, shared) for each contained item."""
         at = np.flatnonzero(self.coarse[sh >> np.uint64(42)])
-        if not len(self.keys) or not len(at):
+        if not self.classes or not len(at):
             return
-        first, last = np.searchsorted(self.keys, sh[at], "left"), np.searchsorted(self.keys, sh[at], "right")
-        hit = last > first
-        at, first, last = at[hit], first[hit], last[hit]
-        text = np.searchsorted(bounds, at, "right") - 1
-        count = last - first
-        item = self.owner[np.repeat(first, count) + np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)]
-        pairs = np.unique(np.repeat(text, count) * len(self.items) + item)
+        text, item = (np.concatenate(x) for x in zip(*[c.candidates(sh, at, bounds) for c in self.classes], strict=True))
+        pairs = np.unique(text * len(self.items) + item)
         held, own = -1, None
         for t, i in zip((pairs // len(self.items)).tolist(), (pairs % len(self.items)).tolist(), strict=True):
             if t != held:
@@ -91,23 +118,32 @@ def _item_sets(items: DataFrame) -> DataFrame:
     return items.select("item_id", "text").distinct().mapInArrow(sets, "item_id long, n long, hashes binary").where("n > 0")
 
 
-def leaks(docs: DataFrame, items: DataFrame, threshold: float = 0.75) -> DataFrame:
-    """doc_id, item_id, n_item, n_shared, containment for each item that a document contains."""
-    work = Workspace(docs.sparkSession, "leaks")
+def _indexes(items: DataFrame, work: Workspace) -> Iterator:
+    """A broadcast list of (item_id, hashes) for each block of items."""
+    spark = items.sparkSession
     running = Window.orderBy("item_id", "hashes").rowsBetween(Window.unboundedPreceding, 0)
     held = work.save(_item_sets(items).withColumn("block", F.floor((F.sum("n").over(running) - F.col("n")) / BLOCK_SHINGLES)), "items")
-    found = None
     for (block,) in held.select("block").distinct().orderBy("block").collect():
         rows = held.where(F.col("block") == block).orderBy("item_id", "hashes").collect()  # BLOCK_SHINGLES and one item at most
-        index = docs.sparkSession.sparkContext.broadcast([(r["item_id"], bytes(r["hashes"])) for r in rows])
+        yield spark.sparkContext.broadcast([(r["item_id"], bytes(r["hashes"])) for r in rows])
+
+
+def leaks(docs: DataFrame, items: DataFrame, threshold: float = 0.75) -> DataFrame:
+    """doc_id, item_id, n_item, n_shared, containment for each item that a document contains."""
+    found = None
+    for index in _indexes(items, Workspace(docs.sparkSession, "leaks")):
         part = docs.select("doc_id", "text").mapInArrow(_prober(index, threshold), "doc_id long, item_id long, n_item long, n_shared long, containment double")
         found = part if found is None else found.unionByName(part)
     return docs.sparkSession.createDataFrame([], "doc_id long, item_id long, n_item long, n_shared long, containment double") if found is None else found
 
 
+def _index(shared, threshold: float) -> Index:
+    return Index([(i, np.frombuffer(h, np.uint64)) for i, h in shared.value], threshold)
+
+
 def _prober(shared, threshold: float):
     def probe(batches):
-        index = Index([(i, np.frombuffer(h, np.uint64)) for i, h in shared.value], threshold)
+        index = _index(shared, threshold)
         for batch in batches:
             at, out = 0, {name: [] for name, _ in _FIELDS}
             for part in textkit.slices(batch.column(1)):
@@ -122,9 +158,28 @@ def _prober(shared, threshold: float):
 
 
 def clean(docs: DataFrame, items: DataFrame, threshold: float = 0.75) -> DataFrame:
-    """The rows of ``docs`` that contain no item; rows without doc_id go together."""
-    bad = Workspace(docs.sparkSession, "leaks").save(leaks(docs, items, threshold).select("doc_id").distinct(), "bad")
-    return docs.join(bad, docs["doc_id"].eqNullSafe(bad["doc_id"]), "left_anti")
+    """The rows of ``docs`` that contain no item, all columns unchanged.
+
+    Each row is judged where it is read, by its own text, so that nothing is joined and
+    rows without or with equal doc_id don't share their fate.
+    """
+    place = docs.columns.index("text")
+    for index in _indexes(items, Workspace(docs.sparkSession, "leaks")):
+        docs = docs.mapInArrow(_sieve(index, threshold, place), docs.schema)
+    return docs
+
+
+def _sieve(shared, threshold: float, place: int):
+    def keep(batches):
+        index = _index(shared, threshold)
+        for batch in batches:
+            at, good = 0, np.ones(batch.num_rows, bool)
+            for part in textkit.slices(batch.column(place)):
+                good[[at + t for t, _, _ in index.probe(*textkit.shingles(*textkit.words(*textkit.utf8(part))))]] = False
+                at += len(part)
+            yield batch.filter(pa.array(good))
+
+    return keep
 
 
 _LOWER = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"

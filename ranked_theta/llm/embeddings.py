@@ -10,6 +10,9 @@ of its local component), so links stay linear in the vectors. A bucket above ``B
 classes is dealt into blocks and done by pairs of blocks, which bounds memory without
 leaving out a pair.
 
+Labels may be of any type with a text form; they are dealt by a hash and compared as they
+are. Components may be of any size that a double holds.
+
 Nulls: vectors that are null, empty, zero, or hold null or non-finite components, and
 those without label, link with nothing, as do vectors of different lengths. A row
 without vec_id links with nothing and has component null and kept false. Repeated rows
@@ -44,8 +47,12 @@ def shape_of_tables(classes: int, threshold: float, recall: float) -> tuple[int,
 
 
 def _valid(rows: DataFrame) -> DataFrame:
-    """vec_id, label, cls (a class of equal vectors under equal labels), vec."""
-    schema = pa.schema([("vec_id", pa.int64()), ("label", pa.int64()), ("cls", pa.int64()), ("vec", pa.binary())])
+    """vec_id, label (as text), cls (a class of equal vectors under equal labels), vec.
+
+    Vectors are scaled by a power of two, so that the largest component is between a half
+    and one: no square overflows or vanishes, and cosines stay as they are.
+    """
+    schema = pa.schema([("vec_id", pa.int64()), ("label", pa.string()), ("cls", pa.int64()), ("vec", pa.binary())])
 
     def pick(batches):
         for batch in batches:
@@ -59,18 +66,21 @@ def _valid(rows: DataFrame) -> DataFrame:
                 a, b = int(off[i]), int(off[i + 1])
                 if vec_id is None or label is None or a == b or not ok[a:b].all() or not values[a:b].any():
                     continue
-                vec = (values[a:b] + 0.0).tobytes()  # + 0.0 makes one zero of two
-                name = hashlib.blake2b(vec, digest_size=8, salt=int(label).to_bytes(8, "big", signed=True)).digest()
+                exponent = int(np.frexp(np.abs(values[a:b]).max())[1])
+                half = exponent // 2  # in two steps, as the whole factor may be out of range
+                vec = (np.ldexp(np.ldexp(values[a:b], -half), half - exponent) + 0.0).tobytes()  # + 0.0 makes one zero of two
+                name = hashlib.blake2b(vec, digest_size=8, key=hashlib.blake2b(label.encode(), digest_size=32).digest()).digest()
                 for key, value in zip(out, (vec_id, label, int.from_bytes(name, "big", signed=True), vec), strict=True):
                     out[key].append(value)
             yield pa.RecordBatch.from_pydict(out, schema=schema)
 
-    return rows.select(F.col("vec_id").cast("long"), F.col("label").cast("long"), "embedding").mapInArrow(pick, "vec_id long, label long, cls long, vec binary")
+    label = F.col("label") + 0 if dict(rows.dtypes)["label"] in ("float", "double") else F.col("label")
+    return rows.select(F.col("vec_id").cast("long"), label.cast("string"), "embedding").mapInArrow(pick, "vec_id long, label string, cls long, vec binary")
 
 
 def _coded(classes: DataFrame, bits: int, tables: int, seed: int, with_vectors: bool) -> DataFrame:
-    """A row for each class and table: label and length in ``grp``, table and code in ``code``."""
-    fields = [("grp", pa.int64()), ("code", pa.int64()), ("cls", pa.int64())] + [("n", pa.int64()), ("vec", pa.binary()), ("codes", pa.binary())] * with_vectors
+    """A row for each class and table: hash of label and length in ``grp``, table and code in ``code``."""
+    fields = [("grp", pa.int64()), ("code", pa.int64()), ("cls", pa.int64())] + [("n", pa.int64()), ("label", pa.string()), ("vec", pa.binary()), ("codes", pa.binary())] * with_vectors
 
     def code(batches):
         planes: dict[int, np.ndarray] = {}
@@ -83,18 +93,22 @@ def _coded(classes: DataFrame, bits: int, tables: int, seed: int, with_vectors:
                 signs = np.frombuffer(b"".join(rows["vec"][i] for i in at)).reshape(len(at), -1) @ planes[size] >= 0
                 codes = signs.reshape(len(at), tables, bits) @ (1 << np.arange(bits, dtype=np.int64))
                 out = {
-                    "grp": np.repeat([rows["label"][i] * 65_536 + size // 8 % 65_536 for i in at], tables),
+                    "grp": np.repeat(np.array([group_of(rows["label"][i], size) for i in at], np.int64), tables),
                     "code": (codes + (np.arange(tables, dtype=np.int64) << 32)).reshape(-1),
                     "cls": np.repeat([rows["cls"][i] for i in at], tables),
                 }
                 if with_vectors:
                     own = [c.astype("<i4").tobytes() for c in codes]
-                    out |= {"n": np.repeat([rows["n"][i] for i in at], tables), "vec": [rows["vec"][i] for i in at for _ in range(tables)], "codes": [c for c in own for _ in range(tables)]}
+                    out |= {"n": np.repeat([rows["n"][i] for i in at], tables), "label": [rows["label"][i] for i in at for _ in range(tables)], "vec": [rows["vec"][i] for i in at for _ in range(tables)], "codes": [c for c in own for _ in range(tables)]}
                 made = pa.RecordBatch.from_pydict(out, schema=pa.schema(fields))
                 for a in range(0, made.num_rows, 4096):
                     yield made.slice(a, 4096)
 
-    return classes.select("label", "cls", "n", "vec").mapInArrow(code, ", ".join(f"{n} {'binary' if t == pa.binary() else 'long'}" for n, t in fields))
+    return classes.select("label", "cls", "n", "vec").mapInArrow(code, ", ".join(f"{n} { {pa.binary(): 'binary', pa.string(): 'string'}.get(t, 'long')}" for n, t in fields))
+
+
+def group_of(label: str, size: int) -> int:
+    return int.from_bytes(hashlib.blake2b(label.encode(), digest_size=8, salt=size.to_bytes(8, "big")).digest(), "big", signed=True)
 
 
 def _roots(near: np.ndarray) -> np.ndarray:
@@ -111,10 +125,11 @@ def _roots(near: np.ndarray) -> np.ndarray:
     return root
 
 
-def compare(cls: np.ndarray, weight: np.ndarray, vec: np.ndarray, codes: np.ndarray, table: int, side: np.ndarray | None, threshold: float) -> tuple[np.ndarray, np.ndarray]:
+def compare(cls: np.ndarray, weight: np.ndarray, vec: np.ndarray, codes: np.ndarray, table: int, side: np.ndarray | None, threshold: float, label: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Links that each class gets here (by weight, those of earlier tables left out), and the first row of its local component.
 
-    ``side``: the block of each row if only rows of different blocks are compared.
+    ``side``: the block of each row if only rows of different blocks are compared;
+    ``label``: the labels where a bucket has several of them.
     """
     size = np.linalg.norm(vec, axis=1)
     near = (vec @ vec.T) / (size[:, None] * size[None, :]) >= threshold
@@ -122,6 +137,8 @@ def compare(cls: np.ndarray, weight: np.ndarray, vec: np.ndarray, codes: np.ndar
     near &= cls[:, None] != cls[None, :]
     if side is not None:
         near &= side[:, None] != side[None, :]
+    if label is not None:
+        near &= label[:, None] == label[None, :]
     count = near.copy()
     for t in range(table):
         count &= codes[:, t, None] != codes[None, :, t]
@@ -149,15 +166,21 @@ def links(classes: DataFrame, work: Workspace, threshold: float, recall: float,
         for table, bounds in groups.runs(batches, 3):
             code, cls, n = (table.column(k).to_numpy() for k in ("code", "cls", "n"))
             own, same = table.column("own").to_numpy(), table.column("same").to_numpy()
-            vec, codes = table.column("vec"), table.column("codes")
+            vec, codes, label = table.column("vec"), table.column("codes"), table.column("label")
             out: list[list] = [[], [], []]
             for a, b in zip(bounds[:-1], bounds[1:], strict=True):
                 if b - a < 2:
                     continue
-                v = np.frombuffer(b"".join(vec[i].as_py() for i in range(a, b))).reshape(b - a, -1)
+                # labels and lengths of one hash are told apart here
+                names = label.slice(int(a), int(b - a)).dictionary_encode().combine_chunks()
+                several = names.indices.to_numpy() if len(names.dictionary) > 1 else None
+                raw = [vec[i].as_py() for i in range(a, b)]
+                if len({len(x) for x in raw}) > 1:
+                    raise ValueError("two lengths of vectors have one hash; use another one")
+                v = np.frombuffer(b"".join(raw)).reshape(b - a, -1)
                 c = np.frombuffer(b"".join(codes[i].as_py() for i in range(a, b)), "<i4").reshape(b - a, -1)
                 side = None if same[a] else own[a:b]
-                add, root = compare(cls[a:b], n[a:b], v, c, int(code[a] >> 32), side, threshold)
+                add, root = compare(cls[a:b], n[a:b], v, c, int(code[a] >> 32), side, threshold, several)
                 size = np.bincount(root, minlength=b - a)[root]
                 for i in np.flatnonzero((add > 0) | (size > 1)):
                     out[0].append(int(cls[a + i]))
@@ -165,7 +188,7 @@ def links(classes: DataFrame, work: Workspace, threshold: float, recall: float,
                     out[2].append(int(cls[a + root[i]]))
             yield pa.RecordBatch.from_pydict(dict(zip(schema.names, out, strict=True)), schema=schema)
 
-    return rows.select("grp", "code", "pair", "cls", "n", "vec", "codes", "own", (F.col("own") == F.col("other")).alias("same")).mapInArrow(bucket, "cls long, n_add long, root long")
+    return rows.select("grp", "code", "pair", "cls", "n", "label", "vec", "codes", "own", (F.col("own") == F.col("other")).alias("same")).mapInArrow(bucket, "cls long, n_add long, root long")
 
 
 def near_duplicates(rows: DataFrame, threshold: float = 0.98, recall: float = 0.99999, seed: int = 3) -> DataFrame:

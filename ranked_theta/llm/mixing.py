@@ -26,6 +26,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from . import columns
 from .workspace import Workspace
 
 WORD = r"[^\x20\x09-\x0D]+"
@@ -87,28 +88,30 @@ def plan_mix(docs: DataFrame, work: Workspace, *, weights: Sequence[int] = (3, 1
     return work.save(targets.join(edge.select("sk", "bucket"), "sk", "left").join(bounds, "sk", "left"), "plan")
 
 
-def decide(docs: DataFrame, plan: DataFrame, seed: int = 7) -> DataFrame:
-    """Adds size, source_size, target and copies to every row of ``docs``."""
-    taken = {"mix_sk", "mix_key", "mix_size", "mix_id", "mix_source_size", "mix_target", "mix_copies"} & set(docs.columns)
-    if taken:
-        raise ValueError(f"columns {sorted(taken)} are reserved")
-    rows = docs.withColumns({"mix_sk": _source_key(F.col("source")), "mix_key": _hash(F.col("doc_id"), seed), "mix_size": word_count(F.col("text")), "mix_id": F.coalesce(F.col("doc_id"), F.lit(-(2**63)))})
-    p = plan.select(*[F.col(c).alias(f"p_{c}") for c in plan.columns])
-    rows = rows.join(p, F.col("mix_sk") == F.col("p_sk"), "left")
-    mine = F.struct(F.col("mix_key").alias("key"), F.col("mix_id").alias("id"), F.col("mix_size").alias("size"))
-    bucket = F.substring("mix_key", 1, _HEX)
-    extra = F.col("p_bucket").isNotNull() & ((bucket < F.col("p_bucket")) | ((bucket == F.col("p_bucket")) & F.coalesce(mine <= F.col("p_bound"), F.lit(False))))
-    copies = F.col("p_whole") + F.when(extra, 1).otherwise(0)
-    return rows.select(*docs.columns, "mix_size", F.col("p_source_size").alias("mix_source_size"), F.col("p_target").alias("mix_target"), copies.cast("long").alias("mix_copies"))
+def decide(docs: DataFrame, plan: DataFrame, seed: int = 7, named: str = "mix_") -> DataFrame:
+    """Adds size, source_size, target and copies to every row of ``docs``, under names that begin with ``named``.
+
+    The caller sees to it that no column of ``docs`` begins so (``columns.prefix``).
+    """
+    sk, key, size, row_id = (f"{named}{x}" for x in ("sk", "key", "size", "id"))
+    rows = docs.withColumns({sk: _source_key(F.col("source")), key: _hash(F.col("doc_id"), seed), size: word_count(F.col("text")), row_id: F.coalesce(F.col("doc_id"), F.lit(-(2**63)))})
+    p = {c: F.col(f"{named}p_{c}") for c in plan.columns}
+    rows = rows.join(plan.select(*[F.col(c).alias(f"{named}p_{c}") for c in plan.columns]), F.col(sk) == p["sk"], "left")
+    mine = F.struct(F.col(key).alias("key"), F.col(row_id).alias("id"), F.col(size).alias("size"))
+    bucket = F.substring(key, 1, _HEX)
+    extra = p["bucket"].isNotNull() & ((bucket < p["bucket"]) | ((bucket == p["bucket"]) & F.coalesce(mine <= p["bound"], F.lit(False))))
+    copies = p["whole"] + F.when(extra, 1).otherwise(0)
+    return rows.select(*columns.own(docs), size, p["source_size"].alias(f"{named}source_size"), p["target"].alias(f"{named}target"), copies.cast("long").alias(f"{named}copies"))
 
 
 def mixed(docs: DataFrame, **options) -> DataFrame:
-    """The mix itself: each row of ``docs`` as often as it is taken, columns unchanged."""
+    """The mix itself: each row of ``docs`` as often as it is taken, columns unchanged whatever their names."""
     work = Workspace(docs.sparkSession, "mix")
-    plan = plan_mix(docs, work, **options)
-    rows = decide(docs, plan, options.get("seed", 7))
-    rows = rows.where(F.col("mix_copies") > 0).withColumn("mix_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("mix_copies"))))
-    return rows.select(*docs.columns)
+    named = columns.prefix(docs, "mix_")
+    rows = decide(docs, plan_mix(docs, work, **options), options.get("seed", 7), named)
+    copies = F.col(f"{named}copies")
+    rows = rows.where(copies > 0).withColumn(f"{named}copy", F.explode(F.sequence(F.lit(1).cast("long"), copies)))
+    return rows.select(*columns.own(docs))
 
 
 def mix_report(docs: DataFrame, **options) -> DataFrame:

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from . import partials, textkit
+from . import columns, partials, textkit
 from .workspace import Workspace
 
 #: Identities of each kind (a power of two) and dimensions of their vectors.
@@ -182,7 +182,11 @@ def fit(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS) -> tup
 
 
 def score(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, threshold: float = THRESHOLD) -> DataFrame:
-    """The rows of ``docs`` with quality_score and quality_predicted."""
+    """The rows of ``docs`` with quality_score and quality_predicted; columns of these names are replaced."""
+    return _scored(docs, labels, train_rows, threshold, "quality_")
+
+
+def _scored(docs: DataFrame, labels: DataFrame, train_rows: int, threshold: float, named: str) -> DataFrame:
     vectors, network = fit(docs, labels, train_rows)
     model = docs.sparkSession.sparkContext.broadcast((vectors, network))
 
@@ -193,8 +197,8 @@ def score(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, thre
             column = pa.Array.from_pandas(batch, type=pa.string())
             yield pd.Series(np.concatenate([net.score(pooled(p, vec)) for p in textkit.slices(column)] or [np.zeros(0)]))
 
-    out = docs.withColumn("quality_score", rated(F.col("text")))
-    return out.withColumn("quality_predicted", F.when(F.col("quality_score") >= threshold, 1).otherwise(0).cast("int"))
+    out = docs.withColumn(f"{named}score", rated(F.col("text")))
+    return out.withColumn(f"{named}predicted", F.when(F.col(f"{named}score") >= threshold, 1).otherwise(0).cast("int"))
 
 
 def score_report(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS) -> DataFrame:
@@ -204,5 +208,6 @@ def score_report(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROW
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, threshold: float = THRESHOLD) -> DataFrame:
-    """The rows of ``docs`` that the classifier accepts, columns unchanged."""
-    return score(docs, labels, train_rows, threshold).where("quality_predicted = 1").select(*docs.columns)
+    """The rows of ``docs`` that the classifier accepts, columns unchanged whatever their names."""
+    named = columns.prefix(docs, "quality_")
+    return _scored(docs, labels, train_rows, threshold, named).where(F.col(f"{named}predicted") == 1).select(*columns.own(docs))

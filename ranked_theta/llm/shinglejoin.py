@@ -37,9 +37,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from . import groups, partials, textkit
+from . import columns, groups, partials, textkit
 from .components import components
 from .workspace import Workspace
 
@@ -388,29 +389,59 @@ def distinct_groups(rows: DataFrame, by_key) -> DataFrame:
     return small.unionByName(sized.where(F.col("size") > SMALL).select("key", "cls", "part"))
 
 
+def _grouped(docs: DataFrame, percent: int) -> tuple[DataFrame, DataFrame, Workspace]:
+    """(doc_id, cls, n, component) of all rows and (component, component_id) of those with words."""
+    described, parts, work = join(docs, percent)
+    rows = described.join(parts.withColumnRenamed("node", "cls"), "cls", "left").select("doc_id", "cls", "n", F.coalesce("component", "cls").alias("component"))
+    return rows, rows.where("n > 0").groupBy("component").agg(F.min("doc_id").alias("component_id")), work
+
+
 def join_report(docs: DataFrame, percent: int = 75) -> DataFrame:
     """doc_id, n_shingles, component_id: a row per row of ``docs``."""
-    described, parts, work = join(docs.select("doc_id", "text"), percent)
-    rows = described.select("doc_id", "cls", "n").join(parts.withColumnRenamed("node", "cls"), "cls", "left").withColumn("component", F.coalesce("component", "cls"))
-    named = rows.where("n > 0").select("doc_id", "n", "component")
-    lowest = named.groupBy("component").agg(F.min("doc_id").alias("component_id"))
-    out = named.join(lowest, "component").select("doc_id", F.col("n").alias("n_shingles"), "component_id")
-    return out.unionByName(described.where("n = 0").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id")))
+    rows, lowest, _ = _grouped(docs.select("doc_id", "text"), percent)
+    out = rows.where("n > 0").join(lowest, "component").select("doc_id", F.col("n").alias("n_shingles"), "component_id")
+    return out.unionByName(rows.where("n = 0").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id")))
 
 
 def one_of_each(docs: DataFrame, percent: int = 75) -> DataFrame:
-    """The row with the smallest doc_id of each component, columns unchanged; rows without words stay.
+    """One row of each component, the one with the smallest doc_id, columns unchanged; rows without words all stay.
 
-    Of repeated rows (equal doc_id and text) one stays.
+    A component of null ids alone keeps one of its rows, and so does one whose smallest id
+    several rows have: the first by text, then by a hash of all columns.
     """
-    work = Workspace(docs.sparkSession, "one-of-each")
-    kept = join_report(docs, percent).where(F.col("doc_id").eqNullSafe(F.col("component_id")))
-    kept = work.save(kept.groupBy(F.col("doc_id").alias("kept_id")).agg(F.count(F.lit(1)).alias("kept_rows")), "kept")
-    rows = docs.join(kept, docs["doc_id"].eqNullSafe(kept["kept_id"]))
-    if kept.where("kept_rows > 1").isEmpty():
-        return rows.select(*[docs[c] for c in docs.columns])
-    once = rows.where("kept_rows = 1").select(*[docs[c] for c in docs.columns])
-    return once.unionByName(rows.where("kept_rows > 1").select(*[docs[c] for c in docs.columns]).dropDuplicates(["doc_id", "text"]))
+    rows, lowest, work = _grouped(docs.select("doc_id", "text"), percent)
+    rows = work.save(rows.join(lowest, "component", "left"), "grouped")
+    wanted = (F.col("n") == 0) | F.col("doc_id").eqNullSafe(F.col("component_id"))
+    ids = rows.groupBy("doc_id").agg(F.count(F.lit(1)).alias("k"), F.bool_or(wanted).alias("wanted")).where("wanted")
+    ids = work.save(ids, "ids")
+    own = columns.prefix(docs, "one_")
+    named = lambda df: df.withColumnsRenamed({c: f"{own}{c}" for c in df.columns})
+    doc_id = F.col("doc_id")
+    plain = docs.join(named(ids.where("k = 1 and doc_id is not null")), doc_id == F.col(f"{own}doc_id"), "left_semi")
+    several = named(ids.where("k > 1 or doc_id is null").select("doc_id"))
+    if several.isEmpty():
+        return plain
+    # ids that don't tell rows apart: these rows are told apart by their texts
+    some = _with_class(docs.join(several, doc_id.eqNullSafe(F.col(f"{own}doc_id")), "left_semi"), f"{own}cls")
+    classes = named(rows.where("n > 0").select("cls", "component", "component_id").distinct())
+    some = some.join(classes.withColumnRenamed(f"{own}cls", f"{own}of"), F.col(f"{own}cls") == F.col(f"{own}of"), "left")
+    empty = some.where(F.col(f"{own}component").isNull()).select(*columns.own(docs))
+    whole, first = F.struct(*columns.own(docs)), F.struct("text", F.xxhash64(*[c.cast("string") for c in columns.own(docs)]))
+    best = some.where(F.col(f"{own}component").isNotNull() & doc_id.eqNullSafe(F.col(f"{own}component_id"))).groupBy(f"{own}component").agg(F.min_by(whole, first).alias(f"{own}row"))
+    return plain.unionByName(empty).unionByName(best.select(*[F.col(f"{own}row").getField(c).alias(c) for c in docs.columns]))
+
+
+def _with_class(docs: DataFrame, name: str) -> DataFrame:
+    """``docs`` with the class of each row's text; null for a text without words."""
+    place = docs.columns.index("text")
+    kind = T.StructType([*docs.schema.fields, T.StructField(name, T.LongType())])
+
+    def read(batches):
+        for batch in batches:
+            found = [class_name(s) if len(s) else None for s in textkit.shingle_sets(batch.column(place))]
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found, pa.int64())], names=[*batch.schema.names, name])
+
+    return docs.mapInArrow(read, kind)
 
 
 from .decontaminate import _SHINGLES, _WORDS  # noqa: E402

@@ -4,18 +4,23 @@ from __future__ import annotations
 
 import atexit
 import os
+import re
 import uuid
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
-#: Used only where the session names no shared folder, as in local tests.
+#: Used only where the session names no shared folder and everything runs in one process, as in local tests.
 FALLBACK = "/tmp/ranked_theta_shared"
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder of ``spark.checkpoint.dir``; a local one only if that is unset."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or FALLBACK
+    """The folder of ``spark.checkpoint.dir``; a local one only if that is unset and the master is ``local``."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+        root = FALLBACK
     return root if ":" in root.split("/")[0] else "file://" + os.path.abspath(root)
 
 
