@@ -46,7 +46,7 @@ def op6_embedding_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op7_repeated_strings(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All texts without the bytes of any 400-byte string that occurs twice."""
-    return repeats.remove(_table(spark, sf_dir, "documents"), length=400)
+    return repeats.remove(_table(spark, sf_dir, "documents"), length=400, texts=True)
 
 
 def op8_benchmark_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:

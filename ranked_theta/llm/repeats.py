@@ -29,7 +29,6 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from . import groups, textkit
 from .workspace import Workspace
@@ -39,6 +38,8 @@ LENGTH, GRAM = 400, 64
 PIECE = 1 << 22
 #: Strings that are ranked at once.
 STRINGS = 1 << 20
+#: Surroundings of one gram that a task ranks; beyond it their strings are dealt out. Costs only, same results.
+HOT = 1 << 16
 _U = np.uint64
 _POSITION = _U((1 << 24) - 1)
 
@@ -126,39 +127,44 @@ def parse(docs: DataFrame, length: int, gram: int) -> DataFrame:
     return docs.select("text").mapInArrow(find, ", ".join(f"{n} long" for n in names))
 
 
-def rank_strings(gram_of: np.ndarray, texts: list[bytes], left: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, np.ndarray]:
-    """For each surrounding, the first and last start of a string that another one of the same gram shares; -1 if none.
+def strings_at(gram_of: np.ndarray, texts: list[bytes], left: np.ndarray, ds: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(surrounding, start in it, hash) of the strings that begin ``ds`` bytes before the trigger.
 
-    ``left``: bytes before the trigger.
+    ``left``: bytes of a surrounding before its trigger. Gram and offset are part of the hash.
     """
     span, offsets = 2 * length - gram, length - gram
-    first, last = np.full(len(texts), -1, np.int64), np.full(len(texts), -1, np.int64)
     size = np.array([len(t) for t in texts])
-    step = max(1, STRINGS // max(1, len(texts)))
     rows = max(1, STRINGS // (2 * span))
     power, back = textkit.powers(span + 1)
-    for d0 in range(0, offsets + 1, step):
-        ds = np.arange(d0, min(d0 + step, offsets + 1))  # bytes of the string before the trigger
-        hashes = np.zeros((len(texts), len(ds)), np.uint64)
-        valid = (ds[None, :] <= left[:, None]) & (length - ds[None, :] <= (size - left)[:, None])
-        for a in range(0, len(texts), rows):
-            b = min(a + rows, len(texts))
-            padded = np.zeros((b - a, span), np.uint8)
-            for i in range(a, b):
-                shift = offsets - int(left[i])  # triggers stand under each other
-                padded[i - a, shift : shift + size[i]] = np.frombuffer(texts[i], np.uint8)
-            acc = np.zeros((b - a, span + 1), np.uint64)
-            np.cumsum(textkit._TABLE[padded] * power[:span], axis=1, out=acc[:, 1:])
-            starts = offsets - ds
-            hashes[a:b] = textkit.mix((acc[:, starts + length] - acc[:, starts]) * back[starts] + gram_of[a:b, None].view(np.uint64) * _U(0x9E3779B97F4A7C15) + textkit.mix(ds.astype(np.uint64) + _U(1)))
-        row, col = np.nonzero(valid)
-        order = np.argsort(hashes[row, col], kind="stable")
-        h = hashes[row, col][order]
+    hashes = np.zeros((len(texts), len(ds)), np.uint64)
+    valid = (ds[None, :] <= left[:, None]) & (length - ds[None, :] <= (size - left)[:, None])
+    for a in range(0, len(texts), rows):
+        b = min(a + rows, len(texts))
+        padded = np.zeros((b - a, span), np.uint8)
+        for i in range(a, b):
+            shift = offsets - int(left[i])  # triggers stand under each other
+            padded[i - a, shift : shift + size[i]] = np.frombuffer(texts[i], np.uint8)
+        acc = np.zeros((b - a, span + 1), np.uint64)
+        np.cumsum(textkit._TABLE[padded] * power[:span], axis=1, out=acc[:, 1:])
+        starts = offsets - ds
+        hashes[a:b] = textkit.mix((acc[:, starts + length] - acc[:, starts]) * back[starts] + gram_of[a:b, None].view(np.uint64) * _U(0x9E3779B97F4A7C15) + textkit.mix(ds.astype(np.uint64) + _U(1)))
+    row, col = np.nonzero(valid)
+    return row, left[row] - ds[col], hashes[row, col]
+
+
+def rank_strings(gram_of: np.ndarray, texts: list[bytes], left: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, np.ndarray]:
+    """For each surrounding, the first and last start of a string that another one of the same gram shares; -1 if none."""
+    first, last = np.full(len(texts), -1, np.int64), np.full(len(texts), -1, np.int64)
+    step = max(1, STRINGS // max(1, len(texts)))
+    for d0 in range(0, length - gram + 1, step):
+        row, start, hashes = strings_at(gram_of, texts, left, np.arange(d0, min(d0 + step, length - gram + 1)), length, gram)
+        order = np.argsort(hashes, kind="stable")
+        h = hashes[order]
         same = h[1:] == h[:-1]
         again = np.zeros(len(h), bool)
         again[1:] |= same
         again[:-1] |= same
-        r, start = row[order][again], left[row[order][again]] - ds[col[order][again]]
+        r, start = row[order][again], start[order][again]
         low, high = np.full(len(texts), 1 << 40), np.full(len(texts), -1)
         np.minimum.at(low, r, start)
         np.maximum.at(high, r, start)
@@ -168,8 +174,33 @@ def rank_strings(gram_of: np.ndarray, texts: list[bytes], left: np.ndarray, leng
     return first, last
 
 
+def rank_dealt(around: DataFrame, work: Workspace, length: int, gram: int) -> DataFrame:
+    """(cls, a, b) as from ``rank_strings``, for grams with more surroundings than one task should hold.
+
+    Every string is a row of its hash, and Spark counts them: a hash that all have is
+    summed up where it is made, and the join deals its rows anew.
+    """
+    schema = pa.schema([("h", pa.int64()), ("cls", pa.int64()), ("pos", pa.int64()), ("at", pa.int64()), ("single", pa.bool_())])
+
+    def spread(batches):
+        for batch in batches:
+            for i in range(0, batch.num_rows, 1024):
+                g, cls, pos, low = (batch.column(k).slice(i, 1024).to_numpy() for k in range(4))
+                row, start, h = strings_at(g, batch.column(5).slice(i, 1024).to_pylist(), pos - low, np.arange(length - gram + 1), length, gram)
+                single = batch.column(4).slice(i, 1024).to_numpy(zero_copy_only=False)
+                for a in range(0, len(row), 1 << 16):
+                    r = row[a : a + (1 << 16)]
+                    yield pa.RecordBatch.from_pydict({"h": textkit.signed(h[a : a + (1 << 16)]), "cls": cls[r], "pos": pos[r], "at": low[r] + start[a : a + (1 << 16)], "single": single[r]}, schema=schema)
+
+    rows = work.save(around.mapInArrow(spread, "h long, cls long, pos long, at long, single boolean"), "strings")
+    place = F.struct("cls", "pos")
+    twice = rows.groupBy("h").agg(F.min(place).alias("one"), F.max(place).alias("other")).where("one <> other").select("h")
+    hit = rows.where("single").join(twice, "h", "left_semi").groupBy("cls", "pos").agg(F.min("at").alias("a"), (F.max("at") + length).alias("b"))
+    return hit.select("cls", "a", "b")
+
+
 def removed_ranges(docs: DataFrame, work: Workspace, length: int, gram: int) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, cls, size) of all rows and (cls, a, b), ranges of bytes to remove in each class of texts."""
+    """(row, cls, size) of all rows and (cls, a, b), ranges of bytes to remove in each class of texts."""
     spark = docs.sparkSession
     partitions = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
     reach = length - gram
@@ -177,27 +208,32 @@ def removed_ranges(docs: DataFrame, work: Workspace, length: int, gram: int) ->
     def describe(batches):
         for batch in batches:
             found = [(text_name(raw), len(raw)) for _, raw in _texts(batch.column(1))]
-            yield pa.RecordBatch.from_pydict({"doc_id": batch.column(0), "cls": [f[0] for f in found], "size": [f[1] for f in found]}, schema=pa.schema([("doc_id", pa.int64()), ("cls", pa.int64()), ("size", pa.int64())]))
+            yield pa.RecordBatch.from_pydict({"row": batch.column(0), "cls": [f[0] for f in found], "size": [f[1] for f in found]}, schema=pa.schema([("row", pa.int64()), ("cls", pa.int64()), ("size", pa.int64())]))
 
-    rows = work.save(docs.select("doc_id", "text").mapInArrow(describe, "doc_id long, cls long, size long"), "rows")
-    classes = rows.groupBy("cls").agg(F.min(F.coalesce("doc_id", F.lit(-(2**63)))).alias("row"), F.count(F.lit(1)).alias("n"), F.max("size").alias("size"))
+    rows = work.save(docs.select(textkit.row_key(), "text").mapInArrow(describe, "row long, cls long, size long"), "rows")
+    classes = rows.groupBy("cls").agg(F.min("row").alias("row"), F.count(F.lit(1)).alias("n"), F.max("size").alias("size"))
     classes = work.save(classes.where(F.col("size") >= length), "classes")
     whole = classes.where("n > 1").select("cls", F.lit(0).cast("long").alias("a"), F.col("size").alias("b"))
 
     place = F.struct("cls", "pos")
-    by_gram = Window.partitionBy("gram")
-    shared = parse(docs, length, gram).withColumn("one", F.min(place).over(by_gram)).withColumn("other", F.max(place).over(by_gram))
-    shared = work.save(shared.where("one <> other").drop("one", "other").distinct(), "triggers")
+    parsed = work.save(parse(docs, length, gram), "parse")
+    # a gram in all documents is counted where it is read, and its rows are dealt anew by the join
+    twice = parsed.groupBy("gram").agg(F.min(place).alias("one"), F.max(place).alias("other")).where("one <> other").select("gram")
+    shared = work.save(parsed.join(twice, "gram", "left_semi").distinct(), "triggers")
+    work.drop("parse")
     entries = shared.groupBy("gram", "around").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("cls", "pos", "size")).alias("at"))
     entries = work.save(entries, "entries")
     low, high = F.greatest(F.lit(0), F.col("pos") - reach), F.least(F.col("size"), F.col("pos") + length)
     repeated = shared.join(entries.where("n > 1").select("gram", "around"), ["gram", "around"], "left_semi").select("cls", low.alias("a"), high.alias("b"))
 
-    open_grams = entries.groupBy("gram").agg(F.min("n").alias("least"), F.count(F.lit(1)).alias("k")).where("least = 1 and k > 1").select("gram")
-    asked = entries.join(open_grams, "gram", "left_semi").select("gram", "at.*", "n")
-    per_text = asked.groupBy("cls").agg(F.collect_list(F.struct("gram", "pos", "n")).alias("asked"))
-    per_text = per_text.join(classes.select("cls", "row"), "cls")
-    texts = docs.select(F.coalesce("doc_id", F.lit(-(2**63))).alias("row"), "text").join(per_text, "row").select("cls", "text", "asked")
+    open_grams = entries.groupBy("gram").agg(F.min("n").alias("least"), F.count(F.lit(1)).alias("k")).where("least = 1 and k > 1").select("gram", (F.col("k") > HOT).alias("hot"))
+    open_grams = work.save(open_grams, "open")
+
+    def asked_of(grams):
+        per_text = entries.join(grams.select("gram"), "gram", "left_semi").select("gram", "at.*", "n").groupBy("cls").agg(F.collect_list(F.struct("gram", "pos", "n")).alias("asked"))
+        per_text = per_text.join(classes.select("cls", "row"), "cls")
+        return textkit.by_row(docs).join(per_text, "row").select("cls", "text", "asked")
+
     schema = pa.schema([("gram", pa.int64()), ("cls", pa.int64()), ("pos", pa.int64()), ("low", pa.int64()), ("single", pa.bool_()), ("around", pa.binary())])
 
     def cut(batches):
@@ -213,8 +249,9 @@ def removed_ranges(docs: DataFrame, work: Workspace, length: int, gram: int) ->
                     lows = [max(0, w["pos"] - reach) for w in some]
                     yield pa.RecordBatch.from_pydict({"gram": [w["gram"] for w in some], "cls": [cls] * len(some), "pos": [w["pos"] for w in some], "low": lows, "single": [w["n"] == 1 for w in some], "around": [raw[x : w["pos"] + length] for x, w in zip(lows, some, strict=True)]}, schema=schema)
 
-    around = texts.mapInArrow(cut, "gram long, cls long, pos long, low long, single boolean, around binary")
-    ordered = around.repartition(partitions, "gram").sortWithinPartitions("gram", "cls", "pos")
+    around_of = lambda grams: asked_of(grams).mapInArrow(cut, "gram long, cls long, pos long, low long, single boolean, around binary")
+    hot = open_grams.where("hot")
+    ordered = around_of(open_grams.where("not hot")).repartition(partitions, "gram").sortWithinPartitions("gram", "cls", "pos")
 
     def rank(batches):
         def ranges(table):
@@ -234,20 +271,25 @@ def removed_ranges(docs: DataFrame, work: Workspace, length: int, gram: int) ->
                 a = b
 
     partly = ordered.mapInArrow(rank, "cls long, a long, b long")
+    if not hot.isEmpty():
+        partly = partly.unionByName(rank_dealt(around_of(hot), work, length, gram))
     found = work.save(partly.unionByName(repeated).unionByName(whole), "ranges")
     return rows, found
 
 
 def remove(docs: DataFrame, length: int = LENGTH, gram: int | None = None, texts: bool = False) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256; with ``texts`` the kept bytes (spans may cut a character) as ``kept``."""
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256; with ``texts`` also n_kept and the kept ``text``.
+
+    Spans may cut a character; what is left of it is U+FFFD in ``text``, not in the digest.
+    """
     gram = gram or max(1, length * 4 // 25)
     docs = docs.select("doc_id", "text")
     work = Workspace(docs.sparkSession, "repeats")
     rows, found = removed_ranges(docs, work, length, gram)
     per_class = found.groupBy("cls").agg(F.collect_list(F.struct("a", "b")).alias("spans"))
-    # by id, so that the text goes over the network once; ids of several texts are told apart by class
-    named = rows.select(F.coalesce("doc_id", F.lit(-(2**63))).alias("row"), "cls").distinct().join(per_class, "cls").groupBy("row").agg(F.collect_list(F.struct("cls", "spans")).alias("known"))
-    schema = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept_sha256", pa.string())] + [("kept", pa.binary())] * texts)
+    # by row key, so that the text goes over the network once; ids of several texts are told apart by class
+    named = rows.select("row", "cls").distinct().join(per_class, "cls").groupBy("row").agg(F.collect_list(F.struct("cls", "spans")).alias("known"))
+    schema = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept_sha256", pa.string())] + [("n_kept", pa.int64()), ("text", pa.string())] * texts)
 
     def apply(batches):
         for batch in batches:
@@ -264,10 +306,10 @@ def remove(docs: DataFrame, length: int = LENGTH, gram: int | None = None, texts
                     end = max(end, b)
                 kept.append(raw[end:])
                 left = b"".join(kept)
-                values = (ids[i], len(raw), len(raw) - len(left), runs, hashlib.sha256(left).hexdigest()) + (left,) * texts
+                values = (ids[i], len(raw), len(raw) - len(left), runs, hashlib.sha256(left).hexdigest()) + ((len(left), left.decode("utf-8", "replace")) if texts else ())
                 for key, value in zip(out, values, strict=True):
                     out[key].append(value)
             yield pa.RecordBatch.from_pydict(out, schema=schema)
 
-    rows = docs.withColumn("row", F.coalesce("doc_id", F.lit(-(2**63)))).join(named, "row", "left").select("doc_id", "text", "known")
-    return rows.mapInArrow(apply, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + (", kept binary" if texts else ""))
+    rows = docs.select("doc_id", textkit.row_key(), "text").join(named, "row", "left").select("doc_id", "text", "known")
+    return rows.mapInArrow(apply, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + (", n_kept long, text string" if texts else ""))

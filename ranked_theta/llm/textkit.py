@@ -12,6 +12,8 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 
 #: Words of a shingle.
 SHINGLE = 5
@@ -179,3 +181,13 @@ def slices(column: pa.Array, most: int = 32 * BLOCK) -> Iterator[pa.Array]:
 
 def signed(h: np.ndarray) -> np.ndarray:
     return h.view(np.int64)
+
+
+def row_key() -> Column:
+    """What a row's text is found by, as ``row``: its id, or a hash of the text where there is none."""
+    return F.coalesce("doc_id", F.xxhash64("text")).alias("row")
+
+
+def by_row(docs: DataFrame) -> DataFrame:
+    """(row, text); equal texts without id have one row key, and one of them will do."""
+    return docs.where("doc_id is not null").select(row_key(), "text").unionByName(docs.where("doc_id is null").select(row_key(), "text").distinct())
