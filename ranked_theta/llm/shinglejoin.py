@@ -35,7 +35,7 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
@@ -127,8 +127,8 @@ class CountTree:
 
 
 def describe(docs: DataFrame, work: Workspace) -> tuple[DataFrame, np.ndarray]:
-    """(doc_id, cls, n, point) of all rows, and the count sketch over all documents."""
-    schema = pa.schema([("doc_id", pa.int64()), ("cls", pa.int64()), ("n", pa.int64()), ("point", pa.binary()), ("piece", pa.int32()), ("salt", pa.int32()), ("part", pa.binary())])
+    """(doc_id, row, cls, n, point) of all rows, and the count sketch over all documents."""
+    schema = pa.schema([("doc_id", pa.int64()), ("row", pa.int64()), ("cls", pa.int64()), ("n", pa.int64()), ("point", pa.binary()), ("piece", pa.int32()), ("salt", pa.int32()), ("part", pa.binary())])
 
     def read(batches):
         from pyspark import TaskContext
@@ -136,25 +136,25 @@ def describe(docs: DataFrame, work: Workspace) -> tuple[DataFrame, np.ndarray]:
         total = np.zeros(SKETCH, np.int64)
         for batch in batches:
             at = 0
-            for part in textkit.slices(batch.column(1), 1 << 21):
+            for part in textkit.slices(batch.column(2), 1 << 21):
                 sets = list(textkit.shingle_sets(part))
                 total += np.bincount(bucket(np.concatenate(sets)), minlength=SKETCH) if sets else 0
-                out = {"doc_id": batch.column(0).slice(at, len(part)), "cls": [class_name(s) for s in sets], "n": [len(s) for s in sets], "point": [point(s).tobytes() for s in sets]}
+                out = {"doc_id": batch.column(0).slice(at, len(part)), "row": batch.column(1).slice(at, len(part)), "cls": [class_name(s) for s in sets], "n": [len(s) for s in sets], "point": [point(s).tobytes() for s in sets]}
                 yield pa.RecordBatch.from_pydict(out | {k: pa.nulls(len(sets), schema.field(k).type) for k in ("piece", "salt", "part")}, schema=schema)
                 at += len(part)
         held = partials.rows(total, TaskContext.get().partitionId())
-        yield pa.RecordBatch.from_pydict({k: pa.nulls(len(held["piece"]), schema.field(k).type) for k in ("doc_id", "cls", "n", "point")} | held, schema=schema)
+        yield pa.RecordBatch.from_pydict({k: pa.nulls(len(held["piece"]), schema.field(k).type) for k in ("doc_id", "row", "cls", "n", "point")} | held, schema=schema)
 
-    rows = docs.select("doc_id", "text").mapInArrow(read, f"doc_id long, cls long, n long, point binary, {partials.SCHEMA}")
+    rows = docs.select("doc_id", textkit.row_key(), "text").mapInArrow(read, f"doc_id long, row long, cls long, n long, point binary, {partials.SCHEMA}")
     rows = work.save(rows, "described")
     sketch = partials.collect(rows.where("piece is not null").select("piece", "salt", "part"), SKETCH)
-    return rows.where("n is not null").select("doc_id", "cls", "n", "point"), sketch
+    return rows.where("n is not null").select("doc_id", "row", "cls", "n", "point"), sketch
 
 
 def routing_keys(docs: DataFrame, sketch: np.ndarray, percent: int) -> DataFrame:
-    """(key, cls): the prefix shingles of each class, once per task."""
+    """(key, cls, n): the prefix shingles of each class, once per task."""
     shared = docs.sparkSession.sparkContext.broadcast(sketch)
-    schema = pa.schema([("key", pa.int64()), ("cls", pa.int64())])
+    schema = pa.schema([("key", pa.int64()), ("cls", pa.int64()), ("n", pa.int32())])
 
     def route(batches):
         order, seen = shared.value, set()
@@ -170,11 +170,12 @@ def routing_keys(docs: DataFrame, sketch: np.ndarray, percent: int) -> DataFrame
                     rank = order[bucket(s)]
                     # sets are sorted by hash; a stable sort by count breaks ties by it
                     keys.append(s[np.argsort(rank, kind="stable")[:m]])
-                    owner.append((name, m))
+                    owner.append((name, len(s), m))
                 if keys:
-                    yield pa.RecordBatch.from_pydict({"key": textkit.signed(np.concatenate(keys)), "cls": np.repeat(np.array([o[0] for o in owner], np.int64), [o[1] for o in owner])}, schema=schema)
+                    name, n, m = (np.array(x, np.int64) for x in zip(*owner, strict=True))
+                    yield pa.RecordBatch.from_pydict({"key": textkit.signed(np.concatenate(keys)), "cls": np.repeat(name, m), "n": np.repeat(n, m).astype(np.int32)}, schema=schema)
 
-    return docs.select("text").mapInArrow(route, "key long, cls long")
+    return docs.select("text").mapInArrow(route, "key long, cls long, n int")
 
 
 def _only(docs: DataFrame, rows: DataFrame) -> DataFrame:
@@ -186,45 +187,49 @@ def _only(docs: DataFrame, rows: DataFrame) -> DataFrame:
     return marked.join(F.broadcast(marks), "word").where(F.col("bits").bitwiseAND(bit(F.col("m"))) != 0).drop("m", "word", "bits")  # MARKS / 64 rows at most
 
 
-def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, percent: int, exact: bool = True) -> DataFrame:
+def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, percent: int, work: Workspace, name: str, exact: bool = True) -> DataFrame:
     """The pairs (a, b) of classes whose exact sets link.
 
     Without ``exact``: the pairs that counts in 65,536 token groups don't rule out. Two
     bytes of each hash are shipped then, a quarter of the set.
 
-    The sets of all a of one b go to where the set of b is. A b with very many a is dealt
-    into parts, each with a copy of its set, and sets are read as a stream, so that a task
-    holds two of them.
+    Pairs go to the texts they need, a text first and what is asked of it after it; then the
+    sets of all a of one b go to where the set of b is. A b with very many a is dealt into
+    parts, each with a copy of its set, and both steps read a stream, so that a task holds
+    a text and two sets.
     """
     partitions = max(1, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    salts = pairs.groupBy("b").agg(F.ceil(F.count(F.lit(1)) / 512).alias("salts"))
-    dealt = pairs.join(salts, "b").withColumn("salt", F.pmod(F.xxhash64("a"), F.col("salts")))
-    members = dealt.select(F.col("a").alias("cls"), F.struct(F.col("b").alias("centre"), "salt", F.lit(1).alias("role")).alias("job"))
-    centres = dealt.select(F.col("b").alias("cls"), F.struct(F.col("b").alias("centre"), "salt", F.lit(0).alias("role")).alias("job")).distinct()
-    jobs = members.unionByName(centres).groupBy("cls").agg(F.collect_list("job").alias("jobs")).join(classes.select("cls", "row"), "cls")
+    salts = pairs.groupBy("b").agg(F.ceil(F.count(F.lit(1)) / 512).alias("salts")).where("salts > 1")
+    dealt = pairs.join(salts, "b", "left").withColumn("salt", F.pmod(F.xxhash64("a"), F.coalesce("salts", F.lit(1))))
+    jobs = dealt.select(F.col("a").alias("cls"), F.col("b").alias("centre"), "salt", F.lit(1).alias("role")).unionByName(dealt.select(F.col("b").alias("cls"), F.col("b").alias("centre"), "salt", F.lit(0).alias("role")).distinct())
+    jobs = work.save(jobs.join(classes.select("cls", "row"), "cls"), f"{name}-jobs")
     schema = pa.schema([("centre", pa.int64()), ("salt", pa.int64()), ("role", pa.int32()), ("cls", pa.int64()), ("hashes", pa.binary())])
 
     def sets(batches):
+        row, known = None, {}
         for batch in batches:
-            at = 0
+            out, held, at = {n: [] for n in schema.names}, 0, 0
             for part in textkit.slices(batch.column(1), 1 << 21):
-                out, held = {n: [] for n in schema.names}, 0
-                for c, jobs_, hashes in zip(batch.column(0).slice(at, len(part)).to_pylist(), batch.column(2).slice(at, len(part)).to_pylist(), textkit.shingle_sets(part), strict=True):
-                    if class_name(hashes) != c:  # another text of this id
-                        continue
-                    raw = (hashes if exact else hashes.astype("<u2")).tobytes()
-                    for j in jobs_:
-                        for n, v in zip(schema.names, (j["centre"], j["salt"], j["role"], c, raw), strict=True):
+                jobs_ = [batch.column(k).slice(at, len(part)).to_pylist() for k in (0, 2, 3, 4, 5)]
+                at += len(part)
+                for r, c, centre, salt, role, hashes in zip(*jobs_, textkit.shingle_sets(part), strict=True):
+                    if r != row:
+                        row, known = r, {}
+                    if c is None:  # a text; its jobs follow
+                        known[class_name(hashes)] = (hashes if exact else hashes.astype("<u2")).tobytes()
+                    elif c in known:
+                        for n, v in zip(schema.names, (centre, salt, role, c, known[c]), strict=True):
                             out[n].append(v)
-                        held += len(raw)
+                        held += len(known[c])
                         if held > 1 << 23:
                             yield pa.RecordBatch.from_pydict(out, schema=schema)
                             out, held = {n: [] for n in schema.names}, 0
-                yield pa.RecordBatch.from_pydict(out, schema=schema)
-                at += len(part)
+            yield pa.RecordBatch.from_pydict(out, schema=schema)
 
-    texts = _only(docs, jobs).join(jobs, "row").select("cls", "text", "jobs")
-    shipped = texts.mapInArrow(sets, "centre long, salt long, role int, cls long, hashes binary").repartition(partitions, "centre", "salt").sortWithinPartitions("centre", "salt", "role")
+    texts = _only(docs, jobs).select("row", "text", *[F.lit(None).cast("long").alias(c) for c in ("cls", "centre", "salt")], F.lit(None).cast("int").alias("role"))
+    asked = texts.unionByName(jobs.select("row", F.lit(None).cast("string").alias("text"), "cls", "centre", "salt", "role"))
+    asked = asked.repartition(partitions, "row").sortWithinPartitions("row", F.col("cls").isNotNull())
+    shipped = asked.mapInArrow(sets, "centre long, salt long, role int, cls long, hashes binary").repartition(partitions, "centre", "salt").sortWithinPartitions("centre", "salt", "role")
 
     def test(batches):
         held, own, counts = None, None, None
@@ -261,22 +266,25 @@ def bounded(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
             ok = pa.array(ok)
             yield pa.RecordBatch.from_arrays([batch.column(0).filter(ok), batch.column(1).filter(ok)], names=["a", "b"])
 
-    near = (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb"))
-    return pairs.join(a, "a").join(b, "b").where(near).select("a", "b", "na", "nb", "pa", "pb").mapInArrow(rule, "a long, b long")
+    return pairs.join(a, "a").join(b, "b").where(_near("na", "nb", percent)).select("a", "b", "na", "nb", "pa", "pb").mapInArrow(rule, "a long, b long")
 
 
-def star_pairs(rows: DataFrame, order, most: int) -> DataFrame:
+def star_pairs(rows: DataFrame, order, most: int, percent: int) -> DataFrame:
     """(a, b): each class with the ``most`` centres that the most of its keys have.
 
-    ``rows``: key, cls, part; a key's centre is its class that comes last in ``order``.
-    Pairs of one part are left out.
+    ``rows``: key, cls, n, part; a key's centre is its class that comes last in ``order``.
+    Pairs of one part, and of sizes that can't link, are left out.
     """
-    centres = rows.groupBy("key").agg(F.max(F.struct(order.alias("by"), "cls", "part")).alias("c"))
-    pairs = rows.join(centres, "key").where(F.col("part") != F.col("c.part")).groupBy(F.col("cls").alias("a"), F.col("c.cls").alias("b")).agg(F.count(F.lit(1)).alias("keys"))
+    centres = rows.groupBy("key").agg(F.max(F.struct(order.alias("by"), "cls", "part", "n")).alias("c"))
+    pairs = rows.join(centres, "key").where((F.col("part") != F.col("c.part")) & _near("n", "c.n", percent)).groupBy(F.col("cls").alias("a"), F.col("c.cls").alias("b")).agg(F.count(F.lit(1)).alias("keys"))
     place = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("keys"), "b"))
     return pairs.withColumn("place", place).where(F.col("place") <= most).select("a", "b")
 
 
+def _near(a: str, b: str, percent: int) -> Column:
+    return 100 * F.least(a, b) >= percent * F.greatest(a, b)
+
+
 def with_heads(rows: DataFrame, classes: DataFrame) -> DataFrame:
     """(cls, n, point, head0, ...) of the classes in ``rows`` (key, cls), with their smallest keys there."""
     heads = rows.groupBy("cls").agg(F.slice(F.sort_array(F.collect_list("key")), 1, HEAD).alias("head"))  # one set's keys
@@ -343,27 +351,27 @@ def join(docs: DataFrame, percent: int = 75) -> tuple[DataFrame, DataFrame, Work
     work = Workspace(spark, "shinglejoin")
     partitions = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
     described, sketch = describe(docs, work)
-    # a class is read from the rows with its smallest doc_id
-    classes = work.save(described.where("n > 0").groupBy("cls").agg(F.coalesce(F.min("doc_id"), F.lit(-(2**63))).alias("row"), F.first("n").alias("n"), F.first("point").alias("point")), "classes")
+    # a class is read from the rows with one of its row keys
+    classes = work.save(described.where("n > 0").groupBy("cls").agg(F.min("row").alias("row"), F.first("n").alias("n"), F.first("point").alias("point")), "classes")
     by_key = Window.partitionBy("key")
     keyed = routing_keys(docs, sketch, percent).withColumn("low", F.min("cls").over(by_key)).withColumn("high", F.max("cls").over(by_key))
-    keyed = work.save(keyed.where("low <> high").select("key", "cls").distinct().withColumn("size", F.count(F.lit(1)).over(by_key)), "keyed")
-    source = docs.select(F.coalesce("doc_id", F.lit(-(2**63))).alias("row"), "text")
+    keyed = work.save(keyed.where("low <> high").select("key", "cls", "n").distinct().withColumn("size", F.count(F.lit(1)).over(by_key)), "keyed")
+    source = textkit.by_row(docs)
     # what others were copied from shares most of its keys with most classes: it is the centre of its groups
     score = work.save(keyed.groupBy("cls").agg(F.avg("size").alias("score")), "score")
-    stars = star_pairs(keyed.select("key", "cls", F.col("cls").alias("part")).join(score, "cls"), F.col("score"), CENTRES[0])
+    stars = star_pairs(keyed.select("key", "cls", "n", F.col("cls").alias("part")).join(score, "cls"), F.col("score"), CENTRES[0], percent)
     tried = work.save(bounded(stars, classes, percent), "stars")
-    linked = work.save(verified(tried, source, classes, percent), "linked")
+    linked = work.save(verified(tried, source, classes, percent, work, "linked"), "linked")
     rows = still_apart(keyed, components(linked, work, "first"), work, "apart")
-    stars = star_pairs(rows, F.xxhash64("cls", F.pmod("key", F.lit(ORDERS))), CENTRES[1])
+    stars = star_pairs(rows, F.xxhash64("cls", F.pmod("key", F.lit(ORDERS))), CENTRES[1], percent)
     again = work.save(bounded(_ordered(stars, tried), classes, percent), "stars-again")
-    linked = work.save(linked.unionByName(verified(again, source, classes, percent)), "linked-again")
+    linked = work.save(linked.unionByName(verified(again, source, classes, percent, work, "again")), "linked-again")
     rows = still_apart(rows, components(linked, work, "second"), work, "apart-again")
     rows = work.save(distinct_groups(rows, Window.partitionBy("key")), "open")
     more = tree_pairs(rows, with_heads(rows, classes), percent, partitions)
     more = work.save(_ordered(more, tried.unionByName(again)), "more")
-    more = work.save(verified(more, source, classes, percent, exact=False), "more-fine")
-    more_linked = work.save(verified(more, source, classes, percent), "more-linked")
+    more = work.save(verified(more, source, classes, percent, work, "fine", exact=False), "more-fine")
+    more_linked = work.save(verified(more, source, classes, percent, work, "more"), "more-linked")
     return described, components(linked.unionByName(more_linked), work, "last"), work
 
 
@@ -376,9 +384,9 @@ def _ordered(pairs: DataFrame, tried: DataFrame) -> DataFrame:
 def still_apart(rows: DataFrame, parts: DataFrame, work: Workspace, name: str) -> DataFrame:
     """(key, cls, part) of the keys with classes of more than one component."""
     by_key = Window.partitionBy("key")
-    rows = rows.select("key", "cls").join(parts.withColumnRenamed("node", "cls"), "cls", "left").select("key", "cls", F.coalesce("component", "cls").alias("part"))
+    rows = rows.select("key", "cls", "n").join(parts.withColumnRenamed("node", "cls"), "cls", "left").select("key", "cls", "n", F.coalesce("component", "cls").alias("part"))
     rows = rows.withColumn("low", F.min("part").over(by_key)).withColumn("high", F.max("part").over(by_key)).where("low <> high")
-    return work.save(rows.select("key", "cls", "part"), name)
+    return work.save(rows.select("key", "cls", "n", "part"), name)
 
 
 def distinct_groups(rows: DataFrame, by_key) -> DataFrame:

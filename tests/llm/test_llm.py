@@ -328,3 +328,56 @@ def test_a_pair_is_reported_under_its_smallest_shared_key():
     others = np.array([[3, 9, 11, none], [5, 9, 12, 13], [4, 6, 7, none]])
     assert shinglejoin.reported_here(3, head, others).tolist() == [True, False, True]
     assert shinglejoin.reported_here(9, head, others).tolist() == [False, False, True]
+
+
+def test_near_copies_without_ids_leave_one(spark):
+    text = lambda n: " ".join(f"w{i}" for i in range(n))
+    rows = [(None, text(60), 1), (None, text(61), 2), (None, text(61), 2), (None, "other words stand here alone", 3), (None, None, 4), (None, "", 5), (7, "a text with an id", 6), (None, "a text with an id", 7), (8, text(200), 8), (8, "another text under the same id", 9)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, kept_id long")
+    kept = sorted((r["doc_id"] or 0, r["text"] or "", r["kept_id"]) for r in shinglejoin.one_of_each(docs).collect())
+    assert kept == sorted([(0, text(60), 1), (0, "other words stand here alone", 3), (0, "", 4), (0, "", 5), (7, "a text with an id", 6), (8, text(200), 8), (8, "another text under the same id", 9)])
+    assert shinglejoin.one_of_each(docs.limit(0)).count() == 0
+
+
+def test_rows_without_id_are_judged_by_their_text(spark):
+    item = "one two three four five six seven eight"
+    docs = spark.createDataFrame([(None, f"x {item} y"), (None, "a clean text"), (1, None), (1, item)], "doc_id long, text string")
+    items = spark.createDataFrame([(1, item), (2, None)], "item_id long, text string")
+    assert sorted(map(str, decontaminate.clean(docs, items).collect())) == sorted(["Row(doc_id=None, text='a clean text')", "Row(doc_id=1, text=None)"])
+    assert decontaminate.clean(docs, items.limit(0)).count() == 4 and decontaminate.clean(docs.limit(0), items).count() == 0
+
+
+def test_labels_and_components_of_any_size(spark):
+    rows = [(1, [1e200, 0.0], "x"), (2, [2e200, 0.0], "x"), (3, [1e-200, 0.0], "x"), (4, [1e200, 0.0], "y"), (5, [5e-324, 0.0], "y"), (6, [0.0, 1e308], "y")]
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in embeddings.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>, label string")).collect()}
+    assert got == {1: (2, 1), 2: (2, 1), 3: (2, 1), 4: (1, 4), 5: (1, 4), 6: (0, 6)}
+    large = spark.createDataFrame([(1, [1.0, 0.0], 2**60), (2, [1.0, 0.0], 2**60), (3, [1.0, 0.0], 2**60 + 1)], "vec_id long, embedding array<double>, label long")
+    assert {r["vec_id"]: r["n_links"] for r in embeddings.near_duplicates(large).collect()} == {1: 1, 2: 1, 3: 0}
+
+
+def test_columns_with_clashing_names_are_carried(spark):
+    rows = [(d, "some words in a text " * 3 + str(d), "a", "p", 1, 2, 3, 4) for d in range(6)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, p_sk string, mix_size long, quality_score long, kept_rows long, one_row long")
+    labels = spark.createDataFrame([(d, 1) for d in range(6)], "doc_id long, quality int")
+    for made in (quality.keep_good(docs, labels), mixing.mixed(docs, share=1.0), shinglejoin.one_of_each(docs), decontaminate.clean(docs, docs.selectExpr("doc_id + 10 AS item_id", "'no such text at all is here' AS text"))):
+        assert made.columns == docs.columns
+        found = made.collect()
+        assert found and all(tuple(r)[3:] == ("p", 1, 2, 3, 4) for r in found)
+
+
+def test_strings_of_hot_grams_are_dealt_out(spark, monkeypatch):
+    monkeypatch.setattr(repeats, "HOT", 1)
+    test_repeats(spark)
+
+
+def test_long_texts_go_through_every_operator(spark):
+    rng = random.Random(8)
+    long_text = " ".join("".join(rng.choice("abcdefgh") for _ in range(6)) for _ in range(150_000))
+    docs = spark.createDataFrame([(1, long_text, "a"), (2, long_text[: len(long_text) // 2] + " end", "a"), (3, "x" * 300_000, "b"), (4, long_text, "b")], "doc_id long, text string, source string")
+    assert {r["doc_id"]: r["component_id"] for r in shinglejoin.join_report(docs).collect()} == {1: 1, 2: 2, 3: 3, 4: 1}
+    removed = {r["doc_id"]: (r["n_bytes"], r["n_removed"], len(r["text"])) for r in repeats.remove(docs, texts=True).collect()}
+    half = len(long_text) // 2
+    assert removed[1] == (len(long_text), len(long_text), 0) and removed[2][1] == half + 0 + (long_text[half : half + 1] == " ") and removed[3][1] == 300_000
+    assert {r["doc_id"]: r["n_tokens"] for r in tokenids.token_report(docs, PATH).collect()}[1] == len(Tokenizer.from_file(PATH).encode(long_text).ids) + 1
+    assert sum(r["taken"] for r in mixing.mix_report(docs).collect()) > 0
+    assert {r["doc_id"] for r in decontaminate.leaks(docs, spark.createDataFrame([(1, " ".join(long_text.split(" ")[-40:]))], "item_id long, text string")).collect()} == {1, 4}
