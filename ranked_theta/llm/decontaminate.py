@@ -115,7 +115,7 @@ def _item_sets(items: DataFrame) -> DataFrame:
             found = list(textkit.shingle_sets(batch.column(1)))
             yield pa.RecordBatch.from_pydict({"item_id": batch.column(0), "n": [len(s) for s in found], "hashes": [s.tobytes() for s in found]}, schema=pa.schema([("item_id", pa.int64()), ("n", pa.int64()), ("hashes", pa.binary())]))
 
-    return items.select("item_id", "text").distinct().mapInArrow(sets, "item_id long, n long, hashes binary").where("n > 0")
+    return items.select("item_id", "text").distinct().mapInArrow(textkit.frugal(sets), "item_id long, n long, hashes binary").where("n > 0")
 
 
 def _indexes(items: DataFrame, work: Workspace) -> Iterator:
@@ -132,7 +132,7 @@ def leaks(docs: DataFrame, items: DataFrame, threshold: float = 0.75) -> DataFra
     """doc_id, item_id, n_item, n_shared, containment for each item that a document contains."""
     found = None
     for index in _indexes(items, Workspace(docs.sparkSession, "leaks")):
-        part = docs.select("doc_id", "text").mapInArrow(_prober(index, threshold), "doc_id long, item_id long, n_item long, n_shared long, containment double")
+        part = docs.select("doc_id", "text").mapInArrow(textkit.frugal(_prober(index, threshold)), "doc_id long, item_id long, n_item long, n_shared long, containment double")
         found = part if found is None else found.unionByName(part)
     return docs.sparkSession.createDataFrame([], "doc_id long, item_id long, n_item long, n_shared long, containment double") if found is None else found
 
@@ -165,7 +165,7 @@ def clean(docs: DataFrame, items: DataFrame, threshold: float = 0.75) -> DataFra
     """
     place = docs.columns.index("text")
     for index in _indexes(items, Workspace(docs.sparkSession, "leaks")):
-        docs = docs.mapInArrow(_sieve(index, threshold, place), docs.schema)
+        docs = docs.mapInArrow(textkit.frugal(_sieve(index, threshold, place)), docs.schema)
     return docs
 
 

@@ -85,7 +85,7 @@ def context_counts(docs: DataFrame) -> np.ndarray:
         sums = total.reshape(2 * k, k) @ index_vectors(11)
         yield pa.RecordBatch.from_pydict(partials.rows(sums, TaskContext.get().partitionId()), schema=pa.schema([("piece", pa.int32()), ("salt", pa.int32()), ("part", pa.binary())]))
 
-    return partials.collect(docs.select("text").mapInArrow(count, partials.SCHEMA), 2 * k * DIMENSIONS).reshape(2 * k, DIMENSIONS)
+    return partials.collect(docs.select("text").mapInArrow(textkit.frugal(count), partials.SCHEMA), 2 * k * DIMENSIONS).reshape(2 * k, DIMENSIONS)
 
 
 def context_vectors(sums: np.ndarray) -> np.ndarray:
@@ -176,7 +176,7 @@ def fit(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS) -> tup
                 at += n
 
     # the right side has train_rows rows of two numbers at most
-    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "quality", "text").mapInArrow(features, "doc_id long, quality long, x binary").groupBy("doc_id", "quality").agg(F.min("x").alias("x")).orderBy("doc_id").collect()
+    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "quality", "text").mapInArrow(textkit.frugal(features), "doc_id long, quality long, x binary").groupBy("doc_id", "quality").agg(F.min("x").alias("x")).orderBy("doc_id").collect()
     x = np.array([np.frombuffer(r["x"]) for r in rows]).reshape(len(rows), 2 * DIMENSIONS)
     return vectors, Network(x, np.array([r["quality"] for r in rows], float))
 

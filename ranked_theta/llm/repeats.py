@@ -124,7 +124,7 @@ def parse(docs: DataFrame, length: int, gram: int) -> DataFrame:
             if parts:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*parts, strict=True)], schema=schema)
 
-    return docs.select("text").mapInArrow(find, ", ".join(f"{n} long" for n in names))
+    return docs.select("text").mapInArrow(textkit.frugal(find), ", ".join(f"{n} long" for n in names))
 
 
 def strings_at(gram_of: np.ndarray, texts: list[bytes], left: np.ndarray, ds: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -192,7 +192,7 @@ def rank_dealt(around: DataFrame, work: Workspace, length: int, gram: int) -> Da
                     r = row[a : a + (1 << 16)]
                     yield pa.RecordBatch.from_pydict({"h": textkit.signed(h[a : a + (1 << 16)]), "cls": cls[r], "pos": pos[r], "at": low[r] + start[a : a + (1 << 16)], "single": single[r]}, schema=schema)
 
-    rows = work.save(around.mapInArrow(spread, "h long, cls long, pos long, at long, single boolean"), "strings")
+    rows = work.save(around.mapInArrow(textkit.frugal(spread), "h long, cls long, pos long, at long, single boolean"), "strings")
     place = F.struct("cls", "pos")
     twice = rows.groupBy("h").agg(F.min(place).alias("one"), F.max(place).alias("other")).where("one <> other").select("h")
     hit = rows.where("single").join(twice, "h", "left_semi").groupBy("cls", "pos").agg(F.min("at").alias("a"), (F.max("at") + length).alias("b"))
@@ -210,7 +210,7 @@ def removed_ranges(docs: DataFrame, work: Workspace, length: int, gram: int) ->
             found = [(text_name(raw), len(raw)) for _, raw in _texts(batch.column(1))]
             yield pa.RecordBatch.from_pydict({"row": batch.column(0), "cls": [f[0] for f in found], "size": [f[1] for f in found]}, schema=pa.schema([("row", pa.int64()), ("cls", pa.int64()), ("size", pa.int64())]))
 
-    rows = work.save(docs.select(textkit.row_key(), "text").mapInArrow(describe, "row long, cls long, size long"), "rows")
+    rows = work.save(docs.select(textkit.row_key(), "text").mapInArrow(textkit.frugal(describe), "row long, cls long, size long"), "rows")
     classes = rows.groupBy("cls").agg(F.min("row").alias("row"), F.count(F.lit(1)).alias("n"), F.max("size").alias("size"))
     classes = work.save(classes.where(F.col("size") >= length), "classes")
     whole = classes.where("n > 1").select("cls", F.lit(0).cast("long").alias("a"), F.col("size").alias("b"))
@@ -249,7 +249,7 @@ def removed_ranges(docs: DataFrame, work: Workspace, length: int, gram: int) ->
                     lows = [max(0, w["pos"] - reach) for w in some]
                     yield pa.RecordBatch.from_pydict({"gram": [w["gram"] for w in some], "cls": [cls] * len(some), "pos": [w["pos"] for w in some], "low": lows, "single": [w["n"] == 1 for w in some], "around": [raw[x : w["pos"] + length] for x, w in zip(lows, some, strict=True)]}, schema=schema)
 
-    around_of = lambda grams: asked_of(grams).mapInArrow(cut, "gram long, cls long, pos long, low long, single boolean, around binary")
+    around_of = lambda grams: asked_of(grams).mapInArrow(textkit.frugal(cut), "gram long, cls long, pos long, low long, single boolean, around binary")
     hot = open_grams.where("hot")
     ordered = around_of(open_grams.where("not hot")).repartition(partitions, "gram").sortWithinPartitions("gram", "cls", "pos")
 
@@ -270,7 +270,7 @@ def removed_ranges(docs: DataFrame, work: Workspace, length: int, gram: int) ->
                 yield ranges(table.slice(int(bounds[a]), int(bounds[b] - bounds[a])))
                 a = b
 
-    partly = ordered.mapInArrow(rank, "cls long, a long, b long")
+    partly = ordered.mapInArrow(textkit.frugal(rank), "cls long, a long, b long")
     if not hot.isEmpty():
         partly = partly.unionByName(rank_dealt(around_of(hot), work, length, gram))
     found = work.save(partly.unionByName(repeated).unionByName(whole), "ranges")
@@ -312,4 +312,4 @@ def remove(docs: DataFrame, length: int = LENGTH, gram: int | None = None, texts
             yield pa.RecordBatch.from_pydict(out, schema=schema)
 
     rows = docs.select("doc_id", textkit.row_key(), "text").join(named, "row", "left").select("doc_id", "text", "known")
-    return rows.mapInArrow(apply, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + (", n_kept long, text string" if texts else ""))
+    return rows.mapInArrow(textkit.frugal(apply), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + (", n_kept long, text string" if texts else ""))

@@ -145,7 +145,7 @@ def describe(docs: DataFrame, work: Workspace) -> tuple[DataFrame, np.ndarray]:
         held = partials.rows(total, TaskContext.get().partitionId())
         yield pa.RecordBatch.from_pydict({k: pa.nulls(len(held["piece"]), schema.field(k).type) for k in ("doc_id", "row", "cls", "n", "point")} | held, schema=schema)
 
-    rows = docs.select("doc_id", textkit.row_key(), "text").mapInArrow(read, f"doc_id long, row long, cls long, n long, point binary, {partials.SCHEMA}")
+    rows = docs.select("doc_id", textkit.row_key(), "text").mapInArrow(textkit.frugal(read), f"doc_id long, row long, cls long, n long, point binary, {partials.SCHEMA}")
     rows = work.save(rows, "described")
     sketch = partials.collect(rows.where("piece is not null").select("piece", "salt", "part"), SKETCH)
     return rows.where("n is not null").select("doc_id", "row", "cls", "n", "point"), sketch
@@ -175,7 +175,7 @@ def routing_keys(docs: DataFrame, sketch: np.ndarray, percent: int) -> DataFrame
                     name, n, m = (np.array(x, np.int64) for x in zip(*owner, strict=True))
                     yield pa.RecordBatch.from_pydict({"key": textkit.signed(np.concatenate(keys)), "cls": np.repeat(name, m), "n": np.repeat(n, m).astype(np.int32)}, schema=schema)
 
-    return docs.select("text").mapInArrow(route, "key long, cls long, n int")
+    return docs.select("text").mapInArrow(textkit.frugal(route), "key long, cls long, n int")
 
 
 def _only(docs: DataFrame, rows: DataFrame) -> DataFrame:
@@ -229,7 +229,7 @@ def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, percent: int
     texts = _only(docs, jobs).select("row", "text", *[F.lit(None).cast("long").alias(c) for c in ("cls", "centre", "salt")], F.lit(None).cast("int").alias("role"))
     asked = texts.unionByName(jobs.select("row", F.lit(None).cast("string").alias("text"), "cls", "centre", "salt", "role"))
     asked = asked.repartition(partitions, "row").sortWithinPartitions("row", F.col("cls").isNotNull())
-    shipped = asked.mapInArrow(sets, "centre long, salt long, role int, cls long, hashes binary").repartition(partitions, "centre", "salt").sortWithinPartitions("centre", "salt", "role")
+    shipped = asked.mapInArrow(textkit.frugal(sets), "centre long, salt long, role int, cls long, hashes binary").repartition(partitions, "centre", "salt").sortWithinPartitions("centre", "salt", "role")
 
     def test(batches):
         held, own, counts = None, None, None
@@ -248,7 +248,7 @@ def verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, percent: int
                         out["b"].append(held)
             yield pa.RecordBatch.from_pydict(out, schema=pa.schema([("a", pa.int64()), ("b", pa.int64())]))
 
-    return shipped.mapInArrow(test, "a long, b long")
+    return shipped.mapInArrow(textkit.frugal(test), "a long, b long")
 
 
 def bounded(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
@@ -266,7 +266,7 @@ def bounded(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
             ok = pa.array(ok)
             yield pa.RecordBatch.from_arrays([batch.column(0).filter(ok), batch.column(1).filter(ok)], names=["a", "b"])
 
-    return pairs.join(a, "a").join(b, "b").where(_near("na", "nb", percent)).select("a", "b", "na", "nb", "pa", "pb").mapInArrow(rule, "a long, b long")
+    return pairs.join(a, "a").join(b, "b").where(_near("na", "nb", percent)).select("a", "b", "na", "nb", "pa", "pb").mapInArrow(textkit.frugal(rule), "a long, b long")
 
 
 def star_pairs(rows: DataFrame, order, most: int, percent: int) -> DataFrame:
@@ -335,7 +335,7 @@ def tree_pairs(rows: DataFrame, described: DataFrame, percent: int, partitions:
             if left:
                 yield pa.RecordBatch.from_pydict({"a": np.concatenate(left), "b": np.concatenate(right)}, schema=pa.schema([("a", pa.int64()), ("b", pa.int64())]))
 
-    return rows.mapInArrow(search, "a long, b long")
+    return rows.mapInArrow(textkit.frugal(search), "a long, b long")
 
 
 def reported_here(key: int, head: np.ndarray, heads: np.ndarray) -> np.ndarray:
@@ -449,7 +449,7 @@ def _with_class(docs: DataFrame, name: str) -> DataFrame:
             found = [class_name(s) if len(s) else None for s in textkit.shingle_sets(batch.column(place))]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found, pa.int64())], names=[*batch.schema.names, name])
 
-    return docs.mapInArrow(read, kind)
+    return docs.mapInArrow(textkit.frugal(read), kind)
 
 
 from .decontaminate import _SHINGLES, _WORDS  # noqa: E402

@@ -7,6 +7,8 @@ memory stays bounded for a text of any length.
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -58,6 +60,38 @@ def prefix_hash(codes: np.ndarray) -> np.ndarray:
     return out
 
 
+_remembered: dict[str, dict] = {}
+
+
+def remembered(name: str) -> dict:
+    """A dictionary that a worker keeps between tasks, until it works on something else (``frugal``)."""
+    return _remembered.setdefault(name, {})
+
+
+def forget(but: str | None) -> None:
+    for name, kept in _remembered.items():
+        if name != but:
+            kept.clear()
+
+
+def give_back() -> None:
+    """Memory that the allocators hold on to goes back to the system."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # another C library
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+
+def frugal(work, own: str | None = None):
+    """``work`` on batches, for a worker that many tasks share in turn: what other operators remember there is dropped first."""
+
+    def run(batches):
+        forget(own)
+        yield from work(batches)
+        give_back()
+
+    return run
+
+
 def utf8(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Bytes and offsets of a string column; null counts as empty."""
     if isinstance(column, pa.ChunkedArray):

@@ -41,7 +41,7 @@ SEGMENT_IDS = 1 << 20
 #: Distinct chunks, and distinct pieces of chunks, kept per worker in each of two generations.
 CACHE = 200_000
 _SIGNS = frozenset(".,:;!?*|#%&$()-")
-_encoders: dict[str, Encoder] = {}
+_encoders: dict[str, Encoder] = textkit.remembered("encoders")
 
 
 class Remembered(dict):
@@ -233,7 +233,7 @@ def _blocks(docs: DataFrame, path: str, end_id: int, chunked: bool, partitions:
             yield block()
 
     ordered = docs.select("doc_id", "text").repartitionByRange(partitions, "doc_id").sortWithinPartitions("doc_id", "text")
-    return ordered.mapInArrow(encode, "part int, number int, n_ids long, docs array<long>, counts array<long>, control binary, data binary")
+    return ordered.mapInArrow(textkit.frugal(encode, "encoders"), "part int, number int, n_ids long, docs array<long>, counts array<long>, control binary, data binary")
 
 
 def id_counts(blocks: DataFrame) -> DataFrame:
@@ -250,7 +250,7 @@ def id_counts(blocks: DataFrame) -> DataFrame:
         found = np.flatnonzero(total)
         yield pa.RecordBatch.from_pydict({"id": found, "n": total[found]}, schema=pa.schema([("id", pa.int64()), ("n", pa.int64())]))
 
-    return blocks.select("control", "data", "n_ids").mapInArrow(count, "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
+    return blocks.select("control", "data", "n_ids").mapInArrow(textkit.frugal(count, "encoders"), "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
 
 
 def write_ids(docs: DataFrame, work: Workspace, path: str, end_id: int = 1, chunked: bool = True, partitions: int | None = None) -> DataFrame:
@@ -276,7 +276,7 @@ def write_ids(docs: DataFrame, work: Workspace, path: str, end_id: int = 1, chun
                 raw = write_segment(row["docs"], row["counts"], table[unpack(row["control"], row["data"], row["n_ids"])])
                 yield pa.RecordBatch.from_pydict({"uri": [files.put(files_at, raw, ".seg")]} | {c: [row[c]] for c in ("part", "number", "n_ids")}, schema=schema)
 
-    manifest = work.save(blocks.mapInArrow(write, "uri string, part int, number int, n_ids long"), "manifest")
+    manifest = work.save(blocks.mapInArrow(textkit.frugal(write, "encoders"), "uri string, part int, number int, n_ids long"), "manifest")
     work.drop("blocks")
     before = Window.orderBy("part", "number").rowsBetween(Window.unboundedPreceding, 0)
     return manifest.withColumn("start", F.sum("n_ids").over(before) - F.col("n_ids")).withColumn("ranks_uri", F.lit(ranks_uri))
@@ -303,7 +303,7 @@ def read_ids(manifest: DataFrame, digest_only: bool = True) -> DataFrame:
                 yield pa.RecordBatch.from_pydict(out, schema=pa.schema(fields))
 
     n = max(1, manifest.count())
-    return manifest.repartition(min(n, 100_000), "uri").mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long" + ("" if digest_only else ", ids array<long>"))
+    return manifest.repartition(min(n, 100_000), "uri").mapInArrow(textkit.frugal(read, "encoders"), "doc_id long, start long, n_tokens long, ids_crc32 long" + ("" if digest_only else ", ids array<long>"))
 
 
 def token_report(docs: DataFrame, path: str, end_id: int = 1) -> DataFrame:

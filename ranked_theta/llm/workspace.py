@@ -14,6 +14,10 @@ from pyspark.sql import DataFrame, SparkSession
 FALLBACK = "/tmp/ranked_theta_shared"
 
 
+#: Rows of an Arrow batch while a table is written; the setting and the most of them.
+BATCH, ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch", 1000
+
+
 def shared_root(spark: SparkSession) -> str:
     """The folder of ``spark.checkpoint.dir``; a local one only if that is unset and the master is ``local``."""
     root = spark.conf.get("spark.checkpoint.dir", None)
@@ -53,7 +57,13 @@ class Workspace:
         return f"{self.path}/{name}"
 
     def save(self, df: DataFrame, name: str) -> DataFrame:
-        df.write.mode("overwrite").parquet(self.at(name))
+        # rows may hold whole texts or sets of hashes: few of them go to a worker at once
+        before = self.spark.conf.get(BATCH, None)
+        self.spark.conf.set(BATCH, str(min(ROWS, int(before or ROWS))))
+        try:
+            df.write.mode("overwrite").parquet(self.at(name))
+        finally:
+            self.spark.conf.unset(BATCH) if before is None else self.spark.conf.set(BATCH, before)
         return self.spark.read.schema(df.schema).parquet(self.at(name))
 
     def drop(self, name: str | None = None) -> None:
