@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _CENTS = "CAST(round({0} * 100) AS BIGINT)"
@@ -12,15 +12,26 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def slices(spark: SparkSession, sf_dir: str, modulus: int = 1, domain: int = 10_000) -> DataFrame:
-    """rid, a, b, w, m from all orders: two whole columns in [0, domain), an exact weight, and a part number below ``modulus`` for size sweeps."""
-    cents = _CENTS.format("o_totalprice")
-    return table(spark, sf_dir, "orders").selectExpr("o_orderkey AS rid", f"(o_orderkey * 7919 + o_custkey * 104729) % 10000 % {domain} AS a", f"{cents} % 10000 % {domain} AS b", f"{cents} AS w", f"o_orderkey % {modulus} AS m")
+def cents(column: str) -> Column:
+    """A money column as an exact whole number."""
+    return F.expr(_CENTS.format(column))
 
 
-def slices_sql(modulus: int = 1, domain: int = 10_000) -> str:
-    cents = _CENTS.format("o_totalprice")
-    return f"SELECT o_orderkey AS rid, (o_orderkey * 7919 + o_custkey * 104729) % 10000 % {domain} AS a, {cents} % 10000 % {domain} AS b, {cents} AS w, o_orderkey % {modulus} AS m FROM orders"
+#: Key, second key and amount of the tables that give a relation of two whole columns and a weight.
+NUMBERS = {"orders": ("o_orderkey", "o_custkey", "o_totalprice"), "customer": ("c_custkey", "c_nationkey", "c_acctbal"), "supplier": ("s_suppkey", "s_nationkey", "s_acctbal"), "part": ("p_partkey", "p_size", "p_retailprice")}
+
+
+def slices(spark: SparkSession, sf_dir: str, source: str = "orders", domain: int = 10_000) -> DataFrame:
+    """rid, a, b, w from all rows of a table: two whole columns in [0, domain) and an exact weight."""
+    key, other, amount = NUMBERS[source]
+    cents = _CENTS.format(amount)
+    return table(spark, sf_dir, source).selectExpr(f"{key} AS rid", f"({key} * 7919 + CAST({other} AS BIGINT) * 104729) % 10000 % {domain} AS a", f"pmod({cents}, 10000L) % {domain} AS b", f"{cents} AS w")
+
+
+def slices_sql(source: str = "orders", domain: int = 10_000) -> str:
+    key, other, amount = NUMBERS[source]
+    cents = _CENTS.format(amount)
+    return f"SELECT {key} AS rid, ({key} * 7919 + {other}::BIGINT * 104729) % 10000 % {domain} AS a, (({cents} % 10000) + 10000) % 10000 % {domain} AS b, {cents} AS w FROM {source}"
 
 
 def sales(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -11,7 +11,9 @@ from pyspark.sql.window import Window
 from ..plans import predicates as P
 from ..plans.jointree import plan_tree
 from ..plans.query import Atom, Query
+from ..sources.staging import Staging
 from . import connectors, ranked
+from . import fold as folds
 
 
 def _frames(query: Query) -> dict[str, DataFrame]:
@@ -50,16 +52,24 @@ def plain_join(query: Query) -> DataFrame:
 
 
 def materialize_rank(query: Query, k: int, how: str = "heap", output: DataFrame | None = None) -> DataFrame:
-    """Join first, then rank: a heap of k, or a sort of everything. ``output`` is a join result that is not charged."""
+    """Join first, then rank: a heap of k, or a sort of everything, which is written in full before the first row is read.
+
+    ``output``: the join's result (see ``prepared_output``), which is then not charged.
+    """
     rows = plain_join(query) if output is None else output
     ids = [c for c in rows.columns if c != "w"]
-    ordered = rows.orderBy("w", *ids)
     if how == "sort":
-        ordered = rows.repartitionByRange("w").sortWithinPartitions("w", *ids).orderBy("w", *ids)
-    ordered = ordered.limit(k)
+        n = max(1, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+        rows = Staging(rows.sparkSession, "sort").save(rows.repartitionByRange(n, "w", *ids).sortWithinPartitions("w", *ids), "sorted")
+    ordered = rows.orderBy("w", *ids).limit(k)
     return ordered.select(F.row_number().over(Window.orderBy("w", *ids)).cast("long").alias("rank"), query.rank.shown(F.col("w")).alias("weight"), *ids)
 
 
+def prepared_output(query: Query) -> DataFrame:
+    """The join's result as a written table, for an idealised baseline that only ranks it."""
+    return Staging(query.atoms[0].df.sparkSession, "output").save(plain_join(query), "output")
+
+
 def local_heap(rows: list[tuple], k: int) -> list[tuple]:
     """The idealised in-memory ranking of a given output."""
     heap = list(rows)
@@ -70,7 +80,7 @@ def local_heap(rows: list[tuple], k: int) -> list[tuple]:
 def direct_equi(query: Query, k: int, edges: dict | None = None) -> DataFrame:
     """Ranked enumeration over an equi-join whose edge relations list all joining pairs.
 
-    ``edges``: pairs (rid_s, rid_t) by tree edge, computed beforehand and not charged.
+    ``edges``: pairs (rid_s, rid_t, pid) by tree edge, computed beforehand and not charged.
     """
     tree = plan_tree(query)
     edges = edges if edges is not None else direct_edges(query)
@@ -80,7 +90,7 @@ def direct_equi(query: Query, k: int, edges: dict | None = None) -> DataFrame:
         atom = query.atom(alias)
         if parent is not None:
             pair = f"{parent}_{alias}"
-            atoms.append(Atom(pair, edges[parent, alias], "struct(rid_s, rid_t)", "CAST(0 AS BIGINT)" if query.rank.name == "sum" else "CAST(1 AS BIGINT)"))
+            atoms.append(Atom(pair, edges[parent, alias], "pid", "CAST(0 AS BIGINT)" if query.rank.name == "sum" else "CAST(1 AS BIGINT)"))
             conditions += [P.eq((parent, query.atom(parent).rid), (pair, "rid_s")), P.eq((pair, "rid_t"), (alias, atom.rid))]
         atoms.append(atom)
     made = Query(atoms, P.all_of(*conditions), query.rank)
@@ -91,18 +101,23 @@ def direct_equi(query: Query, k: int, edges: dict | None = None) -> DataFrame:
 
 
 def direct_edges(query: Query) -> dict[tuple[str, str], DataFrame]:
-    """All joining pairs of every tree edge."""
+    """All joining pairs of every tree edge, written, with numbers in the order of their ids."""
     tree = plan_tree(query)
+    query, staging = tree.query, Staging(query.atoms[0].df.sparkSession, "pairs")
     passes = ranked.Passes(query, tree, None)
     out = {}
     for parent, child in tree.conditions:
         left, right = (ranked.prepare(query, a, passes.sides(a)).drop("w") for a in (parent, child))
-        out[parent, child] = connectors.build(left, right, ranked.edge_terms(tree, parent, child), "direct").parts[0].persist()
+        pairs = connectors.build(left, right, ranked.edge_terms(tree, parent, child), "direct").parts[0]
+        out[parent, child] = folds.placed(pairs.withColumn("pair", F.struct("rid_s", "rid_t")), "pair", "pid", staging, f"{parent}-{child}").drop("pair")
     return out
 
 
 def native_sql(query: Query, k: int, cached: bool = False) -> DataFrame:
-    """The same question as SQL text with ORDER BY and LIMIT, planned by Spark alone; ``cached`` keeps the relations in memory."""
+    """The same question as SQL text with ORDER BY and LIMIT, planned by Spark alone.
+
+    ``cached`` keeps the relations in memory while it runs.
+    """
     spark = query.atoms[0].df.sparkSession
     frames = _frames(query)
     for atom in query.atoms:
@@ -118,7 +133,12 @@ def native_sql(query: Query, k: int, cached: bool = False) -> DataFrame:
     sql = f"SELECT {total} AS weight, {', '.join(ids)} FROM {', '.join(f'native_{a.alias} {a.alias}' for a in query.atoms)} WHERE {where} ORDER BY {order} LIMIT {k}"
     found = spark.sql(sql)
     w = Window.orderBy(F.col("weight").desc() if query.rank.desc else F.col("weight"), *[f"rid_{i + 1}" for i in range(len(ids))])
-    return found.select(F.row_number().over(w).cast("long").alias("rank"), *found.columns)
+    out = found.select(F.row_number().over(w).cast("long").alias("rank"), *found.columns)
+    if cached:
+        out = Staging(spark, "native").save(out, "answers")
+        for atom in query.atoms:
+            spark.catalog.uncacheTable(f"native_{atom.alias}")
+    return out
 
 
 def _text(p: P.Compare) -> str:

@@ -14,13 +14,12 @@ from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from ..plans.predicates import Compare, Opaque, to_column
 from ..sources.staging import Staging
 from . import ranks
 
-METHODS = ("auto", "binary", "median", "multiway", "chain", "direct")
+METHODS = ("auto", "binary", "median", "multiway", "two-way", "chain", "direct")
 
 
 @dataclass
@@ -58,6 +57,12 @@ class Connector:
             out = out.withColumnRenamed(left, f"_j{k}").join(p.withColumnRenamed(p.columns[0], f"_j{k}"), f"_j{k}").drop(f"_j{k}")
         return out.select("rid_s", "rid_t")
 
+    def layers(self) -> list[DataFrame]:
+        """The vertices of each layer: sources, nodes, targets; an edge never skips one."""
+        if not self.layered:
+            raise ValueError("a vertex of this connector has no layer of its own")
+        return [self.parts[0].select(self.parts[0].columns[0]).distinct(), *[p.select(p.columns[-1]).distinct() for p in self.parts]]
+
     def paths_per_pair(self) -> DataFrame:
         """(paths, pairs): how many pairs have how many paths."""
         return self.pairs().groupBy("rid_s", "rid_t").agg(F.count(F.lit(1)).alias("paths")).groupBy("paths").agg(F.count(F.lit(1)).alias("pairs"))
@@ -71,7 +76,7 @@ def _choice(h: Column, prefix: Column) -> Column:
     return F.struct(h.cast("int").alias("h"), prefix.cast("long").alias("p"))
 
 
-def _shift(code: Column, by: Column) -> Column:
+def shift(code: Column, by: Column) -> Column:
     return F.call_function("shiftright", code, by.cast("int"))
 
 
@@ -86,13 +91,13 @@ def levels(df: DataFrame, code: str, op: str, bits: int, source: bool, out: str)
         return df.withColumn(out, _choice(F.lit(-2), F.col(code)))
     c, h = F.col(code), F.col("_h")
     rows = df.withColumn("_h", F.explode(F.sequence(F.lit(-1 if op in ("<=", ">=") else 0), F.lit(bits - 1))))
-    bit = _shift(c, F.greatest(h, F.lit(0))).bitwiseAND(F.lit(1))
+    bit = shift(c, F.greatest(h, F.lit(0))).bitwiseAND(F.lit(1))
     if op == "!=":
         kept = bit if source else F.lit(1) - bit
-        rows = rows.withColumn(out, _choice(h, _shift(c, h + 1) * 2 + kept))
+        rows = rows.withColumn(out, _choice(h, shift(c, h + 1) * 2 + kept))
     else:
         wanted = 0 if (op in ("<", "<=")) == source else 1
-        rows = rows.where((h == -1) | (bit == wanted)).withColumn(out, _choice(h, F.when(h == -1, c).otherwise(_shift(c, h + 1))))
+        rows = rows.where((h == -1) | (bit == wanted)).withColumn(out, _choice(h, F.when(h == -1, c).otherwise(shift(c, h + 1))))
     return rows.drop("_h")
 
 
@@ -136,11 +141,11 @@ def _term(s: DataFrame, t: DataFrame, preds: list[tuple[Compare, str, str]], sta
     rest = [(p, a, b) for p, a, b in preds if p.op != "="]
     g_s, g_t = F.array(*[F.col(a).cast("string") for a, _ in equal]), F.array(*[F.col(b).cast("string") for _, b in equal])
     s, t = s.withColumn("_g", g_s), t.withColumn("_g", g_t)
-    if len(rest) == 1 and method == "multiway" and rest[0][0].op != "band":
-        return _multiway(s, t, rest[0], staging, tag)
     path: list[str] = []
     for k, (p, a, b) in enumerate(rest):
         name = f"_p{k}"
+        if method == "multiway" and k == len(rest) - 1:
+            return _multiway(s, t, (p, a, b), path, staging, f"{tag}-{k}")
         if p.op == "band":
             s, t = cells(s, a, p.eps, True, "_c"), cells(t, b, p.eps, False, "_c")
             s, t = s.withColumn("_v", F.col("_c.v")), t.withColumn("_v", F.col("_c.v"))
@@ -158,7 +163,7 @@ def _term(s: DataFrame, t: DataFrame, preds: list[tuple[Compare, str, str]], sta
         else:
             s, t, bits = ranks.codes(s, t, a, b, staging, f"{tag}-{k}")
             if method == "median":
-                s, t, bits = _median(s, t, a, b)
+                s, t, bits = _median(s, t, a, b, staging, f"{tag}-{k}-median")
             s, t = levels(s, a, p.op, bits, True, name), levels(t, b, p.op, bits, False, name)
             path.append(name)
     node = _node(F.col("_g"), [F.col(c) for c in path] or [_choice(F.lit(-3), F.lit(0))])
@@ -166,78 +171,111 @@ def _term(s: DataFrame, t: DataFrame, preds: list[tuple[Compare, str, str]], sta
     return Connector([e_in, e_out], 2, 1)
 
 
-def _median(s: DataFrame, t: DataFrame, a: str, b: str):
+def _median(s: DataFrame, t: DataFrame, a: str, b: str, staging: Staging, tag: str):
     """Codes of the median-pivot tree in place of the bit grid; values are ranked densely first."""
-    both = s.select(F.col(a).alias("v")).unionByName(t.select(F.col(b).alias("v"))).distinct()
-    n = both.count()
-    place = both.select("v", (F.row_number().over(Window.orderBy("v")) - 1).cast("long").alias("rk"))
-    place = place.select("v", ranks.balanced(F.col("rk"), max(n, 1)).alias("code"))
+    both = s.select(F.col(a).alias("v")).unionByName(t.select(F.col(b).alias("v")))
+    domain, n = ranks.dense_rank_domain(both, "v", staging, tag)
+    place = domain.select(F.col("val").alias("v"), ranks.balanced(F.col("rk"), max(n, 1)).alias("code"))
     swap = lambda df, c: df.join(place, F.col(c) == F.col("v")).drop(c, "v").withColumnRenamed("code", c)
     return swap(s, a), swap(t, b), max(1, (max(n, 1) - 1).bit_length())
 
 
-def _multiway(s: DataFrame, t: DataFrame, pred: tuple[Compare, str, str], staging: Staging, tag: str) -> Connector:
-    """Digits instead of bits: a level has one node per digit on each side and edges between digits."""
+def _multiway(s: DataFrame, t: DataFrame, pred: tuple[Compare, str, str], path: list[str], staging: Staging, tag: str) -> Connector:
+    """Digits instead of bits for the last comparison: a level has one node per digit on each side and edges between digits.
+
+    ``path``: columns with the node choices of the comparisons before. A band leaves a
+    comparison in each neighbouring cell, and nothing in its own.
+    """
     p, a, b = pred
-    s, t, bits = ranks.codes(s, t, a, b, staging, tag)
+    pieces = []
+    if p.op == "band":
+        s, t = cells(s, a, p.eps, True, "_c"), cells(t, b, p.eps, False, "_c")
+        s, t = (x.withColumns({"_v": F.col("_c.v"), "_cell": _choice(F.col("_c.kind"), F.col("_c.cell"))}) for x in (s, t))
+        s, t, bits = ranks.codes(s, t, "_v", "_v", staging, tag)
+        path = [*path, "_cell"]
+        pieces = [(*(x.where(F.col("_c.kind") == n) for x in (s, t)), "_v", "_v", op) for n, op in ((0, "="), (1, ">"), (2, "<"))]
+    else:
+        s, t, bits = ranks.codes(s, t, a, b, staging, tag)
+        pieces.append((s, t, a, b, p.op.rstrip("=") if p.op in ("<=", ">=") else p.op))
+        if p.op in ("<=", ">="):  # equal codes meet in a level of their own
+            pieces.append((s, t, a, b, "="))
     parts_s, parts_t = [], []
-    for low, width in _segments(bits):
-        for df, c, out in ((s, a, parts_s), (t, b, parts_t)):
-            code = F.col(c)
-            prefix = F.shiftright(code, low + width)
-            digit = F.shiftright(code, low).bitwiseAND(F.lit((1 << width) - 1))
-            out.append(df.select("rid", F.struct("_g", F.lit(low).alias("low"), prefix.alias("prefix")).alias("level"), digit.cast("long").alias("digit")))
-    if p.op in ("<=", ">="):  # equal codes meet in a level of their own
-        for df, c, out in ((s, a, parts_s), (t, b, parts_t)):
-            out.append(df.select("rid", F.struct("_g", F.lit(-1).alias("low"), F.col(c).cast("long").alias("prefix")).alias("level"), F.lit(0).cast("long").alias("digit")))
+    for left, right, x, y, op in pieces:
+        for low, width in [(-1, 0)] if op == "=" else _segments(bits):
+            for df, c, out in ((left, x, parts_s), (right, y, parts_t)):
+                code = F.col(c)
+                prefix = code if op == "=" else F.shiftright(code, low + width)
+                if op == "=" and p.op == "band":
+                    prefix = F.lit(0)
+                digit = F.lit(0) if op == "=" else F.shiftright(code, low).bitwiseAND(F.lit((1 << width) - 1))
+                level = F.struct("_g", F.array(*[F.col(n) for n in path]).alias("path") if path else F.lit(None).cast("array<struct<h:int,p:bigint>>").alias("path"), F.lit(op).alias("op"), F.lit(low).alias("low"), prefix.cast("long").alias("prefix"))
+                out.append(df.select("rid", F.to_json(level).alias("level"), F.lit(op).alias("op"), digit.cast("long").alias("digit")))
     e_s, e_t = (reduce(DataFrame.unionByName, x) for x in (parts_s, parts_t))
-    x, y = e_s.select("level", "digit").distinct(), e_t.select("level", F.col("digit").alias("digit_t")).distinct()
-    joined = {"<": F.col("digit") < F.col("digit_t"), ">": F.col("digit") > F.col("digit_t"), "!=": F.col("digit") != F.col("digit_t")}
-    ok = joined[p.op.rstrip("=") if p.op != "!=" else "!="] | (F.col("level.low") == -1 if p.op in ("<=", ">=") else F.lit(False))
+    x, y = e_s.select("level", "op", "digit").distinct(), e_t.select("level", F.col("digit").alias("digit_t")).distinct()
+    d, e = F.col("digit"), F.col("digit_t")
     # per level and prefix the digits on a side are at most the square root of the values below it
-    mid = x.join(y, "level").where(ok)
-    mid = mid.select(F.struct(F.lit(0).alias("side"), "level", F.col("digit").alias("digit")).alias("node_x"), F.struct(F.lit(1).alias("side"), "level", F.col("digit_t").alias("digit")).alias("node_y"))
-    e_in = e_s.select(F.col("rid").alias("rid_s"), F.struct(F.lit(0).alias("side"), "level", "digit").alias("node_x"))
-    e_out = e_t.select(F.struct(F.lit(1).alias("side"), "level", "digit").alias("node_y"), F.col("rid").alias("rid_t"))
+    mid = x.join(y, "level").where(F.when(F.col("op") == "<", d < e).when(F.col("op") == ">", d > e).when(F.col("op") == "!=", d != e).otherwise(d == e))
+    node = lambda side, digit: F.struct(F.lit(side).alias("side"), F.col("level"), F.col(digit).alias("digit"))
+    mid = mid.select(node(0, "digit").alias("node_x"), node(1, "digit_t").alias("node_y"))
+    e_in, e_out = e_s.select(F.col("rid").alias("rid_s"), node(0, "digit").alias("node_x")), e_t.select(node(1, "digit").alias("node_y"), F.col("rid").alias("rid_t"))
     e_in = e_in.join(mid.select("node_x").distinct(), "node_x", "left_semi").select("rid_s", "node_x")
     e_out = e_out.join(mid.select("node_y").distinct(), "node_y", "left_semi").select("node_y", "rid_t")
     return Connector([e_in, mid, e_out], 3, 1)
 
 
-def chain(s: DataFrame, t: DataFrame, pred: tuple[Compare, str, str]) -> Connector:
+def chain(s: DataFrame, t: DataFrame, pred: tuple[Compare, str, str], staging: Staging, tag: str = "chain") -> Connector:
     """Nested ranges for one inequality: a node per distinct target value, each linked to the next.
 
     Sources point to the first target value that fits, every value node to its targets and
     to the next value node. Linear in size, but a path may cross all nodes, so it is
-    used for its size and order, and windows take its place in the dynamic program.
+    used for its size and order, and windows take its place in the dynamic program. Nodes
+    are the values' dense ranks, and the first one that fits is a fold.
     """
+    from . import fold
+
     p, a, b = pred
     s, t = _keys(s, "rid", [(a, a)]), _keys(t, "rid", [(b, b)])
     up = p.op in ("<", "<=")
-    values = t.select(F.col(b).alias("v")).distinct()
-    order = Window.orderBy(F.col("v").asc() if up else F.col("v").desc())
-    steps = values.withColumn("next", F.lead("v").over(order))
-    strict = p.op in ("<", ">")
-    # the first value that fits: by a running extreme over both sides
-    both = s.select("rid", F.col(a).alias("k"), F.lit(1 if strict else 0).alias("late"), F.lit(None).cast(dict(values.dtypes)["v"]).alias("v")).unionByName(values.select(F.lit(None).cast(dict(s.dtypes)["rid"]).alias("rid"), F.col("v").alias("k"), F.lit(0 if strict else 1).alias("late"), "v"))
-    # strict: on ties the value stands before the source in reading order, so that it is not seen from it
-    back = Window.orderBy(F.col("k").desc() if up else F.col("k").asc(), F.col("late").desc()).rowsBetween(Window.unboundedPreceding, 0)
-    entry = both.withColumn("first", F.last("v", True).over(back)).where("rid is not null and first is not null")
-    e_in = entry.select(F.col("rid").alias("rid_s"), F.col("first").alias("node"))
-    e_mid = steps.where("next is not null").select(F.col("v").alias("node"), F.col("next").alias("node_next"))
-    e_out = t.select(F.col(b).alias("node"), F.col("rid").alias("rid_t"))
-    return Connector([e_in, e_mid, e_out], -1, 1, layered=False)
-
-
-def direct(s: DataFrame, t: DataFrame, terms: list[list[tuple]], extra: Column | None = None) -> Connector:
-    """One edge per joining pair; the naive connector, and the only one for opaque predicates."""
+    values, _ = ranks.dense_rank_domain(t, b, staging, tag)
+    values = values.select("val", (F.col("rk") if up else -F.col("rk")).alias("node"))
+    fits = fold.fold(s, values.select(F.col("val").alias(b), F.col("node").alias("val")), [[(p, a, b)]], "min", "node", staging, f"{tag}-first")
+    e_mid = values.select("node").join(values.select((F.col("node") - 1).alias("node"), F.col("node").alias("node_next")), "node")
+    e_out = t.join(values, F.col(b) == F.col("val")).select("node", F.col("rid").alias("rid_t"))
+    return Connector([fits.select(F.col("rid").alias("rid_s"), "node"), e_mid, e_out], -1, 1, layered=False)
+
+
+def two_way(s: DataFrame, terms: list[list[tuple]]) -> tuple[DataFrame, list[list[tuple]]]:
+    """Non-equalities as < or >, bands as two inequalities with shifted columns of ``s``."""
+    out = []
+    for term in terms:
+        made: list[list[tuple]] = [[]]
+        for p, a, b in term:
+            if p.op == "!=":
+                made = [[*m, (Compare(op, p.left, p.right), a, b)] for m in made for op in ("<", ">")]
+            elif p.op == "band":
+                low, high = f"{a}_low_{p.eps}", f"{a}_high_{p.eps}"
+                s = s.withColumns({low: F.col(a) - F.lit(p.eps), high: F.col(a) + F.lit(p.eps)})
+                made = [[*m, (Compare("<", p.left, p.right), low, b), (Compare(">", p.left, p.right), high, b)] for m in made]
+            else:
+                made = [[*m, (p, a, b)] for m in made]
+        out += made
+    return s, out
+
+
+def direct(s: DataFrame, t: DataFrame, terms: list[list[tuple]]) -> Connector:
+    """One edge per joining pair; the naive connector, and the only one for opaque predicates.
+
+    An opaque predicate comes with the aliases of s and t in place of key columns.
+    """
+    from .ranked import key_name
+
     left = s.select(F.col("rid").alias("rid_s"), *[F.col(c).alias(f"s_{c}") for c in s.columns if c != "rid"])
     right = t.select(F.col("rid").alias("rid_t"), *[F.col(c).alias(f"t_{c}") for c in t.columns if c != "rid"])
     cond = None
     for term in terms:
         one = None
         for p, a, b in term:
-            c = a if isinstance(p, Opaque) else to_column(p, F.col(f"s_{a}"), F.col(f"t_{b}"))
+            c = F.expr(p.over(lambda x, a=a: f"{'s' if x.alias == a else 't'}_{key_name(x)}")) if isinstance(p, Opaque) else to_column(p, F.col(f"s_{a}"), F.col(f"t_{b}"))
             one = c if one is None else one & c
         one = F.lit(True) if one is None else one
         cond = one if cond is None else cond | one
@@ -247,10 +285,14 @@ def direct(s: DataFrame, t: DataFrame, terms: list[list[tuple]], extra: Column |
 def build(s: DataFrame, t: DataFrame, terms: list[list[tuple[Compare, str, str]]], method: str = "auto", tag: str = "edge") -> Connector:
     """Connector between S and T (each with ``rid`` and key columns) for a DNF of comparisons.
 
-    ``auto``: multiway for a single non-equality, binary split otherwise.
+    ``auto``: multiway for a single comparison, binary split otherwise. ``multiway`` treats
+    the last comparison of each term so and those before by binary splits. ``two-way`` has
+    non-equalities and bands made of inequalities.
     """
     if method not in METHODS:
         raise ValueError(f"unknown method {method}")
+    if method == "auto" and any(isinstance(p, Opaque) for term in terms for p, _, _ in term):
+        method = "direct"
     if method == "direct":
         return direct(s, t, terms)
     if any(isinstance(p, Opaque) for term in terms for p, _, _ in term):
@@ -260,10 +302,14 @@ def build(s: DataFrame, t: DataFrame, terms: list[list[tuple[Compare, str, str]]
     if method == "chain":
         if len(terms) != 1 or len(hard[0]) != 1 or len(terms[0]) != 1 or hard[0][0].op not in ("<", "<=", ">", ">="):
             raise ValueError("a chain needs a single inequality")
-        return chain(s, t, terms[0][0])
+        return chain(s, t, terms[0][0], staging, tag)
+    if method == "two-way":
+        s, terms = two_way(s, terms)
+        method, hard = "binary", [[p for p, _, _ in term if p.op != "="] for term in terms]
     made = []
     for k, term in enumerate(terms):
         how = method if method != "auto" else ("multiway" if len(hard[k]) == 1 and hard[k][0].op != "band" else "binary")
+        how = "binary" if how == "multiway" and not hard[k] else how
         made.append(_term(s, t, term, staging, f"{tag}-{k}", how))
     if len(made) == 1:
         return made[0]

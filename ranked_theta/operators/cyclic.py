@@ -4,26 +4,49 @@ from __future__ import annotations
 
 from dataclasses import replace
 from itertools import combinations
+from math import prod
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..plans import predicates as P
+from ..plans import statistics
 from ..plans.jointree import CyclicQuery, NotCovered, covered, is_acyclic
 from ..plans.query import Atom, Query
+from ..sources.staging import Staging
 from . import ranked
 from .equireduce import connector, theta_join
 
 
-def split(query: Query) -> tuple[Query, list[P.Condition]]:
+def often(c: P.Condition, stats: dict) -> float:
+    """The share of pairs for which a condition is expected to hold, from distinct values of its sides."""
+    none = 1.0
+    for term in P.to_dnf(c):
+        share = 1.0
+        for p in term:
+            if isinstance(p, P.Opaque):
+                share *= 0.5
+                continue
+            distinct = max([stats[s][1] for s in (p.left, p.right) if s in stats], default=100)
+            one = 1 / max(1, distinct)
+            share *= {"=": one, "!=": 1 - one, "band": min(1.0, 2 * (p.eps or 1) * one)}.get(p.op, 0.5)
+        none *= 1 - share
+    return 1 - none
+
+
+def split(query: Query, stats: dict | None = None) -> tuple[Query, list[P.Condition]]:
     """The query without the fewest conjuncts that make it cyclic, and those.
 
-    Of equally many the ones listed last go.
+    Of equally many those go that hold most often (by ``stats`` of the relations, if given),
+    so that the filter drops least; then the ones listed last.
     """
+    query = query.routed()
     parts = query.conjuncts()
+    share = [often(c, stats or {}) for c in parts]
     for n in range(len(parts)):
-        for gone in combinations(range(len(parts) - 1, -1, -1), n):
+        choices = sorted(combinations(range(len(parts) - 1, -1, -1), n), key=lambda gone: -prod(share[i] for i in gone))
+        for gone in choices:
             kept = [c for i, c in enumerate(parts) if i not in gone]
             if any(len(covered(c)) > 2 for c in kept) or not kept:
                 continue
@@ -58,13 +81,13 @@ def _holds(found: DataFrame, query: Query, conditions: list[P.Condition]) -> Dat
 
 def cyclic_filter(query: Query, k: int) -> DataFrame:
     """Top k by dropping conjuncts until the rest is acyclic and filtering its ranked answers, as many as it takes."""
-    easy, conditions = split(query)
+    easy, conditions = split(query, statistics.gather(query))
     names = [f"rid_{i + 1}" for i in range(len(query.atoms))]
-    passes, asked = ranked._passes(easy, None, 1), max(2 * k, 2)
+    passes, asked = ranked._passes(easy, None), max(2 * k, 2)
     while True:
         passes.cut(asked)
-        found = ranked.answers(passes.beam(asked), easy, asked).persist()
-        good = _holds(found, query, conditions).select("rank", "weight", *names)
+        found = passes.staging.save(passes.answers(passes.beam(asked), asked), f"answers-{asked}")
+        good = passes.staging.save(_holds(found, easy, conditions).select("rank", "weight", *names), f"good-{asked}")
         if good.count() >= k or found.count() < asked:
             break
         asked *= 4
@@ -121,55 +144,62 @@ def cyclic_to_equijoin(query: Query, method: str = "binary") -> DataFrame:
 
 
 def cyclic_ranked(query: Query, k: int, method: str = "auto") -> DataFrame:
-    """Top k over a decomposition with one bag of two atoms, materialised by a theta-join.
+    """Top k over a decomposition: bags of two atoms, materialised by theta-joins, until the rest is acyclic.
 
-    Neighbouring atoms are preferred as bag, so that ties break in the order of the atoms.
+    Neighbouring atoms are preferred as bags, so that ties break in the order of the atoms.
+    A bag of a bag holds three atoms, and so on; the cost is that of the bags' joins.
     """
+    query = query.routed()
     names = [a.alias for a in query.atoms]
-    for gap in range(1, len(names)):
-        for i in range(len(names) - gap):
-            made = _bagged(query, names[i], names[i + gap], method)
-            if made is None:
-                continue
-            found = ranked.top_k(made, k)
-            held = [x.alias for x in made.atoms]
-            columns = []
-            for n, a in enumerate(names):
-                at = held.index("bag") + 1 if a in (names[i], names[i + gap]) else held.index(a) + 1
-                part = {names[i]: ".a", names[i + gap]: ".b"}.get(a, "")
-                columns.append(F.col(f"rid_{at}{part}").alias(f"rid_{n + 1}"))
-            return found.select("rank", "weight", *columns)
-    raise CyclicQuery("no bag of two atoms makes the query acyclic")
-
-
-def _bagged(query: Query, a: str, b: str, method: str) -> Query | None:
-    inside = [c for c in query.conjuncts() if covered(c) == {a, b}]
+    places = {n: (n, "") for n in names}  # the atom that holds an id now, and where in its id
+    bags = 0
+    while not is_acyclic(query):
+        held = [a.alias for a in query.atoms]
+        pairs = [(held[i], held[i + gap]) for gap in range(1, len(held)) for i in range(len(held) - gap)]
+        made = [(a, b, x) for a, b in pairs if (x := _bagged(query, a, b, f"bag{bags}")) is not None]
+        if not made:
+            raise CyclicQuery("no two atoms make a bag")
+        a, b, _ = chosen = next((m for m in made if is_acyclic(m[2])), made[0])
+        query = _filled(query, *chosen, f"bag{bags}", method)
+        places = {n: (f"bag{bags}", (".a" if x == a else ".b") + path) if x in (a, b) else (x, path) for n, (x, path) in places.items()}
+        bags += 1
+    found = ranked.top_k(query, k)
+    held = [a.alias for a in query.atoms]
+    return found.select("rank", "weight", *[F.col(f"rid_{held.index(x) + 1}{path}").alias(f"rid_{n + 1}") for n, (x, path) in enumerate(places[m] for m in names)])
+
+
+def _inside(query: Query, a: str, b: str) -> list[P.Condition]:
+    return [c for c in query.conjuncts() if covered(c) == {a, b}]
+
+
+def _bagged(query: Query, a: str, b: str, bag: str) -> Query | None:
+    """The query with one atom for two; its relation is still missing. None if nothing joins the two, or nothing else."""
     outside = [c for c in query.conjuncts() if covered(c) != {a, b}]
-    if not inside or not outside:
+    if not _inside(query, a, b) or not outside:
         return None
-    keys: dict[tuple[str, str], str] = {}
 
     def moved(c):
         if isinstance(c, P.Compare):
-            to = lambda s: P.Side("bag", keys.setdefault((s.alias, s.expr), f"{s.alias}_{ranked.key_name(s)}")) if s.alias in (a, b) else s
+            to = lambda s: P.Side(bag, f"{s.alias}_{ranked.key_name(s)}") if s.alias in (a, b) else s
             return P.Compare(c.op, to(c.left), to(c.right), c.eps)
         if isinstance(c, P.Negated):
             return P.Negated(moved(c.a))
         return type(c)(moved(c.a), moved(c.b))
 
-    where = P.all_of(*[moved(c) for c in outside])
-    atoms = [Atom("bag", query.atoms[0].df) if x.alias == a else x for x in query.atoms if x.alias != b]
-    try:
-        if not is_acyclic(replace(query, atoms=atoms, where=where)):
-            return None
-    except ValueError:
-        return None
+    atoms = [Atom(bag, x.df) if x.alias == a else x for x in query.atoms if x.alias != b]
+    return replace(query, atoms=atoms, where=P.all_of(*[moved(c) for c in outside]))
+
+
+def _filled(query: Query, a: str, b: str, made: Query, bag: str, method: str) -> Query:
+    """``made`` with the bag's rows: the pairs of a and b with their weights and the keys that other atoms ask for."""
     frames = {x: query.atom(x).df.where(query.atom(x).where) if query.atom(x).where else query.atom(x).df for x in (a, b)}
-    pairs = theta_join(frames[a], frames[b], _renamed(P.all_of(*inside), {a: "s", b: "t"}), method, query.atom(a).rid, query.atom(b).rid)
+    pairs = theta_join(frames[a], frames[b], _renamed(P.all_of(*_inside(query, a, b)), {a: "s", b: "t"}), method, query.atom(a).rid, query.atom(b).rid)
+    asked = [s for c in query.conjuncts() if covered(c) != {a, b} for t in P.to_dnf(c) for p in t for s in (p.left, p.right)]
     for x, rid in ((a, "rid_s"), (b, "rid_t")):
         atom = query.atom(x)
-        part = frames[x].select(F.expr(atom.rid).alias(rid), F.expr(atom.weight).alias(f"w_{rid}"), *[F.expr(e).alias(n) for (al, e), n in keys.items() if al == x])
-        pairs = pairs.join(part, rid)
+        keys = [F.expr(s.expr).alias(f"{x}_{ranked.key_name(s)}") for s in dict.fromkeys(s for s in asked if s.alias == x)]
+        pairs = pairs.join(frames[x].select(F.expr(atom.rid).alias(rid), F.expr(atom.weight).alias(f"w_{rid}"), *keys), rid)
     weight = {"product": "w_rid_s * w_rid_t", "bottleneck": f"{'least' if query.rank.desc else 'greatest'}(w_rid_s, w_rid_t)"}.get(query.rank.name, "w_rid_s + w_rid_t")
-    bag = Atom("bag", pairs.persist(), "struct(rid_s AS a, rid_t AS b)", weight)
-    return replace(query, atoms=[bag if x.alias == "bag" else x for x in atoms], where=where)
+    staged = Staging(frames[a].sparkSession, "bag").save(pairs, bag)
+    atom = Atom(bag, staged, "struct(rid_s AS a, rid_t AS b)", weight)
+    return replace(made, atoms=[atom if x.alias == bag else x for x in made.atoms])

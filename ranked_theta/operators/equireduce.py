@@ -17,6 +17,7 @@ def _pair(s: DataFrame, t: DataFrame, where: P.Condition, rid_s: str, rid_t: str
     """A two-atom query over aliases s and t with its key columns, and ``value`` of t as ``val``."""
     query = Query([Atom("s", s, rid_s, "1"), Atom("t", t, rid_t, "1")], where)
     tree = plan_tree(query, "s")
+    query = tree.query
     passes = Passes(query, tree, None)
     extra = [P.Side("t", value)] if value else []
     left, right = prepare(query, "s", passes.sides("s")).drop("w"), prepare(query, "t", passes.sides("t") + extra).drop("w")
@@ -41,7 +42,7 @@ def theta_join(s: DataFrame, t: DataFrame, where: P.Condition, method: str = "au
     return pairs.dropDuplicates(["rid_s", "rid_t"]) if graph.dup_factor > 1 else pairs
 
 
-def theta_agg(s: DataFrame, t: DataFrame, where: P.Condition, value: str, fn: str = "sum", out: str = "agg", rid_s: str = "rid", rid_t: str = "rid", ranges: int = 1) -> DataFrame:
+def theta_agg(s: DataFrame, t: DataFrame, where: P.Condition, value: str, fn: str = "sum", out: str = "agg", rid_s: str = "rid", rid_t: str = "rid", ranges: int | None = None) -> DataFrame:
     """For each row of s the min, max, sum or count over the joining rows of t, without the join; rows without partner drop out."""
     kind = {"min": "min", "max": "min", "sum": "sum", "count": "sum"}[fn]
     expr = {"min": value, "max": f"-({value})", "sum": value, "count": "CAST(1 AS BIGINT)"}[fn]
@@ -50,7 +51,7 @@ def theta_agg(s: DataFrame, t: DataFrame, where: P.Condition, value: str, fn: st
     return found.select("rid", (-F.col("agg_") if fn == "max" else F.col("agg_")).alias(out))
 
 
-def theta_semi(s: DataFrame, t: DataFrame, where: P.Condition, anti: bool = False, rid_s: str = "rid", rid_t: str = "rid", ranges: int = 1) -> DataFrame:
+def theta_semi(s: DataFrame, t: DataFrame, where: P.Condition, anti: bool = False, rid_s: str = "rid", rid_t: str = "rid", ranges: int | None = None) -> DataFrame:
     """Rows of s with a partner in t (or, ``anti``, without one)."""
     _, left, right, terms = _pair(s, t, where, rid_s, rid_t)
     right = right.withColumn("val", F.lit(1))
@@ -61,6 +62,7 @@ def theta_semi(s: DataFrame, t: DataFrame, where: P.Condition, anti: bool = Fals
 def reduce_query(query: Query, method: str = "auto") -> dict[tuple[str, str], connectors.Connector]:
     """Connectors of all edges of an acyclic query: with them the query has equalities only."""
     tree = plan_tree(query)
+    query = tree.query
     passes = Passes(query, tree, None)
     out = {}
     for parent, child in tree.conditions:
@@ -72,6 +74,7 @@ def reduce_query(query: Query, method: str = "auto") -> dict[tuple[str, str], co
 def enumerate_all(query: Query, method: str = "auto") -> DataFrame:
     """weight and rid_1.. of all answers of an acyclic query, by equi-joins."""
     tree = plan_tree(query)
+    query = tree.query
     edges = reduce_query(query, method)
     out, names = None, [a.alias for a in query.atoms]
     for alias in tree.preorder():

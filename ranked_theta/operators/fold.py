@@ -3,28 +3,40 @@
 A term's equalities are partition keys. All other comparisons but the last become node
 choices (one row per level, see ``connectors.levels``); the last one needs no edges at
 all: sources and targets of a node are sorted together and a running aggregate in
-reading order gives each source what it may see. Frames only ever grow. A partition that
-is too large for one task (no equality at all, or few groups) is cut into key ranges:
-running aggregates stay inside a range, and one row per range carries what lies beyond.
+reading order gives each source what it may see. Frames only ever grow. The comparison
+with the most distinct values goes last, since each of the others costs rows by its bits.
 
-Sums over a disjunction use inclusion and exclusion over its terms; minima need not,
-since seeing a target twice does not change them.
+Where rows multiply, only numbers do: sources are their ids and keys, and the values of
+targets are replaced by their places in one sorted, written table, so that windows and
+aggregates move and compare whole numbers. The rest of the columns is joined afterwards.
+
+A partition that is too large for one task is cut into key ranges: running aggregates
+stay inside a range, and one row per partition and range carries what lies beyond.
+
+Sums over a disjunction are taken over terms that exclude each other, or by inclusion
+and exclusion; minima need neither, since seeing a target twice does not change them.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from functools import reduce
 from itertools import combinations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from ..plans.predicates import Compare, Opaque
+from ..plans.predicates import NEGATE, Compare, Opaque
 from ..sources.staging import Staging
 from . import connectors, ranks
 
-#: Key ranges of a partition that has no equality key.
+#: Key ranges of a partition that is too large for one task.
 RANGES = 64
+#: Rows that a partition may have to be ordered in one task; affects the cost, not the result.
+SPLIT = 1 << 17
+#: Bits up to which the places inside a cell of a band serve as codes as they are.
+CELL_BITS = 20
 
 
 def _agg(fn: str, c: Column) -> Column:
@@ -37,36 +49,44 @@ def _merge(fn: str, a: Column, b: Column) -> Column:
     return F.when(a.isNull(), b).when(b.isNull(), a).otherwise(a + b)
 
 
+def largest_group(df: DataFrame, columns: list[str]) -> int:
+    """Rows of the largest group."""
+    counted = df.groupBy(*columns).agg(F.count(F.lit(1)).alias("n"))
+    return counted.agg(F.max("n")).first()[0] or 0
+
+
 def _bounds(t: DataFrame, key: str, ranges: int) -> list:
     found = t.agg(F.percentile_approx(key, [i / ranges for i in range(1, ranges)], 1000)).first()[0]
     return sorted(set(found or []))
 
 
+def _range_of(key: Column, kind: str, bounds: list) -> Column:
+    """How many bounds lie below the key, as a balanced tree of comparisons."""
+
+    def between(low: int, high: int) -> Column:
+        if low == high:
+            return F.lit(low)
+        middle = (low + high) // 2
+        return F.when(key <= F.lit(bounds[middle]).cast(kind), between(low, middle)).otherwise(between(middle + 1, high))
+
+    return between(0, len(bounds))
+
+
 def _running(rows: DataFrame, parts: list[str], op: str, fn: str, ranges: int) -> DataFrame:
-    """``rows``: parts, _k (key), _src (1 for sources), _val (null for sources). Adds _seen for one strict or weak inequality."""
+    """``rows``: parts, _k (an ordered key), _src (1 for sources), _val (null for sources). Adds _seen for one strict or weak inequality."""
     up = op in ("<", "<=")  # targets above the source: read from the top
     strict = op in ("<", ">")
     tie = F.col("_src").desc() if strict else F.col("_src").asc()
     order = [F.col("_k").desc() if up else F.col("_k").asc(), tie]
-    if parts and ranges <= 1:
+    bounds = _bounds(rows.where("_src = 0"), "_k", ranges) if ranges > 1 else []
+    if not bounds:
         w = Window.partitionBy(*parts).orderBy(*order).rowsBetween(Window.unboundedPreceding, 0)
         return rows.withColumn("_seen", _agg(fn, F.col("_val")).over(w))
-    numeric = dict(rows.dtypes)["_k"] in ("bigint", "int", "double", "float", "smallint", "tinyint") or dict(rows.dtypes)["_k"].startswith(("decimal", "date", "timestamp"))
-    bounds = _bounds(rows.where("_src = 0"), "_k", max(2, ranges if ranges > 1 else RANGES)) if numeric else []
-    edges = F.array(*[F.lit(b) for b in bounds]) if bounds else None
-    kind = dict(rows.dtypes)["_k"]
-    bucket = F.size(F.filter(edges, lambda b: b.cast(kind) < F.col("_k"))) if bounds else F.lit(0)
-    rows = rows.withColumn("_b", bucket)
+    rows = rows.withColumn("_b", _range_of(F.col("_k"), dict(rows.dtypes)["_k"], bounds))
     w = Window.partitionBy(*parts, "_b").orderBy(*order).rowsBetween(Window.unboundedPreceding, 0)
     rows = rows.withColumn("_near", _agg(fn, F.col("_val")).over(w))
-    if not bounds:
-        return rows.withColumnRenamed("_near", "_seen").drop("_b")
-    # one row per partition and range, at most len(bounds) + 1 for each partition
-    beyond = rows.where("_src = 0").groupBy(*parts, "_b").agg(_agg(fn, F.col("_val")).alias("_own"))
-    grid = beyond.select(*parts).distinct() if parts else None
-    ids = rows.sparkSession.range(len(bounds) + 1).select(F.col("id").cast("int").alias("_b"))
-    slots = grid.withColumn("_b", F.explode(F.sequence(F.lit(0), F.lit(len(bounds))))) if parts else ids
-    beyond = slots.join(beyond, [*parts, "_b"], "left")
+    # one row per partition and range that has rows at all
+    beyond = rows.groupBy(*parts, "_b").agg(_agg(fn, F.col("_val")).alias("_own"))
     far = Window.partitionBy(*parts).orderBy(F.col("_b").desc() if up else F.col("_b").asc()).rowsBetween(Window.unboundedPreceding, -1)
     beyond = beyond.withColumn("_far", _agg(fn, F.col("_own")).over(far)).select(*parts, "_b", "_far")
     if not parts:
@@ -83,9 +103,60 @@ def _union(s: DataFrame, t: DataFrame, parts_s, parts_t, key_s, key_t, carried:
     return left.unionByName(right, allowMissingColumns=True), names
 
 
-def _term_fold(s: DataFrame, t: DataFrame, term: list[tuple], fn: str, staging: Staging, tag: str, ranges: int) -> tuple[DataFrame, bool]:
-    """(rid, columns of s, _seen) for one conjunction, and whether a source can have several rows."""
-    carried = [c for c in s.columns if c != "rid"]
+class Values:
+    """What folds need to know of the values that comparisons are made on; found for each fold anew.
+
+    ``ranked.Passes`` has one that asks each relation once for a whole query.
+    """
+
+    def __init__(self, staging: Staging):
+        self.staging = staging
+
+    def both(self, s: DataFrame, t: DataFrame, a: str, b: str) -> DataFrame:
+        return s.select(F.col(a).alias("v")).unionByName(t.select(F.col(b).alias("v")))
+
+    def extent(self, pred: tuple, s: DataFrame, t: DataFrame) -> ranks.Extent:
+        return ranks.extent(self.both(s, t, pred[1], pred[2]))
+
+    def coding(self, pred: tuple, s: DataFrame, t: DataFrame, tag: str) -> ranks.Coding:
+        both = self.both(s, t, pred[1], pred[2])
+        return ranks.coding(both, ranks.extent(both), self.staging, tag)
+
+
+def _ordered(s: DataFrame, t: DataFrame, rest: list[tuple], known: Values) -> list[tuple]:
+    """The comparisons by their distinct values, the most last; a band goes last before any other."""
+    if len(rest) < 2:
+        return rest
+    return sorted(rest, key=lambda x: (x[0].op == "band", 0 if x[0].op == "band" else known.extent(x, s, t).distinct))
+
+
+def _band_choices(s: DataFrame, t: DataFrame, pred: tuple, staging: Staging, tag: str, name: str) -> tuple[DataFrame, DataFrame, list[Column]]:
+    """Node choices of a band: the cell and its kind, and levels inside the two neighbouring cells."""
+    p, a, b = pred
+    s, t = connectors.cells(s, a, p.eps, True, "_c"), connectors.cells(t, b, p.eps, False, "_c")
+    kind, h = F.col("_c.kind"), F.col("_h")
+    bits = max(1, (p.eps - 1).bit_length())
+    if bits <= CELL_BITS:
+        # what a neighbouring cell leaves to compare lies inside it
+        inside = (F.col("_c.v") - F.col("_c.cell")).cast("long")
+        s, t = s.withColumn("_v", inside), t.withColumn("_v", inside)
+    else:
+        s, t = s.withColumn("_v", F.col("_c.v")), t.withColumn("_v", F.col("_c.v"))
+        s, t, bits = ranks.codes(s, t, "_v", "_v", staging, tag)
+
+    def chosen(df: DataFrame, source: bool) -> DataFrame:
+        # one level in the own cell; the target is below the source in the next one and above it in the one before
+        rows = df.withColumn("_h", F.explode(F.when(kind == 0, F.array(F.lit(-1))).otherwise(F.sequence(F.lit(0), F.lit(bits - 1)))))
+        bit = connectors.shift(F.col("_v"), F.greatest(h, F.lit(0))).bitwiseAND(F.lit(1))
+        rows = rows.where((kind == 0) | (bit == F.when(kind == 1, F.lit(int(source))).otherwise(F.lit(int(not source)))))
+        place = F.when(kind == 0, F.lit(0)).otherwise(connectors.shift(F.col("_v"), h + 1)).cast("long")
+        return rows.withColumns({f"{name}k": kind, f"{name}c": F.col("_c.cell"), f"{name}h": h, f"{name}p": place}).drop("_c", "_v", "_h")
+
+    return chosen(s, True), chosen(t, False), [F.col(f"{name}{x}") for x in "kchp"]
+
+
+def _term_fold(s: DataFrame, t: DataFrame, term: list[tuple], fn: str, staging: Staging, tag: str, ranges: int, carried: list[str], known: Values) -> DataFrame:
+    """(rid, carried, _seen) for one conjunction; a source can have several rows if the term has levels or cells."""
     t = t.select(*dict.fromkeys([b for _, _, b in term]), "val")
     for _, a, b in term:
         s, t = s.where(F.col(a).isNotNull()), t.where(F.col(b).isNotNull())
@@ -93,73 +164,144 @@ def _term_fold(s: DataFrame, t: DataFrame, term: list[tuple], fn: str, staging:
     if not rest:
         sums = t.groupBy(*[F.col(b).alias(f"_e{k}") for k, (_, b) in enumerate(equal)]).agg(_agg(fn, F.col("val")).alias("_seen"))
         if not equal:
-            return s.crossJoin(F.broadcast(sums)), False
+            return s.crossJoin(F.broadcast(sums)).select("rid", *carried, "_seen")  # one row
         on = None
         for k, (a, _) in enumerate(equal):
             c = F.col(a) == F.col(f"_e{k}")
             on = c if on is None else on & c
-        return s.join(sums, on).drop(*[f"_e{k}" for k in range(len(equal))]), False
-    parts_s, parts_t, many = [F.col(a) for a, _ in equal], [F.col(b) for _, b in equal], False
-    # bands that are not last are two inequalities
-    middle = []
-    for p, a, b in rest[:-1]:
+        return s.join(sums, on).select("rid", *carried, "_seen")
+    parts_s, parts_t = [F.col(a) for a, _ in equal], [F.col(b) for _, b in equal]
+    rest = _ordered(s, t, rest, known)
+    for k, (p, a, b) in enumerate(rest[:-1]):
+        name = f"_p{k}"
         if p.op == "band":
-            s, t = s.withColumn(f"_{a}_lo", F.col(a) - p.eps).withColumn(f"_{a}_hi", F.col(a) + p.eps), t
-            middle += [(Compare("<", p.left, p.right), f"_{a}_lo", b), (Compare(">", p.left, p.right), f"_{a}_hi", b)]
-        else:
-            middle.append((p, a, b))
-    for k, (p, a, b) in enumerate(middle):
-        many = True
-        s, t = s.withColumn("_c", F.col(a)), t.withColumn("_c", F.col(b))
-        s, t, bits = ranks.codes(s, t, "_c", "_c", staging, f"{tag}-{k}")
-        s, t = connectors.levels(s, "_c", p.op, bits, True, f"_p{k}").drop("_c"), connectors.levels(t, "_c", p.op, bits, False, f"_p{k}").drop("_c")
-        parts_s, parts_t = [*parts_s, F.col(f"_p{k}.h"), F.col(f"_p{k}.p")], [*parts_t, F.col(f"_p{k}.h"), F.col(f"_p{k}.p")]
+            s, t, choice = _band_choices(s, t, (p, a, b), staging, f"{tag}-{k}", name)
+            parts_s, parts_t = [*parts_s, *choice], [*parts_t, *choice]
+            continue
+        coding = known.coding((p, a, b), s, t, f"{tag}-{k}")
+        s, t = coding.apply(s.withColumn("_c", F.col(a)), "_c"), coding.apply(t.withColumn("_c", F.col(b)), "_c")
+        s, t = connectors.levels(s, "_c", p.op, coding.bits, True, name).drop("_c"), connectors.levels(t, "_c", p.op, coding.bits, False, name).drop("_c")
+        parts_s, parts_t = [*parts_s, F.col(f"{name}.h"), F.col(f"{name}.p")], [*parts_t, F.col(f"{name}.h"), F.col(f"{name}.p")]
     p, a, b = rest[-1]
     if p.op == "band":
-        s, t = connectors.cells(s, a, p.eps, True, "_c"), t.withColumn("_cell", (F.col(b) - F.pmod(F.col(b), F.lit(p.eps).cast("long"))).cast("long"))
-        out = None
-        for kind, op in ((0, None), (1, ">"), (2, "<")):
-            own = s.where(F.col("_c.kind") == kind)
-            rows, names = _union(own, t, [*parts_s, F.col("_c.cell")], [*parts_t, F.col("_cell")], F.col("_c.v") if op else F.lit(0).cast("long"), F.col(b) if op else F.lit(0).cast("long"), carried)
-            if op is None:
-                rows = rows.withColumn("_seen", _agg(fn, F.col("_val")).over(Window.partitionBy(*names)))
-            else:
-                rows = _running(rows, names, op, fn, 1)
-            one = rows.where("_src = 1 and _seen is not null").select("_row.*", "_seen")
-            out = one if out is None else out.unionByName(one)
-        return out, True
+        # in the own cell all targets come before all sources; in the next one the lesser values, in the one before the greater
+        s, t = connectors.cells(s, a, p.eps, True, "_c"), connectors.cells(t, b, p.eps, False, "_c")
+        kind, value = F.col("_c.kind"), F.col("_c.v")
+        place = lambda own: F.when(kind == 0, F.lit(own)).when(kind == 1, value).otherwise(-value).cast("long")
+        rows, names = _union(s, t, [*parts_s, kind, F.col("_c.cell")], [*parts_t, kind, F.col("_c.cell")], place(1), place(0), carried)
+        return _running(rows, names, ">", fn, ranges).where("_src = 1 and _seen is not null").select("_row.*", "_seen")
+    if ranges > 1 and not _numeric(s, a):  # ranges are cut from numbers
+        s, t = s.withColumn("_z", F.col(a)), t.withColumn("_z", F.col(b))
+        s, t, _ = ranks.codes(s, t, "_z", "_z", staging, f"{tag}-last")
+        a = b = "_z"
     rows, names = _union(s, t, parts_s, parts_t, F.col(a), F.col(b), carried)
     if p.op == "!=":
         below = _running(rows, names, ">", fn, ranges).withColumnRenamed("_seen", "_lower")
-        both = _running(below, names, "<", fn, ranges)
-        rows = both.withColumn("_seen", _merge(fn, F.col("_lower"), F.col("_seen")) if fn == "sum" else F.when(F.col("_seen").isNull() | (F.col("_lower") < F.col("_seen")), F.col("_lower")).otherwise(F.col("_seen")))
+        rows = _running(below, names, "<", fn, ranges).withColumn("_seen", _merge(fn, F.col("_lower"), F.col("_seen")))
     else:
         rows = _running(rows, names, p.op, fn, ranges)
-    return rows.where("_src = 1 and _seen is not null").select("_row.*", "_seen"), many
+    return rows.where("_src = 1 and _seen is not null").select("_row.*", "_seen")
+
+
+def inclusion(terms: list[list[tuple]]) -> list[tuple[int, list[tuple]]]:
+    """Terms with signs that count each pair of a disjunction once, by inclusion and exclusion."""
+    out = []
+    for n in range(1, len(terms) + 1):
+        for some in combinations(terms, n):
+            out.append(((-1) ** (n + 1), list({(p.op, p.eps, a, b): (p, a, b) for term in some for p, a, b in term}.values())))
+    return out
+
+
+def disjoint(terms: list[list[tuple]]) -> list[list[tuple]] | None:
+    """Terms of which a pair of keys without nulls meets at most one; None if that takes more than inclusion and exclusion, or a band's opposite."""
+    out: list[list[tuple]] = []
+    for k, term in enumerate(terms):
+        pieces = [term]
+        for earlier in terms[:k]:
+            made = []
+            for piece in pieces:
+                rest = [x for x in earlier if x not in piece]
+                if any(p.op == "band" for p, _, _ in rest):
+                    return None
+                for n, (p, a, b) in enumerate(rest):  # the first n hold and the next one does not
+                    opposite = (Compare(NEGATE[p.op], p.left, p.right), a, b)
+                    if (p, a, b) not in piece and not any((Compare(NEGATE[q.op], q.left, q.right), x, y) in piece for q, x, y in rest[:n] if q.op != "band"):
+                        made.append(piece + [x for x in (*rest[:n], opposite) if x not in piece])
+            pieces = made
+        out += pieces
+    return out if len(out) < 2 ** len(terms) - 1 else None
+
+
+def _without_nulls(s: DataFrame, t: DataFrame, terms: list[list[tuple]]) -> bool:
+    """Whether no key is null, by a scan of each side."""
+    for df, columns in ((s, {a for term in terms for _, a, _ in term}), (t, {b for term in terms for _, _, b in term})):
+        if df.agg(F.max(reduce(lambda x, y: x | y, [F.col(c).isNull() for c in sorted(columns)]))).first()[0]:
+            return False
+    return True
 
 
-def fold(s: DataFrame, t: DataFrame, terms: list[list[tuple[Compare, str, str]]], fn: str, out: str, staging: Staging, tag: str, ranges: int = 1) -> DataFrame:
+def _numeric(df: DataFrame, column: str) -> bool:
+    return dict(df.dtypes)[column].startswith(("bigint", "int", "smallint", "tinyint", "double", "float", "decimal", "date", "timestamp"))
+
+
+def expands(terms: list[list[tuple]]) -> bool:
+    """Whether a source can have several rows on the way."""
+    return len(terms) > 1 or any(len(hard := [p for p, _, _ in term if p.op != "="]) > 1 or any(p.op == "band" for p in hard) for term in terms)
+
+
+def placed(df: DataFrame, order: str, name: str, staging: Staging, tag: str) -> DataFrame:
+    """``df`` as a written table with a column that numbers its rows in an order (with gaps)."""
+    n = max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    return staging.save(df.repartitionByRange(n, order).sortWithinPartitions(order).withColumn(name, F.monotonically_increasing_id()), f"{tag}-placed")
+
+
+def by_places(t: DataFrame, places: str) -> tuple[DataFrame, DataFrame]:
+    """``t`` with places for values, and (place, value)."""
+    return t.drop("val").withColumnRenamed(places, "val"), t.select(F.col(places).alias("_seen"), F.col("val").alias("_value"))
+
+
+def fold(s: DataFrame, t: DataFrame, terms: list[list[tuple[Compare, str, str]]], fn: str, out: str, staging: Staging, tag: str, ranges: int | None | Callable = None, places: str | None = None, known: Values | None = None) -> DataFrame:
     """``s`` (rid and other columns) with ``out``: min or sum of ``t.val`` over joining targets; sources without one drop out.
 
-    ``terms``: comparisons with the key columns of s and of t.
+    ``terms``: comparisons with the key columns of s and of t. ``ranges``: key ranges of a
+    partition, or a function that gives them for a term; by default partitions above
+    ``SPLIT`` rows are cut. ``places``: a column of a written ``t`` that numbers its rows in
+    the order of ``val``. Ids are unique and not null.
     """
     columns = s.columns
     if any(isinstance(p, Opaque) for term in terms for p, _, _ in term):
         raise ValueError("opaque predicates can't be folded")
+    known = known or Values(staging)
     signed = [(1, term) for term in terms]
     if fn == "sum" and len(terms) > 1:
-        signed = []
-        for n in range(1, len(terms) + 1):
-            for some in combinations(terms, n):
-                signed.append(((-1) ** (n + 1), list({(p.op, p.eps, a, b): (p, a, b) for term in some for p, a, b in term}.values())))
-    total, many = None, len(signed) > 1
+        apart = disjoint(terms)
+        signed = [(1, term) for term in apart] if apart is not None and _without_nulls(s, t, terms) else inclusion(terms)
+    several = expands([term for _, term in signed])
+    t = t.select(*dict.fromkeys(b for _, term in signed for _, _, b in term), "val", *([places] if places else []))
+    values = None
+    if several and fn == "min":
+        t, values = by_places(t, places) if places else by_places(placed(t, "val", "_n", staging, tag), "_n")
+    elif places:
+        t = t.drop(places)
+    carried = [] if several else [c for c in columns if c != "rid"]
+    lean = s.select("rid", *dict.fromkeys(a for _, term in signed for _, a, _ in term)) if several else s
+    total = None
     for k, (sign, term) in enumerate(signed):
-        one, several = _term_fold(s, t, term, fn, staging, f"{tag}-{k}", ranges)
-        one = one.select(*columns, (F.col("_seen") * sign if sign < 0 else F.col("_seen")).alias("_seen"))
-        many |= several
+        cut = ranges(term) if callable(ranges) else ranges if ranges is not None else ranges_for(lean, t, term)
+        one = _term_fold(lean, t, term, fn, staging, f"{tag}-{k}", cut, carried, known)
+        one = one.withColumn("_seen", -F.col("_seen")) if sign < 0 else one
         total = one if total is None else total.unionByName(one)
-    if not many:
-        return total.withColumnRenamed("_seen", out)
-    rest = [c for c in columns if c != "rid"]
-    total = total.groupBy("rid").agg(_agg(fn, F.col("_seen")).alias(out), *[F.first(c).alias(c) for c in rest])
-    return total.select(*columns, out)
+    if not several:
+        return total.select(*columns, F.col("_seen").alias(out))
+    total = total.groupBy("rid").agg(_agg(fn, F.col("_seen")).alias("_seen"))
+    if values is not None:
+        total = total.join(values, "_seen").select("rid", F.col("_value").alias("_seen"))
+    return s.join(total, "rid").select(*columns, F.col("_seen").alias(out))
+
+
+def ranges_for(s: DataFrame, t: DataFrame, term: list[tuple]) -> int:
+    """Key ranges that a term's partitions need, from the largest groups under its equalities."""
+    equal = [(a, b) for p, a, b in term if p.op == "="]
+    if len(equal) == len(term):
+        return 1
+    return RANGES if largest_group(s, [a for a, _ in equal]) + largest_group(t, [b for _, b in equal]) > SPLIT else 1

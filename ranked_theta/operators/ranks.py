@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -33,21 +35,52 @@ def dense_rank_domain(values: DataFrame, column: str, staging: Staging, name: st
     return placed.select("val", (F.element_at(offsets, part) + place).cast("long").alias("rk")), total
 
 
+@dataclass
+class Extent:
+    """What is known of a comparison's values: the least and the greatest whole number (None for other types) and how many differ, about."""
+
+    low: int | None
+    high: int | None
+    distinct: int
+
+
+@dataclass
+class Coding:
+    """Order-preserving codes from 0: a distance to the least value, or a written table of dense ranks."""
+
+    low: int | None
+    domain: DataFrame | None
+    bits: int
+
+    def apply(self, df: DataFrame, column: str) -> DataFrame:
+        if self.domain is None:
+            return df.withColumn(column, (F.col(column) - F.lit(self.low)).cast("long"))
+        domain = self.domain.select(F.col("val").alias("_dom"), F.col("rk").alias("_rk"))
+        return df.join(domain, F.col(column) == F.col("_dom")).drop(column, "_dom").withColumnRenamed("_rk", column)
+
+
+def extent(both: DataFrame) -> Extent:
+    """Of the column v, by one scan."""
+    whole = dict(both.dtypes)["v"] in ("bigint", "int", "smallint", "tinyint")
+    found = both.agg(F.approx_count_distinct("v"), *([F.min("v"), F.max("v")] if whole else [])).first()
+    return Extent(found[1] if whole else None, found[2] if whole else None, found[0])
+
+
+def coding(both: DataFrame, known: Extent, staging: Staging, name: str, sparse: bool = True) -> Coding:
+    """Codes of the column v; few values that are far apart are ranked, if ``sparse``, so that codes have few bits."""
+    if known.distinct == 0:
+        return Coding(0, None, 1) if known.low is None and dict(both.dtypes)["v"] in ("bigint", "int", "smallint", "tinyint") else Coding(None, dense_rank_domain(both, "v", staging, name)[0], 1)
+    if known.low is not None and known.high - known.low <= DIRECT_SPAN and (not sparse or known.high - known.low < 16 * known.distinct):
+        return Coding(known.low, None, max(1, (known.high - known.low).bit_length()))
+    domain, n = dense_rank_domain(both, "v", staging, name)
+    return Coding(None, domain, max(1, (max(n, 1) - 1).bit_length()))
+
+
 def codes(s: DataFrame, t: DataFrame, left: str, right: str, staging: Staging, name: str) -> tuple[DataFrame, DataFrame, int]:
     """Both sides with their join column replaced by order-preserving codes from 0, and the bits of a code."""
-    kinds = dict(s.dtypes)[left], dict(t.dtypes)[right]
     both = s.select(F.col(left).alias("v")).unionByName(t.select(F.col(right).alias("v")))
-    if all(k in ("bigint", "int", "smallint", "tinyint") for k in kinds):
-        low, high = both.agg(F.min("v"), F.max("v")).first()
-        if low is None:
-            return s, t, 1
-        if high - low <= DIRECT_SPAN:
-            code = lambda c: (F.col(c) - F.lit(low)).cast("long")
-            return s.withColumn(left, code(left)), t.withColumn(right, code(right)), max(1, (high - low).bit_length())
-    domain, n = dense_rank_domain(both, "v", staging, name)
-    domain = domain.select(F.col("val").alias("_dom"), F.col("rk").alias("_rk"))
-    swap = lambda df, c: df.join(domain, F.col(c) == F.col("_dom")).drop(c, "_dom").withColumnRenamed("_rk", c)
-    return swap(s, left), swap(t, right), max(1, (max(n, 1) - 1).bit_length())
+    made = coding(both, extent(both), staging, name, False)
+    return made.apply(s, left), made.apply(t, right), made.bits
 
 
 def balanced(rank: Column, count: int) -> Column:

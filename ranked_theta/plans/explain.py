@@ -3,9 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
 from ..operators import ranked
+from . import statistics
 from .jointree import plan_tree
 from .predicates import Compare
 from .query import Query
@@ -21,30 +21,24 @@ def method_of(term: list) -> str:
     return "multiway" if len(hard) == 1 and hard[0].op != "band" else "binary"
 
 
-def order_predicates(term: list, distinct: dict[str, int]) -> list:
-    """Equalities first, then the comparisons that leave least: non-equalities last, bands first, by distinct values."""
-    weight = {"=": 0, "band": 1, "<": 2, "<=": 2, ">": 2, ">=": 2, "!=": 3}
-    return sorted(term, key=lambda p: (weight[p.op], -distinct.get(p.left.expr, 0)))
-
-
 def explain_ranked(query: Query, k: int) -> DataFrame:
     """(parent, child, terms, methods, rows_parent, rows_child, live_child, kept_child) for each edge of the plan tree."""
     spark = query.atoms[0].df.sparkSession
     tree = plan_tree(query)
-    passes = ranked._passes(query, tree.root, 1)
+    passes = ranked._passes(query, tree.root)
     passes.cut(k)
     rows = []
     for (parent, child), terms in tree.conditions.items():
-        size = {a: ranked.prepare(query, a, []).count() for a in (parent, child)}
+        size = {a: passes.rows(a).count() for a in (parent, child)}
         rows.append((parent, child, len(terms), ",".join(method_of(t) for t in terms), size[parent], size[child], passes.up[child].count(), passes.reduced[child].count()))
     return spark.createDataFrame(rows, "parent string, child string, terms int, methods string, rows_parent long, rows_child long, live_child long, kept_child long")
 
 
-def selectivity(query: Query, alias: str, columns: list[str]) -> DataFrame:
-    """Distinct values and quartiles of join columns, from sketches."""
-    df = query.atom(alias).df
-    found = None
-    for c in columns:
-        one = df.agg(F.lit(c).alias("column"), F.approx_count_distinct(c).alias("distinct"), F.percentile_approx(F.col(c).cast("double"), [0.25, 0.5, 0.75], 1000).alias("quartiles"))
-        found = one if found is None else found.unionByName(one)
-    return found
+def root_costs(query: Query) -> DataFrame:
+    """(root, cost, chosen): rows that the planner expects the passes to move from each root."""
+    stats, best = statistics.gather(query), statistics.choose_root(query)
+    rows = []
+    for atom in query.atoms:
+        tree = plan_tree(query, atom.alias)
+        rows.append((atom.alias, float(sum(statistics.edge_cost(tree, a, b, stats) for a, b in tree.conditions)), atom.alias == best))
+    return query.atoms[0].df.sparkSession.createDataFrame(rows, "root string, cost double, chosen boolean")

@@ -8,6 +8,7 @@ negations are pushed into the comparisons, so that a term holds nothing but atom
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass
 from functools import reduce
 
@@ -74,6 +75,15 @@ class Opaque(Condition):
     def atoms(self) -> frozenset[str]:
         return frozenset(self.aliases)
 
+    def sides(self) -> list[Side]:
+        """The columns that the text names, by atom."""
+        return [Side(alias, c) for alias in self.aliases for c in dict.fromkeys(re.findall(rf"\b{re.escape(alias)}\.([A-Za-z_]\w*)", self.text))]
+
+    def over(self, name) -> str:
+        """The text with each column as ``name(side)`` says."""
+        text = re.sub(rf"\b({'|'.join(map(re.escape, self.aliases))})\.([A-Za-z_]\w*)", lambda m: name(Side(m[1], m[2])), self.text)
+        return f"NOT ({text})" if self.negated else f"({text})"
+
 
 @dataclass(frozen=True)
 class Both(Condition):
@@ -110,6 +120,11 @@ def opaque(a: str, b: str, text: str) -> Opaque:
     return Opaque((a, b), text)
 
 
+def const(alias: str, value) -> Side:
+    """A constant as the other side of a comparison with an expression of the atom ``alias``."""
+    return Side(alias, f"'{value}'" if isinstance(value, str) else str(value))
+
+
 def all_of(*conditions: Condition) -> Condition:
     return reduce(Both, conditions)
 
@@ -148,6 +163,19 @@ def factor(terms: list[list]) -> tuple[list, list[list]]:
     return shared, [[p for p in t if p not in shared] for t in terms]
 
 
+def one_sided(c: Condition) -> str:
+    """SQL over an atom's own columns for a condition on that atom alone."""
+
+    def text(p: Compare | Opaque) -> str:
+        if isinstance(p, Opaque):
+            return f"{'NOT ' if p.negated else ''}({p.text.replace(p.aliases[0] + '.', '')})"
+        if p.op == "band":
+            return f"abs(({p.left.expr}) - ({p.right.expr})) < {p.eps}"
+        return f"({p.left.expr}) {'<>' if p.op == '!=' else p.op} ({p.right.expr})"
+
+    return " OR ".join("(" + " AND ".join(text(p) for p in term) + ")" for term in to_dnf(c))
+
+
 def to_column(p: Compare, left: Column, right: Column) -> Column:
     """A comparison on two columns."""
     if p.op == "band":

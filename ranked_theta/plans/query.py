@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
@@ -105,6 +105,22 @@ class Query:
                 out.append(c)
         return out
 
+    def routed(self) -> Query:
+        """The query with conjuncts on one atom moved into that atom's selection."""
+        kept, filters = [], {}
+        for c in self.conjuncts():
+            atoms = frozenset().union(*(p.atoms for t in P.to_dnf(c) for p in t))
+            if len(atoms) == 1:
+                filters.setdefault(*atoms, []).append(P.one_sided(c))
+            else:
+                kept.append(c)
+        if not filters:
+            return self
+        if not kept:
+            raise ValueError("the condition joins nothing")
+        put = lambda a: replace(a, where=" AND ".join(f"({x})" for x in ([a.where] if a.where else []) + filters[a.alias]))
+        return replace(self, atoms=[put(a) if a.alias in filters else a for a in self.atoms], where=P.all_of(*kept))
+
     def predicates(self) -> list:
         return [p for term in P.to_dnf(self.where) for p in term]
 

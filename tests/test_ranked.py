@@ -5,8 +5,9 @@ import random
 
 import pytest
 
-from ranked_theta.operators import anyk, baselines, cyclic, equireduce, project, ranked
-from ranked_theta.operators.cursor import RankedCursor, local_instance
+from ranked_theta.functions import measures
+from ranked_theta.operators import anyk, baselines, cyclic, equireduce, fold, project, ranked, stacked
+from ranked_theta.operators.cursor import RankedCursor, per_group
 from ranked_theta.operators.ranks import dense_rank_domain
 from ranked_theta.plans import predicates as P
 from ranked_theta.plans.query import Atom, Query, Rank
@@ -48,12 +49,13 @@ CASES = [
     ([[("<=", 1, 2, None)]], ("binary", "median", "multiway")),
     ([[(">", 1, 1, None)]], ("binary", "multiway")),
     ([[(">=", 1, 1, None)]], ("binary", "multiway")),
-    ([[("!=", 1, 1, None)]], ("binary", "multiway")),
-    ([[("band", 1, 1, 3)]], ("binary",)),
-    ([[("band", 1, 1, 100)]], ("binary",)),
+    ([[("!=", 1, 1, None)]], ("binary", "multiway", "two-way")),
+    ([[("band", 1, 1, 3)]], ("binary", "multiway", "two-way")),
+    ([[("band", 1, 1, 100)]], ("binary", "multiway")),
     ([[("=", 3, 3, None)]], ("auto",)),
-    ([[("=", 3, 3, None), ("<", 1, 1, None), (">=", 2, 2, None)]], ("binary",)),
-    ([[("<", 1, 1, None), ("!=", 2, 2, None), ("band", 1, 2, 4)]], ("binary",)),
+    ([[("=", 3, 3, None), ("<", 1, 1, None), (">=", 2, 2, None)]], ("binary", "multiway")),
+    ([[("<", 1, 1, None), ("!=", 2, 2, None), ("band", 1, 2, 4)]], ("binary", "multiway", "two-way")),
+    ([[("<", 1, 1, None)], [("<=", 2, 2, None)], [("=", 3, 3, None), ("!=", 1, 2, None)]], ("binary",)),
     ([[("<", 1, 1, None)], [("<", 2, 2, None)]], ("binary",)),
     ([[("=", 3, 3, None), ("<", 1, 1, None)], [("band", 2, 2, 2), (">", 1, 2, None)]], ("binary",)),
 ]
@@ -89,6 +91,95 @@ def test_key_ranges_change_nothing(spark):
             assert one == cut
 
 
+def test_terms_that_exclude_each_other_count_each_pair_once():
+    terms = [[("=", 3, 3, None), ("<", 1, 1, None)], [("=", 3, 3, None), (">=", 2, 2, None)], [("!=", 1, 2, None)]]
+    made = fold.disjoint([[(P.Compare(op, P.side(f"s.{NAMES[i]}"), P.side(f"t.{NAMES[j]}")), NAMES[i], NAMES[j]) for op, i, j, _ in t] for t in terms])
+    s, t = some(5, 30, null=0), some(6, 30, null=0)
+    where = {v: k for k, v in NAMES.items()}
+    for x in s:
+        for y in t:
+            hit = sum(all(OPS[p.op](x[where[a]], y[where[b]]) for p, a, b in term) for term in made)
+            assert hit == any(holds(term, x, y) for term in terms)
+
+
+def test_large_k_goes_through_nodes(spark, monkeypatch):
+    monkeypatch.setattr(ranked, "SMALL_K", 3)
+    tables = [some(70 + i, 12) for i in range(3)]
+    query, joins = path_query(spark, tables, Rank.sum())
+    every = brute(tables, joins, Rank.sum(), 10**6)
+    for k in (5, 40, len(every) + 1):
+        assert [(r["weight"], (r["rid_1"], r["rid_2"], r["rid_3"])) for r in ranked.top_k(query, k).orderBy("rank").collect()] == every[:k]
+    either = Query([Atom("s", table(spark, tables[0])), Atom("t", table(spark, tables[1]))], P.lt("s.a", "t.a") | P.gt("s.b", "t.b"))
+    expected = sorted((x[4] + y[4], (x[0], y[0])) for x in tables[0] for y in tables[1] if holds([("<", 1, 1, None)], x, y) or holds([(">", 2, 2, None)], x, y))
+    assert [(r["weight"], (r["rid_1"], r["rid_2"])) for r in ranked.top_k(either, 30).orderBy("rank").collect()] == expected[:30]
+    g = stacked.stack(either, "binary")
+    assert g.duplicates == 2 and list(stacked.walk(g, 30)) == expected[:30]
+
+
+def test_hot_groups_are_cut_into_ranges(spark, monkeypatch):
+    monkeypatch.setattr(fold, "SPLIT", 10)
+    s, t = [(i, i % 37, -i, 0, i % 5) for i in range(120)], [(i, i * 7 % 41, i, 0, i % 3) for i in range(120)]
+    where = P.eq("s.g", "t.g") & P.lt("s.a", "t.a")
+    found = equireduce.theta_agg(table(spark, s), table(spark, t), where, "w", "sum")
+    assert dict(map(tuple, found.collect())) == {x[0]: total for x in s if (total := sum(y[4] for y in t if x[1] < y[1])) or any(x[1] < y[1] for y in t)}
+    plan = found._jdf.queryExecution().toString()
+    assert "_b" in plan  # ranges are partition keys of the running aggregates
+
+
+def test_best_of_each_group_in_one_pass(spark):
+    tables = [some(80 + i, 14) for i in range(2)]
+    query = Query([Atom(f"t{i}", table(spark, r)) for i, r in enumerate(tables)], P.lt("t0.a", "t1.b"))
+    got = sorted((r["group_key"], r["rank"], r["weight"], r["rid_1"], r["rid_2"]) for r in per_group(query, "g", 4).collect())
+    expected = []
+    for g in (0, 1):
+        mine = sorted((x[4] + y[4], x[0], y[0]) for x in tables[0] for y in tables[1] if x[3] == y[3] == g and holds([("<", 1, 2, None)], x, y))[:4]
+        expected += [(g, i + 1, *one) for i, one in enumerate(mine)]
+    assert got == expected
+
+
+def test_chain_paths_are_the_joining_pairs(spark):
+    for op, seeds in (("<", (1, 2)), (">=", (3, 4))):
+        s, t = some(seeds[0], 20), some(seeds[1], 20)
+        graph = equireduce.connector(table(spark, s), table(spark, t), condition([[(op, 1, 2, None)]]), "chain")
+        first, step, last = (sorted(map(tuple, p.collect())) for p in graph.parts)
+        steps = dict(step)
+        found = []
+        for rid, node in first:
+            while node is not None:
+                found += [(rid, r) for n, r in last if n == node]
+                node = steps.get(node)
+        assert sorted(found) == sorted((x[0], y[0]) for x in s for y in t if holds([(op, 1, 2, None)], x, y))
+
+
+def test_repeated_answers_are_dropped_by_weight():
+    stream = [(1, (1, 2)), (1, (1, 2)), (1, (1, 3)), (2, (1, 2)), (2, (4, 4)), (2, (1, 2))]
+    assert list(stacked.dedupe(stream)) == [(1, (1, 2)), (1, (1, 3)), (2, (1, 2)), (2, (4, 4))]
+
+
+def test_roots_selections_and_sizes(spark):
+    small, large = [(i, i % 9, i % 7, i % 2, i) for i in range(12)], [(i, i % 9, i % 7, i % 2, i) for i in range(80)]
+    query = Query([Atom("x", table(spark, large)), Atom("y", table(spark, small))], P.band("x.a", "y.b", 3) & P.gt("x.b", P.const("x", 2)))
+    from ranked_theta.plans import statistics
+
+    assert statistics.choose_root(query.routed()) == "y"  # a band asks each source in three cells
+    expected = sorted((x[4] + y[4], x[0], y[0]) for x in large for y in small if abs(x[1] - y[2]) < 3 and x[2] > 2)[:20]
+    for root in (None, "auto"):
+        assert [(r["weight"], r["rid_1"], r["rid_2"]) for r in ranked.top_k(query, 20, root=root).orderBy("rank").collect()] == expected
+    graph = equireduce.connector(table(spark, small), table(spark, small), P.lt("s.a", "t.a"), "binary")
+    assert len(graph.layers()) == graph.depth + 1
+    held = {(r["variant"], r["k"]): r["listed"] + r["candidates"] for r in measures.memory(Query([Atom("x", table(spark, small)), Atom("y", table(spark, small))], P.lt("x.a", "y.a")), [1, 20], ["lazy", "all"], spark).collect()}
+    assert held["lazy", 1] <= held["lazy", 20] <= held["all", 20] + 1000
+
+
+def test_cycles_of_four(spark):
+    tables = [some(60 + i, 7) for i in range(4)]
+    where = P.all_of(*[P.lt(f"t{i}.a", f"t{(i + 1) % 4}.b") for i in range(4)])
+    query = Query([Atom(f"t{i}", table(spark, r)) for i, r in enumerate(tables)], where)
+    expected = brute(tables, [(i, (i + 1) % 4, [("<", 1, 2, None)]) for i in range(4)], Rank.sum(), 25)
+    got = [(r["weight"], tuple(r[f"rid_{i}"] for i in range(1, 5))) for r in cyclic.cyclic_ranked(query, 25).orderBy("rank").collect()]
+    assert got == expected
+
+
 def test_dense_ranks(spark):
     values = spark.createDataFrame([(v,) for v in (5, 1, 1, None, 9, 7, 5)], "v long")
     ranks, n = dense_rank_domain(values, "v", Staging(spark, "test"), "x")
@@ -156,9 +247,10 @@ def test_cursor_and_enumerators_agree(spark):
     pages = [*cursor.next(3), *cursor.next(5), *cursor.next(10**4)]
     assert [(r["weight"], (r["rid_1"], r["rid_2"], r["rid_3"])) for r in pages] == every
     assert cursor.next(1) == []
-    instance = local_instance(query, len(every) + 5)
-    for variant in anyk.VARIANTS:
-        assert [(w, tuple(ids)) for w, ids in anyk.enumerate_answers(instance, variant)] == every
+    for method in ("binary", "multiway"):
+        instance = stacked.instance(stacked.stack(query, method), len(every) + 5)
+        for variant in anyk.VARIANTS:
+            assert [(w, tuple(ids)) for w, ids in anyk.enumerate_answers(instance, variant)] == every
 
 
 def test_cycles_and_baselines(spark):
