@@ -631,14 +631,6 @@ def _entries() -> dict[str, Entry]:
     out |= {"op_asof": (_asof, _ASOF), "op_interval_overlap": (_intervals, _INTERVALS), "sql_front": (_sql_front, _SQL), "explain_w5": (_explain, None)}
     out |= {"plan_selections": (_selections, _SELECTIONS), "plan_chosen_root": (_chosen_root, _CHOSEN_ROOT), "plan_root_costs": (_root_costs, None), "plan_selectivity": (_selectivity, None)}
     out |= {"topk_per_supplier": (_suppliers_best, _SUPPLIERS_BEST), "cursor_pages": (_cursor, W.temporal_paths(2).oracle(200))}
-    for w in ("w1", "w2", "w3", "w4"):
-        out[f"w11_size_sweep_{w}"] = experiments.sweep(experiments.size_points(w))
-    for w in ("w5", "w6"):
-        out[f"w12_length_sweep_{w}"] = experiments.sweep(experiments.length_points(w))
-    out["w13_width_sweep"] = experiments.sweep(experiments.width_points())
-    out["w14_domain_sweep"] = experiments.sweep(experiments.domain_points())
-    out["w14_methods"] = experiments.sweep(experiments.method_points())
-    out |= {"measure_time_to_k": (_times, None), "measure_delays": (_delays, None), "measure_memory": (_memory, None), "measure_spark_costs": (_spark_costs, None), "measure_growth": (_growth, None), "measure_first_answer_by_domain": (_first_answer_by_domain, None)}
     out |= {"stream_windowed_top5": (_windowed, _WINDOWED), "stream_continuous_top100": (_continuous, _CONTINUOUS), "stream_started_windows": (_started_windows, _STARTED_WINDOWS), "stream_windows": (_windows, _WINDOWS)}
     out["stream_running_best"] = (_running_best, f"{_EDGES} SELECT src, arg_min(rid, (s, rid))::BIGINT AS rid, min(s)::BIGINT AS s FROM v GROUP BY src")
     out["stream_interval_join"] = (_stream_pairs, f"{_EDGES} SELECT l.rid AS rid_1, r.rid AS rid_2 FROM v l JOIN v r ON l.src = r.src AND r.ts > l.ts AND r.ts <= l.ts + 3600000000")
@@ -650,6 +642,15 @@ def _entries() -> dict[str, Entry]:
     out["op_top_per_group"] = (_top_groups, f"{_EDGES} SELECT rid, src, s, row_number() OVER (PARTITION BY src ORDER BY s, rid) AS place FROM v QUALIFY place <= 3")
     out["op_running"] = (_running, f"{_EDGES} SELECT rid, src, ts, s, (sum(s) OVER w)::BIGINT AS running_sum, min(s) OVER w AS running_min, lag(s) OVER w AS before, dense_rank() OVER w AS dense FROM v WINDOW w AS (PARTITION BY src ORDER BY ts ROWS UNBOUNDED PRECEDING)")
     out |= {"op_set_operations": (_set_operations, _SETS), "op_scalars": (_scalars, _SCALARS), "op_formats": (_formats, _FORMATS)}
+    out |= {"measure_time_to_k": (_times, None), "measure_delays": (_delays, None), "measure_memory": (_memory, None), "measure_spark_costs": (_spark_costs, None), "measure_growth": (_growth, None), "measure_first_answer_by_domain": (_first_answer_by_domain, None)}
+    # sweeps point by point, as each point has several queries of its own
+    for w in ("w1", "w2", "w3", "w4"):
+        out |= {f"w11_size_{w}_l{p.work.length}_{p.value}": experiments.sweep([p]) for p in experiments.size_points(w)}
+    out |= {f"w13_width_{p.value}": experiments.sweep([p]) for p in experiments.width_points()}
+    out["w14_domain_sweep"] = experiments.sweep(experiments.domain_points())
+    out |= {f"w14_methods_{p.workload}": experiments.sweep([p]) for p in experiments.method_points()}
+    for w in ("w5", "w6"):
+        out |= {f"w12_length_{w}_l{p.value}": experiments.sweep([p]) for p in experiments.length_points(w)}
     return out
 
 
