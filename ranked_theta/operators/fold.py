@@ -3,8 +3,8 @@
 A term's equalities are partition keys. All other comparisons but the last become node
 choices (one row per level, see ``connectors.levels``); the last one needs no edges at
 all: sources and targets of a node are sorted together and a running aggregate in
-reading order gives each source what it may see. Frames only ever grow. The comparison
-with the most distinct values goes last, since each of the others costs rows by its bits.
+reading order gives each source what it may see. Frames only ever grow. That comparison
+goes last which leaves the fewest rows, since each of the others costs rows by its bits.
 
 Where rows multiply, only numbers do: sources are their ids and keys, and the values of
 targets are replaced by their places in one sorted, written table, so that windows and
@@ -22,6 +22,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from functools import reduce
 from itertools import combinations
+from math import prod
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -124,10 +125,22 @@ class Values:
 
 
 def _ordered(s: DataFrame, t: DataFrame, rest: list[tuple], known: Values) -> list[tuple]:
-    """The comparisons by their distinct values, the most last; a band goes last before any other."""
+    """The comparisons with that one last which leaves the fewest rows to order.
+
+    A row becomes as many as the others have levels for it; the last one costs three rows
+    if it is a band (cells) and two readings if it is a non-equality.
+    """
     if len(rest) < 2:
         return rest
-    return sorted(rest, key=lambda x: (x[0].op == "band", 0 if x[0].op == "band" else known.extent(x, s, t).distinct))
+    copies = []
+    for x in rest:
+        p = x[0]
+        bits = (p.eps - 1).bit_length() if p.op == "band" else 0
+        if p.op != "band" or bits > CELL_BITS:
+            bits = max(1, known.extent(x, s, t).distinct).bit_length()
+        copies.append({"band": 1 + bits, "!=": bits}.get(p.op, bits / 2 + (p.op in ("<=", ">="))))
+    last = min(range(len(rest)), key=lambda k: prod(c for j, c in enumerate(copies) if j != k) * {"band": 3, "!=": 2}.get(rest[k][0].op, 1))
+    return [x for k, x in enumerate(rest) if k != last] + [rest[last]]
 
 
 def _band_choices(s: DataFrame, t: DataFrame, pred: tuple, staging: Staging, tag: str, name: str) -> tuple[DataFrame, DataFrame, list[Column]]:
