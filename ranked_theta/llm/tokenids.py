@@ -12,8 +12,10 @@ ranks are a file of little-endian 32-bit ids beside the segments.
 Text is cut at spaces and line feeds before it is encoded. The tokenizer given removes
 white space before it looks for tokens, so that the cut changes nothing, and each
 distinct chunk is encoded once per worker. ``chunked=False`` encodes whole texts, for
-tokenizers where that does not hold. Texts are encoded once, in the order of doc_id;
-ranks are counted from the encoded blocks.
+tokenizers where that does not hold. Texts are encoded once, in the order of doc_id, and
+ids are counted as they are made. With ``waves``, ranges of doc_id are sorted and encoded
+one after the other, so that no more than one of them is on disk as text; each reads the
+table again.
 
 Nulls: a null text is empty, so that its row has the end id only; null doc_ids come
 first. Rows with equal doc_id follow each other, in the order of their texts. Empty
@@ -25,6 +27,7 @@ from __future__ import annotations
 import zlib
 from array import array
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -32,7 +35,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from . import files, textkit
+from . import files, partials, textkit
 from .workspace import Workspace
 
 MAGIC = b"RANKVB01"
@@ -160,12 +163,12 @@ def unpack(control: bytes, data: bytes, n: int) -> np.ndarray:
         raise ValueError("data bytes do not match the lengths")
     start = ends - length
     src = np.frombuffer(data, np.uint8)
-    out = np.zeros(n, np.uint32)
-    for k in range(4):
-        has = length > k
-        if not has.any():
-            break
-        out[has] |= src[start[has] + k].astype(np.uint32) << np.uint32(8 * k)
+    out = src[start].astype(np.uint32)
+    k, more = 1, np.flatnonzero(length > 1)
+    while len(more):  # the longer a value, the fewer there are
+        out[more] |= src[start[more] + k].astype(np.uint32) << np.uint32(8 * k)
+        k += 1
+        more = more[length[more] > k]
     return out
 
 
@@ -206,20 +209,29 @@ def read_segment(raw: bytes) -> tuple[list, np.ndarray, np.ndarray]:
     return [d if k else None for d, k in zip(ids, known, strict=True)], counts, ranks
 
 
-def _blocks(docs: DataFrame, path: str, end_id: int, chunked: bool, partitions: int) -> DataFrame:
-    """Texts in the order of doc_id, encoded: a row per future segment."""
+def _blocks(docs: DataFrame, path: str, end_id: int, chunked: bool, partitions: int, first: int = 0) -> DataFrame:
+    """Texts in the order of doc_id, encoded: a row per future segment, and rows of negative numbers with pieces of a task's counts of ids.
+
+    ``data`` has two bytes an id where they suffice for all of a row, else four; parts are numbered from ``first``.
+    """
     limit = SEGMENT_IDS
-    schema = pa.schema([("part", pa.int32()), ("number", pa.int32()), ("n_ids", pa.int64()), ("docs", pa.list_(pa.int64())), ("counts", pa.list_(pa.int64())), ("control", pa.binary()), ("data", pa.binary())])
+    schema = pa.schema([("part", pa.int32()), ("number", pa.int32()), ("n_ids", pa.int64()), ("docs", pa.list_(pa.int64())), ("counts", pa.list_(pa.int64())), ("data", pa.binary())])
 
     def encode(batches):
         from pyspark import TaskContext
 
-        part, number = TaskContext.get().partitionId(), 0
+        part, number = first + TaskContext.get().partitionId(), 0
         ids, rows, held = [], [], 0
+        total = np.zeros(1 << 16, np.int64)
 
         def block():
-            control, data = pack(np.concatenate(rows))
-            return pa.RecordBatch.from_pydict({"part": [part], "number": [number], "n_ids": [held], "docs": [ids], "counts": [[len(r) for r in rows]], "control": [control], "data": [data]}, schema=schema)
+            nonlocal total
+            found = np.concatenate(rows)
+            n = np.bincount(found, minlength=len(total))
+            n[: len(total)] += total
+            total = n
+            data = found.astype("<u2" if len(found) and found.max() < 1 << 16 else "<u4").tobytes()
+            return pa.RecordBatch.from_pydict({"part": [part], "number": [number], "n_ids": [held], "docs": [ids], "counts": [[len(r) for r in rows]], "data": [data]}, schema=schema)
 
         for batch in batches:
             for doc, found in zip(batch.column(0).to_pylist(), encoder(path).encode(batch.column(1), end_id, chunked), strict=True):
@@ -231,38 +243,45 @@ def _blocks(docs: DataFrame, path: str, end_id: int, chunked: bool, partitions:
                     number, ids, rows, held = number + 1, [], [], 0
         if ids:
             yield block()
+        for piece, data in enumerate(partials.rows(np.pad(total, (0, -len(total) % partials.SLICE)), part)["part"]):
+            yield pa.RecordBatch.from_pydict({"part": [part], "number": [-1 - piece], "n_ids": [0], "docs": [None], "counts": [None], "data": [data]}, schema=schema)
 
     ordered = docs.select("doc_id", "text").repartitionByRange(partitions, "doc_id").sortWithinPartitions("doc_id", "text")
-    return ordered.mapInArrow(textkit.frugal(encode, "encoders"), "part int, number int, n_ids long, docs array<long>, counts array<long>, control binary, data binary")
+    return ordered.mapInArrow(textkit.frugal(encode, "encoders"), "part int, number int, n_ids long, docs array<long>, counts array<long>, data binary")
 
 
-def id_counts(blocks: DataFrame) -> DataFrame:
-    """(id, n): how often each id stands in the corpus, end ids included."""
+def id_counts(blocks: DataFrame) -> np.ndarray:
+    """How often each id stands in the corpus, end ids included."""
+    pieces = blocks.where("number < 0").select((-1 - F.col("number")).alias("piece"), F.pmod("part", F.lit(partials.SALTS)).alias("salt"), F.col("data").alias("part"))
+    last = pieces.agg(F.max("piece")).first()[0]
+    return partials.collect(pieces, 0 if last is None else (last + 1) * partials.SLICE)
 
-    def count(batches):
-        total = np.zeros(1 << 16, np.int64)
-        for batch in batches:
-            for row in batch.to_pylist():
-                part = np.bincount(unpack(row["control"], row["data"], row["n_ids"]))
-                if len(part) > len(total):
-                    total = np.concatenate([total, np.zeros(len(part) - len(total), np.int64)])
-                total[: len(part)] += part
-        found = np.flatnonzero(total)
-        yield pa.RecordBatch.from_pydict({"id": found, "n": total[found]}, schema=pa.schema([("id", pa.int64()), ("n", pa.int64())]))
 
-    return blocks.select("control", "data", "n_ids").mapInArrow(textkit.frugal(count, "encoders"), "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
+def _ranges(docs: DataFrame, waves: int) -> list[DataFrame]:
+    """Rows dealt into ranges of doc_id of about equal counts, in ascending order, nulls in the first."""
+    cuts = sorted({int(x) for x in docs.approxQuantile("doc_id", [k / waves for k in range(1, waves)], 0.02)}) if waves > 1 else []
+    doc_id, out = F.col("doc_id"), []
+    for low, high in zip([None, *cuts], [*cuts, None], strict=True):
+        part = docs if high is None else docs.where(doc_id < high if low is not None else doc_id.isNull() | (doc_id < high))
+        out.append(part if low is None else part.where(doc_id >= low))
+    return out
 
 
-def write_ids(docs: DataFrame, work: Workspace, path: str, end_id: int = 1, chunked: bool = True, partitions: int | None = None) -> DataFrame:
+def write_ids(docs: DataFrame, work: Workspace, path: str, end_id: int = 1, chunked: bool = True, partitions: int | None = None, waves: int = 1) -> DataFrame:
     """Writes the corpus as segments; returns the manifest.
 
     The manifest has a row per segment: uri, part and number (their order is that of
     doc_id), n_ids, start (ids in all segments before), ranks_uri.
     """
     spark = docs.sparkSession
-    blocks = work.save(_blocks(docs, path, end_id, chunked, partitions or int(spark.conf.get("spark.sql.shuffle.partitions"))), "blocks")
-    # at most one row per id of the vocabulary, whatever the corpus
-    order = np.array([r["id"] for r in id_counts(blocks).orderBy(F.desc("n"), "id").collect()], np.uint32)
+    partitions = partitions or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    ranges = _ranges(docs, waves)
+    each = max(1, -(-partitions // len(ranges)))
+    blocks = [work.save(_blocks(x, path, end_id, chunked, each, k * each), f"blocks{k}", "zstd") for k, x in enumerate(ranges)]
+    # a number per id of the vocabulary, whatever the corpus
+    total = id_counts(reduce(DataFrame.unionByName, blocks))
+    order = np.flatnonzero(total).astype(np.uint32)
+    order = order[np.argsort(-total[order], kind="stable")]
     rank_of = np.zeros(int(order.max()) + 1 if len(order) else 1, np.uint32)
     rank_of[order] = np.arange(len(order), dtype=np.uint32)
     files_at = work.at("segments")
@@ -273,17 +292,22 @@ def write_ids(docs: DataFrame, work: Workspace, path: str, end_id: int = 1, chun
         table, schema = shared.value, pa.schema([("uri", pa.string()), ("part", pa.int32()), ("number", pa.int32()), ("n_ids", pa.int64())])
         for batch in batches:
             for row in batch.to_pylist():
-                raw = write_segment(row["docs"], row["counts"], table[unpack(row["control"], row["data"], row["n_ids"])])
+                ids = np.frombuffer(row["data"], "<u2" if len(row["data"]) == 2 * row["n_ids"] else "<u4")
+                raw = write_segment(row["docs"], row["counts"], table[ids])
                 yield pa.RecordBatch.from_pydict({"uri": [files.put(files_at, raw, ".seg")]} | {c: [row[c]] for c in ("part", "number", "n_ids")}, schema=schema)
 
-    manifest = work.save(blocks.mapInArrow(textkit.frugal(write, "encoders"), "uri string, part int, number int, n_ids long"), "manifest")
-    work.drop("blocks")
+    written = []
+    for k, x in enumerate(blocks):
+        written.append(work.save(x.where("number >= 0").mapInArrow(textkit.frugal(write, "encoders"), "uri string, part int, number int, n_ids long"), f"manifest{k}"))
+        work.drop(f"blocks{k}")
+    manifest = reduce(DataFrame.unionByName, written)
     before = Window.orderBy("part", "number").rowsBetween(Window.unboundedPreceding, 0)
     return manifest.withColumn("start", F.sum("n_ids").over(before) - F.col("n_ids")).withColumn("ranks_uri", F.lit(ranks_uri))
 
 
 def read_ids(manifest: DataFrame, digest_only: bool = True) -> DataFrame:
     """Decodes the segments of a manifest: doc_id, start, n_tokens, ids_crc32 (and the ids themselves)."""
+    spark = manifest.sparkSession
     kept: dict[str, np.ndarray] = {}
 
     def read(batches):
@@ -302,11 +326,12 @@ def read_ids(manifest: DataFrame, digest_only: bool = True) -> DataFrame:
                     fields.append(("ids", pa.list_(pa.int64())))
                 yield pa.RecordBatch.from_pydict(out, schema=pa.schema(fields))
 
-    n = max(1, manifest.count())
-    return manifest.repartition(min(n, 100_000), "uri").mapInArrow(textkit.frugal(read, "encoders"), "doc_id long, start long, n_tokens long, ids_crc32 long" + ("" if digest_only else ", ids array<long>"))
+    # a task per core and some more is enough: a segment is read at a time
+    most = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 2 * spark.sparkContext.defaultParallelism)
+    return manifest.repartition(max(1, min(manifest.count(), most)), "uri").mapInArrow(textkit.frugal(read, "encoders"), "doc_id long, start long, n_tokens long, ids_crc32 long" + ("" if digest_only else ", ids array<long>"))
 
 
-def token_report(docs: DataFrame, path: str, end_id: int = 1) -> DataFrame:
+def token_report(docs: DataFrame, path: str, end_id: int = 1, waves: int = 1) -> DataFrame:
     """Writes the ids of all texts and reads the files back: doc_id, start, n_tokens, ids_crc32."""
     work = Workspace(docs.sparkSession, "tokenids")
-    return read_ids(write_ids(docs, work, path, end_id))
+    return read_ids(write_ids(docs, work, path, end_id, waves=waves))

@@ -4,6 +4,7 @@ import hashlib
 import itertools
 import random
 import re
+import time
 import zlib
 from collections import defaultdict
 
@@ -282,6 +283,36 @@ def test_token_ids(spark, docs):
     assert tokenids.token_report(docs.limit(0), PATH).count() == 0
 
 
+def test_token_ids_in_waves_keep_order_and_starts(spark, docs):
+    once = sorted(map(str, tokenids.token_report(docs, PATH).collect()))
+    for waves in (2, 9):
+        assert sorted(map(str, tokenids.token_report(docs, PATH, waves=waves).collect())) == once
+    assert tokenids.token_report(docs.limit(0), PATH, waves=3).count() == 0
+    assert len(once) == len({r.split("start=")[1].split(",")[0] for r in once})
+
+
+def test_what_a_table_was_shuffled_for_goes_when_it_is_written(spark, tmp_path):
+    from pathlib import Path
+
+    from ranked_theta.llm.workspace import Workspace
+
+    work = Workspace(spark, "cleanup")
+    blocks = Path(spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().localDirsString()[0])
+    shuffled = lambda: {p.name for p in blocks.rglob("shuffle_*.data")}
+    before = shuffled()
+    frame = spark.range(20_000).selectExpr("id", "md5(cast(id as string)) AS t")
+    held = frame.repartitionByRange(4, "t")
+    saved = work.save(held, "one")
+    for _ in range(100):
+        if not shuffled() - before:
+            break
+        time.sleep(0.1)
+    assert not shuffled() - before and saved.count() == 20_000
+    work.save(saved, "two")
+    work.keep("two")
+    assert work.names() == ["two"]
+
+
 def test_short_and_dotted_secrets_are_not_missed(spark):
     import base64
 
