@@ -35,7 +35,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def write_token_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids written as segments, and their digest as read back: doc_id, start, n_tokens, ids_crc32."""
-    return tokenids.token_report(docs, public_tokenizers.path("word_bpe_49k.json"), end_id=1)
+    return tokenids.token_report(docs, public_tokenizers.path("word_bpe_49k.json"), end_id=1, waves=3)
 
 
 STAGES = [
