@@ -358,21 +358,25 @@ def join(docs: DataFrame, percent: int = 75) -> tuple[DataFrame, DataFrame, Work
     keyed = work.save(keyed.where("low <> high").select("key", "cls", "n").distinct().withColumn("size", F.count(F.lit(1)).over(by_key)), "keyed")
     source = textkit.by_row(docs)
     # what others were copied from shares most of its keys with most classes: it is the centre of its groups
-    score = work.save(keyed.groupBy("cls").agg(F.avg("size").alias("score")), "score")
-    stars = star_pairs(keyed.select("key", "cls", "n", F.col("cls").alias("part")).join(score, "cls"), F.col("score"), CENTRES[0], percent)
+    score = F.avg("size").over(Window.partitionBy("cls"))
+    stars = star_pairs(keyed.select("key", "cls", "n", F.col("cls").alias("part"), score.alias("score")), F.col("score"), CENTRES[0], percent)
     tried = work.save(bounded(stars, classes, percent), "stars")
     linked = work.save(verified(tried, source, classes, percent, work, "linked"), "linked")
     rows = still_apart(keyed, components(linked, work, "first"), work, "apart")
+    work.keep("described", "classes", "stars", "linked", "apart")
     stars = star_pairs(rows, F.xxhash64("cls", F.pmod("key", F.lit(ORDERS))), CENTRES[1], percent)
     again = work.save(bounded(_ordered(stars, tried), classes, percent), "stars-again")
     linked = work.save(linked.unionByName(verified(again, source, classes, percent, work, "again")), "linked-again")
     rows = still_apart(rows, components(linked, work, "second"), work, "apart-again")
     rows = work.save(distinct_groups(rows, Window.partitionBy("key")), "open")
+    work.keep("described", "classes", "stars", "stars-again", "linked-again", "open")
     more = tree_pairs(rows, with_heads(rows, classes), percent, partitions)
     more = work.save(_ordered(more, tried.unionByName(again)), "more")
     more = work.save(verified(more, source, classes, percent, work, "fine", exact=False), "more-fine")
     more_linked = work.save(verified(more, source, classes, percent, work, "more"), "more-linked")
-    return described, components(linked.unionByName(more_linked), work, "last"), work
+    parts = components(linked.unionByName(more_linked), work, "last")
+    work.keep("described", *[name for name in work.names() if name.startswith("last")])
+    return described, parts, work
 
 
 def _ordered(pairs: DataFrame, tried: DataFrame) -> DataFrame:
@@ -422,6 +426,7 @@ def one_of_each(docs: DataFrame, percent: int = 75) -> DataFrame:
     wanted = (F.col("n") == 0) | F.col("doc_id").eqNullSafe(F.col("component_id"))
     ids = rows.groupBy("doc_id").agg(F.count(F.lit(1)).alias("k"), F.bool_or(wanted).alias("wanted")).where("wanted")
     ids = work.save(ids, "ids")
+    work.keep("grouped", "ids")
     own = columns.prefix(docs, "one_")
     named = lambda df: df.withColumnsRenamed({c: f"{own}{c}" for c in df.columns})
     doc_id = F.col("doc_id")

@@ -313,6 +313,20 @@ def test_what_a_table_was_shuffled_for_goes_when_it_is_written(spark, tmp_path):
     assert work.names() == ["two"]
 
 
+def test_few_and_many_edges_give_the_same_components(spark, monkeypatch):
+    from ranked_theta.llm import components as cc
+    from ranked_theta.llm.workspace import Workspace
+
+    rng = random.Random(5)
+    edges = [(rng.randrange(300), rng.randrange(300)) for _ in range(170)] + [(k, k + 1) for k in range(1000, 1040)] + [(7, 7), (-(2**63), 2**63 - 1)]
+    table = spark.createDataFrame(edges, "a long, b long").repartition(3)
+    few = sorted(map(tuple, cc.components(table, Workspace(spark, "few")).collect()))
+    monkeypatch.setattr(cc, "FEW", 0)
+    assert few == sorted(map(tuple, cc.components(table, Workspace(spark, "many")).collect()))
+    assert (1040, 1000) in few and (2**63 - 1, -(2**63)) in few
+    assert cc.components(table.limit(0), Workspace(spark, "none")).count() == 0
+
+
 def test_short_and_dotted_secrets_are_not_missed(spark):
     import base64
 
